@@ -67,3 +67,17 @@ def only(df: DataFrame, columns: Iterable[str]) -> DataFrame:
 def bounded_sample(df: DataFrame, key: str, rows: int, seed: int) -> DataFrame:
     """The `rows` rows of least seeded hash of key: the same on every run and every partitioning."""
     return df.orderBy(F.xxhash64(F.lit(seed), F.col(key).cast("string")), F.col(key)).limit(rows)
+
+
+def keep_rows(df: DataFrame, text_column: str, decide) -> DataFrame:
+    """The rows of df, all their columns unchanged, for which decide(list of texts) -> list of booleans says so."""
+    import pyarrow as pa
+
+    at = df.columns.index(text_column)
+
+    def of(batches):
+        for batch in batches:
+            if batch.num_rows:
+                yield batch.filter(pa.array(decide(batch.column(at).to_pylist()), pa.bool_()))
+
+    return df.mapInArrow(of, df.schema)
