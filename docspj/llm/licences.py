@@ -6,6 +6,8 @@ and digits. A coefficient of t needs sizes within a factor of (2 - t) / t, so mo
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -38,13 +40,18 @@ _WORD = r"[\p{L}\p{N}]+"
 MOST_TEMPLATE_BYTES = 4 << 20
 
 
+def bound(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body of a value that is computed once, however often body names it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 def words_of(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(_WORD), 0)
 
 
 def bigrams_of(words: Column) -> Column:
     """Distinct pairs of neighbouring words; a single word is a pair with nothing."""
-    pairs = F.transform(F.slice(words, 2, F.greatest(F.size(words) - 1, F.lit(0))), lambda w, i: F.concat(F.element_at(words, i + 1), F.lit(" "), w))
+    pairs = F.zip_with(F.slice(words, 1, F.greatest(F.size(words) - 1, F.lit(0))), F.slice(words, 2, F.greatest(F.size(words) - 1, F.lit(0))), lambda a, b: F.concat(a, F.lit(" "), b))
     return F.array_distinct(F.when(F.size(words) == 1, words).otherwise(pairs))
 
 
@@ -71,8 +78,21 @@ def _best(bigrams: Column, templates: list[tuple[str, list[str]]], least: float)
         dice = 2 * F.size(F.array_intersect(bigrams, F.lit(own))) / (size + len(own))
         return F.when(fits, F.struct(F.round(dice, 6).alias("dice"), F.lit(name).alias("licence")))
 
-    best = F.array_max(F.array(*[of(*t) for t in templates]))
-    return F.when(best["dice"] >= least, best)
+    return bound(F.array_max(F.array(*[of(*t) for t in templates])), lambda best: F.when(best["dice"] >= least, best))
+
+
+def _matches(text: Column, templates: list[tuple[str, list[str]]], least: float) -> Column:
+    """array(struct(dice, licence)) of one best template of a text, or an empty array."""
+    held = F.lit(sorted({b for _, bs in templates for b in bs}))
+    low, high = min(len(b) for _, b in templates) * least / (2 - least), max(len(b) for _, b in templates) * (2 - least) / least
+
+    def of_words(words: Column) -> Column:
+        rated = lambda pairs: F.when(F.size(pairs).between(low, high) & F.arrays_overlap(pairs, held), _best(pairs, templates, least))
+        return F.when(F.size(words) > low, bound(bigrams_of(words), rated))
+
+    # A text of n distinct pairs has 2n + 1 characters at least.
+    sized = F.when(F.char_length(text) >= 2 * low - 1, bound(words_of(text), of_words))
+    return F.filter(F.array(sized), lambda x: x.isNotNull())
 
 
 def scan_licences(docs: DataFrame, notices: dict[str, list[str]] | None = None, bodies: dict[str, str] | None = None, least: float = 0.8) -> DataFrame:
@@ -82,16 +102,8 @@ def scan_licences(docs: DataFrame, notices: dict[str, list[str]] | None = None,
     reported; an empty table gives no rows. Other columns are ignored.
     """
     short, long = _templates(notices or NOTICES), _templates({k: [v] for k, v in (bodies or BODIES).items()})
-    held = F.lit(sorted({b for _, bs in short for b in bs}))
-    low, high = min(len(b) for _, b in short) * least / (2 - least), max(len(b) for _, b in short) * (2 - least) / least
-    lines = docs.where("text is not null").select("doc_id", F.posexplode(F.split("text", r"\n")).alias("line", "content"))
-    # A line of n distinct pairs has n + 1 words at least and, of short words, 2n + 1 characters.
-    sized = lines.where(F.char_length("content") >= 2 * low - 1).select("doc_id", "line", words_of(F.col("content")).alias("words")).where(F.size("words") > low)
-    paired = sized.select("doc_id", "line", bigrams_of(F.col("words")).alias("pairs")).where(F.size("pairs").between(low, high) & F.arrays_overlap("pairs", held))
-    by_line = paired.select("doc_id", F.lit("line").alias("unit"), "line", _best(F.col("pairs"), short, least).alias("best"))
-    low, high = min(len(b) for _, b in long) * least / (2 - least), max(len(b) for _, b in long) * (2 - least) / least
-    marks = F.lit(sorted({b for _, bs in long for b in bs}))
-    whole = docs.where(F.char_length("text") >= 2 * low - 1).select("doc_id", words_of(F.col("text")).alias("words")).where(F.size("words") > low)
-    whole = whole.select("doc_id", bigrams_of(F.col("words")).alias("pairs")).where(F.size("pairs").between(low, high) & F.arrays_overlap("pairs", marks))
-    by_document = whole.select("doc_id", F.lit("document").alias("unit"), F.lit(-1).alias("line"), _best(F.col("pairs"), long, least).alias("best"))
-    return by_line.unionByName(by_document).where("best is not null").select("doc_id", "unit", "line", "best.licence", "best.dice")
+    docs = docs.select("doc_id", "text").where("text is not null")
+    lines = docs.select("doc_id", F.posexplode(F.split("text", r"\n")).alias("line", "content"))
+    by_line = lines.select("doc_id", F.lit("line").alias("unit"), "line", F.explode(_matches(F.col("content"), short, least)).alias("best"))
+    by_document = docs.select("doc_id", F.lit("document").alias("unit"), F.lit(-1).alias("line"), F.explode(_matches(F.col("text"), long, least)).alias("best"))
+    return by_line.unionByName(by_document).select("doc_id", "unit", "line", "best.licence", "best.dice")
