@@ -2,9 +2,11 @@
 
 A document's set is its distinct word shingles. Rows with the same set form one class and only the class's least id goes on.
 72 multiply-add-shift minima are cut into 24 bands of 3, so a pair of similarity 0.75 shares no band with a chance of 1e-6.
-Within a band's bucket no pairs are listed: first every member is held against the bucket's least id; after components are
-formed, buckets that still hold several components are searched in blocks for untested pairs across components, until none is
-left. So the work of a bucket of copies is linear in its size, and no link is lost to a cap.
+Documents that share a band with another get a finer signature, the least shingle of each of 1024 hash ranges, which decides what
+is worth an exact check. Within a band's bucket no pairs are listed: first every member is held against the bucket's least id;
+after components are formed, buckets that still hold several components are searched in blocks for untested pairs across
+components, and a block returns a number of pairs linear in its size; this goes on until none is left, so no link is lost to
+the number.
 """
 
 from __future__ import annotations
@@ -25,13 +27,14 @@ from docspj.llm.shingles import mix, overlap, shingle_sets
 
 @dataclass(frozen=True)
 class MinHashParams:
-    """similarity: least share of common shingles, in percent. slack: a signature may fall short of it by so much."""
+    """percent: least share of common shingles. deviations: how many standard deviations a fine signature may fall short of it."""
 
     width: int = 5
     percent: int = 75
     bands: int = 24
     rows: int = 3
-    slack: float = 0.27
+    deviations: float = 5.0
+    fine_bits: int = 10
     block: int = 2048
     partners: int = 16
     seed: int = 77
@@ -79,20 +82,54 @@ def _features(docs: DataFrame, p: MinHashParams) -> DataFrame:
     return docs.mapInArrow(of, "id long, n_shingles long, low long, high long, sig binary")
 
 
-def _alike(pairs: DataFrame, reps: DataFrame, p: MinHashParams) -> DataFrame:
-    """The pairs whose sizes and signatures allow the similarity."""
-    sides = [reps.select(F.col("id").alias(k), F.col("n").alias(f"n{k}"), F.col("sig").alias(f"s{k}")) for k in "ab"]
-    both = pairs.join(sides[0], "a").join(sides[1], "b").where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * p.percent)
-    least = p.percent / 100 - p.slack
+def fine_signature(elements: np.ndarray, bits: int) -> np.ndarray:
+    """A byte of the least of the sorted elements in each of 2**bits ranges of their values; 0 where a range is empty."""
+    ranges = (elements >> np.uint64(64 - bits)).astype(np.int64)
+    first = np.flatnonzero(np.diff(ranges, prepend=-1))
+    out = np.zeros(1 << bits, np.uint8)
+    out[ranges[first]] = (elements[first] % np.uint64(255)).astype(np.uint8) + 1
+    return out
+
+
+def worth_checking(one: np.ndarray, size: int, many: np.ndarray, sizes: np.ndarray, p: MinHashParams) -> tuple[np.ndarray, np.ndarray]:
+    """Share of ranges in which signatures agree, and whether this and the sizes allow the similarity, of one signature with each of many."""
+    agree = ((many == one) & (one > 0)).sum(axis=1)
+    seen = np.maximum(((many > 0) | (one > 0)).sum(axis=1), 1)
+    least = p.percent / 100
+    union = (sizes + size) / (1 + least)
+    spread = np.sqrt(least * (1 - least) / seen * np.clip(1 - seen / np.maximum(union, 1), 0, 1))
+    near = agree / seen
+    sized = np.minimum(sizes, size) * 100 >= np.maximum(sizes, size) * p.percent
+    return near, sized & (near >= least - p.deviations * spread - 0.02)
+
+
+def _fine(docs: DataFrame, members: DataFrame, p: MinHashParams) -> DataFrame:
+    """(id, size, fine) of the members' documents."""
+
+    def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = list(shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), p.width))
+            fine = [fine_signature(x, p.fine_bits).tobytes() for x in sets]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(fine, pa.binary())], names=["id", "size", "fine"])
+
+    return docs.join(members.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"]).mapInArrow(of, "id long, size long, fine binary")
+
+
+def _alike(pairs: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
+    """The pairs whose sizes and fine signatures allow the similarity."""
+    sides = [fine.select(F.col("id").alias(k), F.col("size").alias(f"n{k}"), F.col("fine").alias(f"f{k}")) for k in "ab"]
+    both = pairs.join(sides[1], "b").join(sides[0], "a")
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            a, b = (np.frombuffer(b"".join(batch.column(k).to_pylist()), "<u4").reshape(-1, p.hashes) for k in (2, 3))
-            yield pa.RecordBatch.from_arrays(list(batch.columns[:2]), names=["a", "b"]).filter(pa.array((a == b).mean(axis=1) >= least))
+            sizes = [batch.column(k).to_numpy() for k in (2, 3)]
+            keep = []
+            for row, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
+                one, two = (np.frombuffer(v.as_py(), np.uint8) for v in (x, y))
+                keep.append(bool(worth_checking(one, sizes[0][row], two[None, :], sizes[1][row : row + 1], p)[1][0]))
+            yield pa.RecordBatch.from_arrays(list(batch.columns[:2]), names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return both.select("a", "b", "sa", "sb").mapInArrow(of, "a long, b long")
+    return both.select("a", "b", "na", "nb", "fa", "fb").mapInArrow(of, "a long, b long")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, p: MinHashParams) -> DataFrame:
@@ -129,11 +166,11 @@ def _verified(pairs: DataFrame, docs: DataFrame, p: MinHashParams) -> DataFrame:
     return both.select("a", "b", "ta", "tb").mapInArrow(of, "a long, b long, linked boolean")
 
 
-def _unsettled(members: DataFrame, labels: DataFrame, failed: DataFrame, reps: DataFrame, p: MinHashParams) -> DataFrame:
-    """Untested pairs (a, b) across components within the same bucket whose signatures allow the similarity.
+def _unsettled(members: DataFrame, labels: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
+    """Untested pairs (a, b) across components within the same bucket whose fine signatures allow the similarity.
 
-    Members outside the bucket's commonest component are held against all its members, block by block; each block returns
-    the most alike `partners` of a member, and later rounds take what is left.
+    Members outside the bucket's commonest component are held against all its members, block by block. Of pairs that are surely
+    alike a block returns a forest over what is still apart, of others a member's most alike; later rounds take what is left.
     """
     now = members.join(labels, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
     by_part = now.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("id")).alias("mark"))
@@ -146,36 +183,62 @@ def _unsettled(members: DataFrame, labels: DataFrame, failed: DataFrame, reps: D
         .select("one.*")
     )
     blocks = lambda n: F.ceil(n / F.lit(float(p.block))).cast("int")
-    rows = now.join(mixed, "bucket").join(reps.select("id", F.col("n").alias("size"), "sig"), "id")
-    rows = rows.select("bucket", "id", "component", "size", "sig", (F.col("component") != F.col("main")).alias("apart"), blocks(F.col("n")).alias("wide"), blocks(F.col("n") - F.col("top")).alias("tall"))
-    place = F.xxhash64("id")
-    whole = rows.withColumn("row", F.explode(F.sequence(F.lit(0), F.col("tall") - 1))).withColumn("col", F.pmod(place, "wide").cast("int")).withColumn("probe", F.lit(False))
-    probes = rows.where("apart").withColumn("col", F.explode(F.sequence(F.lit(0), F.col("wide") - 1))).withColumn("row", F.pmod(place, "tall").cast("int")).withColumn("probe", F.lit(True))
     tried = failed.select("a", "b").unionByName(failed.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("id")).agg(F.collect_set("b").alias("tried"))
-    probes = probes.join(tried, "id", "left")
-    least, percent, top = p.percent / 100 - p.slack, p.percent, p.partners
-    columns = ["bucket", "row", "col", "id", "component", "size", "sig", "probe", "tried"]
+    rows = now.join(mixed, "bucket").join(fine, "id").join(tried, "id", "left")
+    rows = rows.select("bucket", "id", "component", "size", "fine", "tried", (F.col("component") != F.col("main")).alias("apart"), blocks(F.col("n")).alias("wide"), blocks(F.col("n") - F.col("top")).alias("tall"))
+    place = F.xxhash64("id")
+    # A bucket of one block is one group of rows, in which those apart are held against all; else each of its rows goes to a row, or a column, of blocks.
+    small = rows.where("wide = 1").withColumns({"row": F.lit(0), "col": F.lit(0), "probe": F.col("apart"), "whole": F.lit(True)})
+    large = rows.where("wide > 1")
+    whole = large.withColumns({"row": F.explode(F.sequence(F.lit(0), F.col("tall") - 1)), "col": F.pmod(place, "wide").cast("int"), "probe": F.lit(False), "whole": F.lit(True)})
+    probes = large.where("apart").withColumns({"col": F.explode(F.sequence(F.lit(0), F.col("wide") - 1)), "row": F.pmod(place, "tall").cast("int"), "probe": F.lit(True), "whole": F.lit(False)})
+    least, most = p.percent / 100 + 0.05, p.partners
+    columns = ["bucket", "row", "col", "id", "component", "size", "fine", "tried", "probe", "whole"]
 
     def of(table: pa.Table) -> pa.Table:
-        probe = np.asarray(table.column("probe").combine_chunks().to_pylist(), bool)
+        probe, inside = (np.asarray(table.column(c).to_pylist(), bool) for c in ("probe", "whole"))
         ids, parts, sizes = (np.asarray(table.column(c).to_pylist(), np.int64) for c in ("id", "component", "size"))
-        sigs = np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u4").reshape(len(ids), -1)
+        fine = np.frombuffer(b"".join(table.column("fine").to_pylist()), np.uint8).reshape(len(ids), -1)
         tried = table.column("tried").to_pylist()
-        found: set[tuple[int, int]] = set()
-        whole_ids, whole_parts, whole_sizes, whole_sigs = ids[~probe], parts[~probe], sizes[~probe], sigs[~probe]
+        at = np.flatnonzero(inside)
+        found: list[tuple[float, int, int, int, int]] = []
+        unsure: list[tuple[int, int]] = []
         for i in np.flatnonzero(probe):
-            fit = np.flatnonzero((whole_parts != parts[i]) & (np.minimum(whole_sizes, sizes[i]) * 100 >= np.maximum(whole_sizes, sizes[i]) * percent))
+            fit = at[parts[at] != parts[i]]
             if tried[i] and len(fit):
-                fit = fit[~np.isin(whole_ids[fit], tried[i])]
+                fit = fit[~np.isin(ids[fit], tried[i])]
             if len(fit):
-                near = (whole_sigs[fit] == sigs[i]).mean(axis=1)
-                fit, near = fit[near >= least], near[near >= least]
-                for j in fit[np.lexsort((whole_ids[fit], -near))][:top]:
-                    found.add((min(int(ids[i]), int(whole_ids[j])), max(int(ids[i]), int(whole_ids[j]))))
-        pairs = sorted(found)
+                near, fits = worth_checking(fine[i], sizes[i], fine[fit], sizes[fit], p)
+                near, fit = near[fits], fit[fits]
+                sure = near >= least
+                found += [(-float(n), int(ids[i]), int(ids[j]), int(parts[i]), int(parts[j])) for n, j in zip(near[sure], fit[sure], strict=True)]
+                near, fit = near[~sure], fit[~sure]
+                unsure += [(int(ids[i]), int(ids[j])) for j in fit[np.lexsort((ids[fit], -near))][:most]]
+                if len(found) > 1 << 17:
+                    found = forest(found)
+        pairs = sorted({(min(x, y), max(x, y)) for x, y in [*unsure, *(f[1:3] for f in forest(found))]})
         return pa.table({"a": pa.array([x for x, _ in pairs], pa.int64()), "b": pa.array([y for _, y in pairs], pa.int64())})
 
-    return whole.withColumn("tried", F.lit(None).cast("array<bigint>")).select(columns).unionByName(probes.select(columns)).groupBy("bucket", "row", "col").applyInArrow(of, "a long, b long").distinct()
+    return small.select(columns).unionByName(whole.select(columns)).unionByName(probes.select(columns)).groupBy("bucket", "row", "col").applyInArrow(of, "a long, b long").distinct()
+
+
+def forest(pairs: list[tuple[float, int, int, int, int]]) -> list[tuple[float, int, int, int, int]]:
+    """Of (rank, a, b, component of a, component of b) those that, taken in order, join components that are still apart."""
+    root: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while root.get(x, x) != x:
+            root[x] = root.get(root[x], root[x])
+            x = root[x]
+        return x
+
+    kept = []
+    for pair in sorted(pairs):
+        x, y = top(pair[3]), top(pair[4])
+        if x != y:
+            root[max(x, y)] = min(x, y)
+            kept.append(pair)
+    return kept
 
 
 def near_duplicates(docs: DataFrame, params: MinHashParams | None = None, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
@@ -197,10 +260,11 @@ def near_duplicates(docs: DataFrame, params: MinHashParams | None = None, id_col
     centres = buckets.groupBy("bucket").agg(F.min("id").alias("centre"), F.max("id").alias("last")).where("centre < last").select("bucket", "centre")
     members = scratch(buckets.join(centres, "bucket"), "members")
     pairs = members.where("id <> centre").select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct()
-    tested = scratch(_verified(scratch(_alike(pairs, reps, p), "pairs"), docs, p), "tested")
+    fine = scratch(_fine(docs, members, p), "fine")
+    tested = scratch(_verified(scratch(_alike(pairs, fine, p), "pairs"), docs, p), "tested")
     while True:
         links = scratch(connected_components(tested.where("linked")), "labels")
-        more = scratch(_unsettled(members.select("bucket", "id"), links, tested.where("not linked"), reps, p), "pairs")
+        more = scratch(_unsettled(members.select("bucket", "id"), links, tested.where("not linked"), fine, p), "pairs")
         if more.isEmpty():
             break
         tested = scratch(tested.unionByName(_verified(more, docs, p)), "tested")

@@ -13,6 +13,7 @@ from docspj.llm.decontaminate import contaminated
 from docspj.llm.exact import exact_duplicates
 from docspj.llm.language import identify, train_language_model
 from docspj.llm.licences import scan_licences
+from docspj.llm.line_templates import drop_recurring_lines
 from docspj.llm.minhash import near_duplicates
 from docspj.llm.mixture import mix_sources
 from docspj.llm.quality import score_quality, train_quality_model
@@ -73,12 +74,16 @@ def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "rejected")
 
 
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return drop_recurring_lines(read_table(spark, sf_dir, "documents"))
+
+
 def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_mixture, op2_licence_scan, op3_secret_scan, op4_token_files, op5_minhash_dedup, op6_exact_dedup, op7_quality, op8_language_id, op10_decontamination)
+    found = (op1_mixture, op2_licence_scan, op3_secret_scan, op4_token_files, op5_minhash_dedup, op6_exact_dedup, op7_quality, op8_language_id, op9_line_dedup, op10_decontamination)
     return {f.__name__: f for f in found}
 
 

@@ -9,6 +9,7 @@ attempt and then renamed, so a task that runs again leaves the same files.
 
 from __future__ import annotations
 
+import os
 import re
 import uuid
 import zlib
@@ -28,17 +29,19 @@ _TOUCHING = re.compile(r"\s\s")
 
 
 class CachingEncoder:
-    """Whole texts to ids with the tokenizers library, which sees each distinct piece of text once.
+    """Whole texts to ids with the tokenizers library, which sees a piece of text once while it is remembered.
 
-    A text is cut before each blank that follows something else than white space. There, and only there, the byte-level
-    vocabulary's splitting never joins what the cut parts, so a piece's ids do not depend on what is around it; pieces that were
-    seen before come from a table of bounded size. A text in which white space touches white space is encoded as it is.
+    A text is cut before each blank and line feed that follows something else than white space. There the byte-level
+    vocabulary's splitting never joins what the cut parts, so a piece's ids do not depend on what is around it. Pieces are
+    remembered in two generations of bounded size: what the older one answers moves to the younger. A text in which white
+    space touches white space is encoded as it is.
     """
 
-    def __init__(self, path: str, end_id: int | None, most: int = 200_000):
+    def __init__(self, path: str, end_id: int | None, most: int = 400_000):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.seen, self.most = Tokenizer.from_file(path), {}, most
+        self.tokenizer, self.young, self.old, self.most = Tokenizer.from_file(path), {}, {}, most
         self.end = b"" if end_id is None else np.array([end_id], "<u4").tobytes()
         self.width = 2 if max(self.tokenizer.get_vocab_size(True) - 1, end_id or 0) < 1 << 16 else 4
 
@@ -51,19 +54,28 @@ class CachingEncoder:
             return self.end
         if _TOUCHING.search(text):
             return self._ids(text) + self.end
-        parts, seen = text.split(" "), self.seen
-        head, parts = parts[0], parts[1:]
+        head, *parts = text.replace("\n", " \n").split(" ")
         first = self._ids(head) if head else b""
         try:
-            return first + b"".join(map(seen.__getitem__, parts)) + self.end
+            return first + b"".join(map(self.young.__getitem__, parts)) + self.end
         except KeyError:
             pass
-        if len(seen) > self.most:
-            seen.clear()
-        new = [p for p in set(parts) if p not in seen]
-        found = {p: np.array(e.ids, "<u4").tobytes() for p, e in zip(new, self.tokenizer.encode_batch_fast([f" {p}" for p in new], add_special_tokens=False), strict=True)}
-        seen.update((p, x) for p, x in found.items() if len(p) <= 64)
-        return first + b"".join([found[p] if p in found else seen[p] for p in parts]) + self.end
+        if len(self.young) > self.most:
+            self.old, self.young = self.young, {}
+        young, old, new = self.young, self.old, []
+        for p in set(parts):
+            if p not in young:
+                if p in old:
+                    young[p] = old[p]
+                else:
+                    new.append(p)
+        ids = self.tokenizer.encode_batch_fast([p if p[:1] == "\n" else f" {p}" for p in new], add_special_tokens=False)
+        young.update(zip(new, (np.array(e.ids, "<u4").tobytes() for e in ids), strict=True))
+        result = first + b"".join([young[p] for p in parts]) + self.end
+        for p in new:
+            if len(p) > 64:
+                del young[p]
+        return result
 
 
 def _open(folder: str) -> tuple[pa.fs.FileSystem, str]:
