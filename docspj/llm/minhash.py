@@ -1,9 +1,9 @@
 """MinHash near-duplicate groups: many universal hash minima, banding, signature check, exact check, components.
 
 A document's set is its distinct word shingles. Rows with the same set form one class and only the class's least id goes on.
-72 multiply-add-shift minima are cut into 24 bands of 3, so a pair of similarity 0.75 shares no band with a chance of 1e-6.
-Documents that share a band with another get a finer signature, the least shingle of each of 1024 hash ranges, which decides what
-is worth an exact check. Within a band's bucket no pairs are listed: first every member is held against the bucket's least id;
+144 multiply-add-shift minima are cut into 36 bands of 4, so a pair of similarity 0.75 shares no band with a chance of 1e-6.
+Documents that share a band with another get a finer signature, the least shingle of each of 4096 hash ranges, which decides what
+is worth an exact check; of all buckets two documents share, only the first band's looks at them. Within a band's bucket no pairs are listed: first every member is held against the bucket's least id;
 after components are formed, buckets that still hold several components are searched in blocks for untested pairs across
 components, and a block returns a number of pairs linear in its size; this goes on until none is left, so no link is lost to
 the number.
@@ -31,13 +31,14 @@ class MinHashParams:
 
     width: int = 5
     percent: int = 75
-    bands: int = 24
-    rows: int = 3
+    bands: int = 36
+    rows: int = 4
     deviations: float = 5.0
-    fine_bits: int = 10
+    fine_bits: int = 12
     block: int = 2048
-    partners: int = 16
+    partners: int = 64
     seed: int = 77
+    most_broadcast_ids: int = 1_000_000
 
     @property
     def hashes(self) -> int:
@@ -49,14 +50,18 @@ class MinHashParams:
         return odd, rng.integers(0, 2**63, self.hashes, dtype=np.uint64)
 
 
-def signature(elements: np.ndarray, odd: np.ndarray, shift: np.ndarray) -> np.ndarray:
-    """Minimum of each universal hash over the elements, upper 32 bits."""
+def band_hashes(elements: np.ndarray, odd: np.ndarray, shift: np.ndarray, rows: int) -> np.ndarray:
+    """Minimum of each universal hash over the elements, upper 32 bits, and one hash of each band's minima."""
     best = np.full(len(odd), np.uint64(2**64 - 1))
-    for at in range(0, len(elements), 2048):
-        part = elements[None, at : at + 2048] * odd[:, None]
+    for at in range(0, len(elements), 1024):
+        part = elements[None, at : at + 1024] * odd[:, None]
         part += shift[:, None]
         np.minimum(best, part.min(axis=1), out=best)
-    return (best >> np.uint64(32)).astype("<u4")
+    best = (best >> np.uint64(32)).reshape(-1, rows)
+    out = np.zeros(len(best), np.uint64)
+    for k in range(rows):
+        out = mix(out + best[:, k])
+    return out.astype("<u8")
 
 
 def _features(docs: DataFrame, p: MinHashParams) -> DataFrame:
@@ -71,7 +76,7 @@ def _features(docs: DataFrame, p: MinHashParams) -> DataFrame:
                 if len(found):
                     lows.append(int(found.sum(dtype=np.uint64).view(np.int64)))
                     highs.append(int(mix(found ^ np.uint64(0x5DEECE66D)).sum(dtype=np.uint64).view(np.int64)))
-                    sigs.append(signature(found, odd, shift).tobytes())
+                    sigs.append(band_hashes(found, odd, shift, p.rows).tobytes())
                 else:
                     lows.append(None), highs.append(None), sigs.append(None)
             yield pa.RecordBatch.from_arrays(
@@ -99,12 +104,38 @@ def worth_checking(one: np.ndarray, size: int, many: np.ndarray, sizes: np.ndarr
     union = (sizes + size) / (1 + least)
     spread = np.sqrt(least * (1 - least) / seen * np.clip(1 - seen / np.maximum(union, 1), 0, 1))
     near = agree / seen
-    sized = np.minimum(sizes, size) * 100 >= np.maximum(sizes, size) * p.percent
-    return near, sized & (near >= least - p.deviations * spread - 0.02)
+    return near, near >= least - p.deviations * spread - 0.01
 
 
-def _fine(docs: DataFrame, members: DataFrame, p: MinHashParams) -> DataFrame:
-    """(id, size, fine) of the members' documents."""
+def coarser(fine: np.ndarray) -> np.ndarray:
+    """The signature of ranges four times as wide."""
+    quarters = fine.reshape(*fine.shape[:-1], -1, 4)
+    out = quarters[..., 0].copy()
+    for k in range(1, 4):
+        np.copyto(out, quarters[..., k], where=out == 0)
+    return out
+
+
+def fitting(one: int, many: np.ndarray, fine: np.ndarray, coarse: np.ndarray, sizes: np.ndarray, p: MinHashParams) -> tuple[np.ndarray, np.ndarray]:
+    """Those of many worth an exact check with one, all places in the arrays, and how alike they look."""
+    many = many[np.minimum(sizes[many], sizes[one]) * 100 >= np.maximum(sizes[many], sizes[one]) * p.percent]
+    for level in (coarse, fine):
+        if not len(many):
+            break
+        near, fits = worth_checking(level[one], sizes[one], level[many], sizes[many], p)
+        near, many = near[fits], many[fits]
+    return (near, many) if len(many) else (np.empty(0), many)
+
+
+def _texts(docs: DataFrame, members: DataFrame, p: MinHashParams) -> DataFrame:
+    """(id, text) of the members' documents; few ids are broadcast, more are shuffled with the texts."""
+    ids = members.select("id").distinct()
+    few = ids.limit(p.most_broadcast_ids + 1).count() <= p.most_broadcast_ids
+    return docs.join(F.broadcast(ids) if few else ids, "id", "left_semi").dropDuplicates(["id"])
+
+
+def _fine(texts: DataFrame, reps: DataFrame, p: MinHashParams) -> DataFrame:
+    """(id, size, fine, sig) of texts(id, text)."""
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -112,7 +143,7 @@ def _fine(docs: DataFrame, members: DataFrame, p: MinHashParams) -> DataFrame:
             fine = [fine_signature(x, p.fine_bits).tobytes() for x in sets]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(fine, pa.binary())], names=["id", "size", "fine"])
 
-    return docs.join(members.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"]).mapInArrow(of, "id long, size long, fine binary")
+    return texts.mapInArrow(of, "id long, size long, fine binary").join(reps.select("id", "sig"), "id")
 
 
 def _alike(pairs: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
@@ -122,20 +153,18 @@ def _alike(pairs: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sizes = [batch.column(k).to_numpy() for k in (2, 3)]
+            sizes = np.stack([batch.column(k).to_numpy() for k in (2, 3)], axis=1)
             keep = []
             for row, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
-                one, two = (np.frombuffer(v.as_py(), np.uint8) for v in (x, y))
-                keep.append(bool(worth_checking(one, sizes[0][row], two[None, :], sizes[1][row : row + 1], p)[1][0]))
+                two = np.frombuffer(x.as_py() + y.as_py(), np.uint8).reshape(2, -1)
+                keep.append(bool(len(fitting(0, np.array([1]), two, coarser(two), sizes[row], p)[1])))
             yield pa.RecordBatch.from_arrays(list(batch.columns[:2]), names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     return both.select("a", "b", "na", "nb", "fa", "fb").mapInArrow(of, "a long, b long")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, p: MinHashParams) -> DataFrame:
+def _verified(pairs: DataFrame, texts: DataFrame, p: MinHashParams) -> DataFrame:
     """(a, b, linked): each pair held against the whole texts' full sets."""
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    texts = docs.join(ends, "id", "left_semi").dropDuplicates(["id"])
     both = pairs.join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b").join(
         texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a"
     )
@@ -166,26 +195,32 @@ def _verified(pairs: DataFrame, docs: DataFrame, p: MinHashParams) -> DataFrame:
     return both.select("a", "b", "ta", "tb").mapInArrow(of, "a long, b long, linked boolean")
 
 
-def _unsettled(members: DataFrame, labels: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
+def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
+    """(bucket, band, id, component, main, n, top) of buckets that still hold several components: main is the commonest, top its size, n the
+    bucket's. Of buckets with the same members the first band's stays; one of two members has been tested."""
+    now = members.select("bucket", "band", "id").join(labels, "id", "left").select("bucket", "band", "id", F.coalesce("component", "id").alias("component"))
+    by_part = now.groupBy("bucket", "band", "component").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("id")).alias("mark"))
+    several = (
+        by_part.groupBy("bucket", "band")
+        .agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"), F.max("n").alias("top"), F.count(F.lit(1)).alias("parts"), F.bit_xor("mark").alias("mark"))
+        .where("parts > 1 and n > 2")
+        .groupBy("n", "mark")
+        .agg(F.min(F.struct("band", "bucket", "main", "n", "top")).alias("one"))
+        .select("one.bucket", "one.main", "one.n", "one.top")
+    )
+    return now.join(several, "bucket")
+
+
+def _unsettled(mixed: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
     """Untested pairs (a, b) across components within the same bucket whose fine signatures allow the similarity.
 
     Members outside the bucket's commonest component are held against all its members, block by block. Of pairs that are surely
     alike a block returns a forest over what is still apart, of others a member's most alike; later rounds take what is left.
     """
-    now = members.join(labels, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
-    by_part = now.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("id")).alias("mark"))
-    mixed = (
-        by_part.groupBy("bucket")
-        .agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"), F.max("n").alias("top"), F.count(F.lit(1)).alias("parts"), F.bit_xor("mark").alias("mark"))
-        .where("parts > 1 and n > 2")
-        .groupBy("n", "mark")
-        .agg(F.min(F.struct("bucket", "main", "n", "top")).alias("one"))
-        .select("one.*")
-    )
     blocks = lambda n: F.ceil(n / F.lit(float(p.block))).cast("int")
     tried = failed.select("a", "b").unionByName(failed.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("id")).agg(F.collect_set("b").alias("tried"))
-    rows = now.join(mixed, "bucket").join(fine, "id").join(tried, "id", "left")
-    rows = rows.select("bucket", "id", "component", "size", "fine", "tried", (F.col("component") != F.col("main")).alias("apart"), blocks(F.col("n")).alias("wide"), blocks(F.col("n") - F.col("top")).alias("tall"))
+    rows = mixed.join(fine, "id").join(tried, "id", "left")
+    rows = rows.select("bucket", "band", "id", "component", "size", "fine", "sig", "tried", (F.col("component") != F.col("main")).alias("apart"), blocks(F.col("n")).alias("wide"), blocks(F.col("n") - F.col("top")).alias("tall"))
     place = F.xxhash64("id")
     # A bucket of one block is one group of rows, in which those apart are held against all; else each of its rows goes to a row, or a column, of blocks.
     small = rows.where("wide = 1").withColumns({"row": F.lit(0), "col": F.lit(0), "probe": F.col("apart"), "whole": F.lit(True)})
@@ -193,29 +228,29 @@ def _unsettled(members: DataFrame, labels: DataFrame, failed: DataFrame, fine: D
     whole = large.withColumns({"row": F.explode(F.sequence(F.lit(0), F.col("tall") - 1)), "col": F.pmod(place, "wide").cast("int"), "probe": F.lit(False), "whole": F.lit(True)})
     probes = large.where("apart").withColumns({"col": F.explode(F.sequence(F.lit(0), F.col("wide") - 1)), "row": F.pmod(place, "tall").cast("int"), "probe": F.lit(True), "whole": F.lit(False)})
     least, most = p.percent / 100 + 0.05, p.partners
-    columns = ["bucket", "row", "col", "id", "component", "size", "fine", "tried", "probe", "whole"]
+    columns = ["bucket", "row", "col", "band", "id", "component", "size", "fine", "sig", "tried", "probe", "whole"]
 
     def of(table: pa.Table) -> pa.Table:
         probe, inside = (np.asarray(table.column(c).to_pylist(), bool) for c in ("probe", "whole"))
         ids, parts, sizes = (np.asarray(table.column(c).to_pylist(), np.int64) for c in ("id", "component", "size"))
         fine = np.frombuffer(b"".join(table.column("fine").to_pylist()), np.uint8).reshape(len(ids), -1)
-        tried = table.column("tried").to_pylist()
+        coarse, bands = coarser(fine), np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u8").reshape(len(ids), -1)
+        tried, band = table.column("tried").to_pylist(), table.column("band")[0].as_py()
         at = np.flatnonzero(inside)
         found: list[tuple[float, int, int, int, int]] = []
         unsure: list[tuple[int, int]] = []
         for i in np.flatnonzero(probe):
             fit = at[parts[at] != parts[i]]
+            fit = fit[~(bands[fit, :band] == bands[i, :band]).any(axis=1)]
             if tried[i] and len(fit):
                 fit = fit[~np.isin(ids[fit], tried[i])]
-            if len(fit):
-                near, fits = worth_checking(fine[i], sizes[i], fine[fit], sizes[fit], p)
-                near, fit = near[fits], fit[fits]
-                sure = near >= least
-                found += [(-float(n), int(ids[i]), int(ids[j]), int(parts[i]), int(parts[j])) for n, j in zip(near[sure], fit[sure], strict=True)]
-                near, fit = near[~sure], fit[~sure]
-                unsure += [(int(ids[i]), int(ids[j])) for j in fit[np.lexsort((ids[fit], -near))][:most]]
-                if len(found) > 1 << 17:
-                    found = forest(found)
+            near, fit = fitting(i, fit, fine, coarse, sizes, p)
+            sure = near >= least
+            found += [(-float(n), int(ids[i]), int(ids[j]), int(parts[i]), int(parts[j])) for n, j in zip(near[sure], fit[sure], strict=True)]
+            near, fit = near[~sure], fit[~sure]
+            unsure += [(int(ids[i]), int(ids[j])) for j in fit[np.lexsort((ids[fit], -near))][:most]]
+            if len(found) > 1 << 17:
+                found = forest(found)
         pairs = sorted({(min(x, y), max(x, y)) for x, y in [*unsure, *(f[1:3] for f in forest(found))]})
         return pa.table({"a": pa.array([x for x, _ in pairs], pa.int64()), "b": pa.array([y for _, y in pairs], pa.int64())})
 
@@ -255,19 +290,24 @@ def near_duplicates(docs: DataFrame, params: MinHashParams | None = None, id_col
     reps = scratch(
         with_set.groupBy("low", "high").agg(F.min("id").alias("id"), F.first("n_shingles").alias("n"), F.max("sig").alias("sig")), "classes"
     )
-    step = 4 * p.rows
-    buckets = reps.select("id", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(p.bands - 1)), lambda k: F.xxhash64(k, F.col("sig").substr(k * step + 1, F.lit(step)))))).select("id", F.col("col").alias("bucket"))
+    bands = F.transform(F.sequence(F.lit(0), F.lit(p.bands - 1)), lambda k: F.xxhash64(k, F.col("sig").substr(k * 8 + 1, F.lit(8))))
+    buckets = reps.select("id", F.posexplode(bands).alias("band", "bucket"))
     centres = buckets.groupBy("bucket").agg(F.min("id").alias("centre"), F.max("id").alias("last")).where("centre < last").select("bucket", "centre")
     members = scratch(buckets.join(centres, "bucket"), "members")
     pairs = members.where("id <> centre").select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct()
-    fine = scratch(_fine(docs, members, p), "fine")
-    tested = scratch(_verified(scratch(_alike(pairs, fine, p), "pairs"), docs, p), "tested")
+    texts = scratch(_texts(docs, members, p), "texts")
+    fine = scratch(_fine(texts, reps, p), "fine")
+    tested = scratch(_verified(scratch(_alike(pairs, fine, p), "pairs"), texts, p), "tested")
+    links = scratch(connected_components(tested.where("linked")), "labels")
     while True:
-        links = scratch(connected_components(tested.where("linked")), "labels")
-        more = scratch(_unsettled(members.select("bucket", "id"), links, tested.where("not linked"), fine, p), "pairs")
+        mixed = scratch(_mixed(members, links), "mixed")
+        more = scratch(_unsettled(mixed, tested.where("not linked"), fine, p), "pairs")
         if more.isEmpty():
             break
-        tested = scratch(tested.unionByName(_verified(more, docs, p)), "tested")
+        new = scratch(_verified(more, texts, p), "tested")
+        members, tested = mixed, tested.unionByName(new)
+        if not new.where("linked").isEmpty():
+            links = scratch(connected_components(tested.where("linked")), "labels")
     classes = reps.select("low", "high", F.col("id").alias("rep")).join(links.withColumnRenamed("id", "rep"), "rep", "left").select("low", "high", F.coalesce("component", "rep").alias("part"))
     alone = features.where("id is null or n_shingles = 0").select("id", "n_shingles", F.col("id").alias("component_id"))
     grouped = with_set.join(classes, ["low", "high"]).select("id", "n_shingles", F.col("part").alias("component_id"))
