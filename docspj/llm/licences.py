@@ -103,7 +103,7 @@ def scan_licences(docs: DataFrame, notices: dict[str, list[str]] | None = None,
     """
     short, long = _templates(notices or NOTICES), _templates({k: [v] for k, v in (bodies or BODIES).items()})
     docs = docs.select("doc_id", "text").where("text is not null")
-    lines = docs.select("doc_id", F.posexplode(F.split("text", r"\n")).alias("line", "content"))
+    lines = docs.select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "content"))
     by_line = lines.select("doc_id", F.lit("line").alias("unit"), "line", F.explode(_matches(F.col("content"), short, least)).alias("best"))
     by_document = docs.select("doc_id", F.lit("document").alias("unit"), F.lit(-1).alias("line"), F.explode(_matches(F.col("text"), long, least)).alias("best"))
     return by_line.unionByName(by_document).select("doc_id", "unit", "line", "best.licence", "best.dice")

@@ -23,8 +23,9 @@ _PART = 4000
 
 def masked_lines(text: Column) -> Column:
     """array of the text's lines, blanks made single and words with digits made variable; null has none."""
-    fields = F.regexp_replace(text, r"(?<!\S)[^\s\d]*+\d\S*", FIELD)
-    return F.transform(F.split(F.regexp_replace(fields, r"[ \t\x0B\f\r]+", " "), r"\n"), lambda x: F.trim(x))
+    fields = F.when(text.rlike("[0-9]"), F.regexp_replace(text, r"(?<!\S)[^\s\d]*+\d\S*", FIELD)).otherwise(text)
+    single = F.when(fields.rlike(r"[\t\x0B\f\r]|  "), F.regexp_replace(fields, r"[ \t\x0B\f\r]+", " ")).otherwise(fields)
+    return F.transform(F.split(single, "\n"), lambda x: F.trim(x))
 
 
 def leaf(line: Column, depth: int) -> Column:
@@ -100,6 +101,6 @@ def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int
     recurring = placed.groupBy("template").agg(F.count_distinct("key").alias("documents")).where(F.col("documents") >= least_documents)
     dropped = placed.join(recurring, "template", "left_semi").groupBy("key").agg(F.collect_set("at").alias("at"))
     both = rows.join(dropped, "key", "left")
-    cut = F.split("text", r"\n", -1)
+    cut = F.split("text", "\n", -1)
     kept = F.array_join(F.filter(cut, lambda x, i: ~F.coalesce(F.array_contains("at", i), F.lit(False))), "\n")
     return both.select("doc_id", F.coalesce(F.when(F.col("text").isNotNull(), F.size(cut)), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size("at"), F.lit(0)).cast("long").alias("n_dropped"), F.when(F.col("at").isNull(), F.col("text")).otherwise(kept).alias("text"))
