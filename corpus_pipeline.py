@@ -37,7 +37,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def token_files(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token files of the mix, and what they hold of each row."""
-    return tokenise(docs, public_tokenizers.path("byte_bpe_50k.json"))
+    return tokenise(docs, public_tokenizers.path("byte_bpe_50k.json"), remembered=100_000)
 
 
 STAGES = [("language_id", language_id), ("near_dedup", near_dedup), ("decontaminate", decontaminate), ("mix", mix), ("token_files", token_files)]

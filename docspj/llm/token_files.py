@@ -26,6 +26,10 @@ from docspj.llm.common import only, scratch_path
 
 _HEAD = 3
 _TOUCHING = re.compile(r"\s\s")
+_LATIN_END, _MARKS = "\u0250", (".", ",")
+#: Byte-level vocabularies write bytes that are no visible Latin-1 letter as letters from U+0100 on, in order.
+_VISIBLE = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
+_BYTE_LETTERS = {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in _VISIBLE)}
 
 
 class CachingEncoder:
@@ -37,17 +41,61 @@ class CachingEncoder:
     space touches white space is encoded as it is.
     """
 
-    def __init__(self, path: str, end_id: int | None, most: int = 400_000):
+    def __init__(self, path: str, end_id: int | None, most: int = 600_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer, self.young, self.old, self.most = Tokenizer.from_file(path), {}, {}, most
+        self.merges = self.tokenizer.model.tokenize
+        special = self.tokenizer.get_added_tokens_decoder()
+        names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size(True))]
+        self.packed = [np.array([i], "<u4").tobytes() for i in range(len(names))]
+        self.lengths = np.array([len(n.encode()) if i in special else len(n) for i, n in enumerate(names)])
         self.end = b"" if end_id is None else np.array([end_id], "<u4").tobytes()
         self.width = 2 if max(self.tokenizer.get_vocab_size(True) - 1, end_id or 0) < 1 << 16 else 4
 
     def _ids(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def _word(self, word: str) -> bytes:
+        """Ids of one piece of the vocabulary's own splitting, straight from its merges."""
+        packed = self.packed
+        return b"".join([packed[t.id] for t in self.merges(word.encode().decode("latin-1").translate(_BYTE_LETTERS))])
+
+    def _pieces(self, new: list[str]) -> dict[str, bytes]:
+        """Ids of pieces that were not seen yet.
+
+        Latin words, alone, after a line feed or before a full stop or comma, are pieces of the vocabulary's own splitting. All others go in one
+        text, whose ids' lengths in bytes say where each piece ends.
+        """
+        found, rest, packed, merges, blank = {}, [], self.packed, self.merges, _BYTE_LETTERS[32]
+        for p in new:
+            if p.isascii() and p.isalpha():
+                found[p] = b"".join([packed[t.id] for t in merges(blank + p)])
+            elif p.isalpha() and max(p) < _LATIN_END:
+                found[p] = self._word(f" {p}")
+            elif p[-1:] in _MARKS and p[:-1].isalpha() and max(p) < _LATIN_END:
+                stem = p[:-1]
+                known = self.young.get(stem) or found.get(stem)
+                if known is None:
+                    known = found[stem] = self._word(f" {stem}")
+                found[p] = known + self._word(p[-1])
+            elif p[:1] == "\n" and p[1:].isalpha() and max(p) < _LATIN_END:
+                found[p] = self._word("\n") + self._word(p[1:])
+            elif not p or p[-1].isspace():
+                found[p] = self._ids(p if p[:1] == "\n" else f" {p}")
+            else:
+                rest.append(p)
+        if rest:
+            plain = [p if p[0] == "\n" else f" {p}" for p in rest]
+            ids = np.array(self.tokenizer.encode_batch_fast(["".join(plain)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.searchsorted(np.cumsum(self.lengths[ids]), np.cumsum([len(p.encode()) for p in plain])) + 1
+            raw, at = ids.tobytes(), 0
+            for p, cut in zip(rest, (cuts * 4).tolist(), strict=True):
+                found[p] = raw[at:cut]
+                at = cut
+        return found
+
     def encode(self, text: str | None) -> bytes:
         """The text's ids, and the end id, as 32-bit unsigned little-endian integers."""
         if not text:
@@ -56,22 +104,16 @@ class CachingEncoder:
             return self._ids(text) + self.end
         head, *parts = text.replace("\n", " \n").split(" ")
         first = self._ids(head) if head else b""
-        try:
-            return first + b"".join(map(self.young.__getitem__, parts)) + self.end
-        except KeyError:
-            pass
         if len(self.young) > self.most:
             self.old, self.young = self.young, {}
         young, old, new = self.young, self.old, []
-        for p in set(parts):
-            if p not in young:
-                if p in old:
-                    young[p] = old[p]
-                else:
-                    new.append(p)
-        ids = self.tokenizer.encode_batch_fast([p if p[:1] == "\n" else f" {p}" for p in new], add_special_tokens=False)
-        young.update(zip(new, (np.array(e.ids, "<u4").tobytes() for e in ids), strict=True))
-        result = first + b"".join([young[p] for p in parts]) + self.end
+        for p in set(parts).difference(young):
+            if p in old:
+                young[p] = old[p]
+            else:
+                new.append(p)
+        young.update(self._pieces(new))
+        result = first + b"".join(map(young.__getitem__, parts)) + self.end
         for p in new:
             if len(p) > 64:
                 del young[p]
@@ -82,7 +124,7 @@ def _open(folder: str) -> tuple[pa.fs.FileSystem, str]:
     return pa.fs.FileSystem.from_uri(folder)
 
 
-def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int | None = 2, rows_a_shard: int = 20_000) -> DataFrame:
+def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int | None = 2, rows_a_shard: int = 20_000, remembered: int = 600_000) -> DataFrame:
     """Write docs(doc_id, text) to folder in ascending order of doc_id, null ids first; (shard, docs, ids) of each shard.
 
     Null and empty texts are the end id alone. Rows that repeat an id are each written, in the order of their texts. Without rows
@@ -101,7 +143,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id:
             if not batch.num_rows:
                 continue
             if encoder is None:
-                encoder = CachingEncoder(tokenizer_path, end_id)
+                encoder = CachingEncoder(tokenizer_path, end_id, remembered)
                 system.create_dir(root, recursive=True)
                 out = system.open_output_stream(f"{target}.bin.{attempt}")
             for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -158,10 +200,10 @@ def read_token_files(shards: DataFrame, folder: str) -> DataFrame:
     return spread.mapInArrow(of, "doc_id long, shard long, start long, n_tokens long, ids_crc32 long")
 
 
-def tokenise(docs: DataFrame, tokenizer_path: str, folder: str | None = None, end_id: int | None = 2) -> DataFrame:
+def tokenise(docs: DataFrame, tokenizer_path: str, folder: str | None = None, end_id: int | None = 2, **options) -> DataFrame:
     """Write docs as token files, to a folder of the shared one if none is given, and return what the files hold of each document."""
     folder = folder or scratch_path(docs.sparkSession, "tokens")
-    written = write_token_files(docs, tokenizer_path, folder, end_id)
+    written = write_token_files(docs, tokenizer_path, folder, end_id, **options)
     path = scratch_path(docs.sparkSession, "shards")
     written.write.parquet(path)
     shards = docs.sparkSession.read.schema(written.schema).parquet(path)

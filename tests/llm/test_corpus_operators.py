@@ -177,7 +177,7 @@ def test_mixture(spark, sf_dir, odd, none):
     assert mixture.mix_sources(none).collect() == []
 
 
-PIECES = st.lists(st.sampled_from(["the", "Of", " ", "  ", "\n", "\n\n", ",", ".", "é", "12", "'s", "\t", "<|endoftext|>", "\xa0", "abc.\nThe", "\x1c", "!!"]), max_size=25)
+PIECES = st.lists(st.sampled_from(["word.", "Größe,", "\nÉté", "naïve", "...", "日本", "don't", "the", "Of", " ", "  ", "\n", "\n\n", ",", ".", "é", "12", "'s", "\t", "<|endoftext|>", "\xa0", "abc.\nThe", "\x1c", "!!"]), max_size=25)
 ENCODER, PLAIN = token_files.CachingEncoder(BPE, 2, most=5), Tokenizer.from_file(BPE)
 
 
