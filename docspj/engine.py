@@ -159,7 +159,7 @@ class Engine:
         sums = done.agg(F.sum("tokens"), F.sum("select_tokens"), F.sum("calls")).first()
         run.charge(phase, sums[0], sums[2])
         run.charge("select", sums[1])
-        return done.where("kept").drop("plan", "tokens", "calls", "select_tokens", "kept", "is_in")
+        return done.where("kept").drop("plan", "tokens", "calls", "select_tokens", "kept", "is_in", "read_attrs")
 
     def stats(self, side: Side, key: str) -> SideStats:
         cost = {a: F.col(f"cost_{a}") for a in [*attributes_of(side.tree), key]}

@@ -3,11 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable, Iterator
+from dataclasses import dataclass
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
+from docspj.functions.text import n_tokens
 from docspj.model import Expr, attributes_of, leaves, test, test_python
 from docspj.plans.costs import relevant, value_of
 from docspj.plans.ordering import fold, node_value, open_leaves, order_column, start_state, step_state
@@ -45,9 +47,48 @@ def fold_executor(docs: DataFrame, expr: Expr, value: dict[str, Column], cost: d
     for a in dict.fromkeys(select):
         own = F.coalesce(cost[a], F.lit(0)).cast("bigint")
         late = late + (F.when(F.element_at("walk.seen", attributes.index(a) + 1), 0).otherwise(own) if a in attributes else own)
+    names = F.lit(attributes)
+    after = after.withColumn("read_attrs", F.filter(names, lambda a, i: F.element_at("walk.seen", i + 1)))
     return after.withColumns({"tokens": F.col("walk.tokens"), "calls": F.col("walk.calls"), "select_tokens": F.when(F.col("kept"), late).otherwise(0).cast("bigint")}).drop("walk")
 
 
+@dataclass(frozen=True)
+class TokenModel:
+    """What a call costs besides the text it is given: a prompt, and its answer's own tokens."""
+
+    prompt: int = 0
+    count_output: bool = True
+
+
+def ledger(done: DataFrame, key: str, cost: dict[str, Column], value: dict[str, Column], query: str = "", phase: str = "filter", model: TokenModel | None = None) -> DataFrame:
+    """(query, key, attr, phase, tokens_in, tokens_out, calls) of what the fold executor read: a row a document and attribute."""
+    model = model or TokenModel()
+    priced = F.array(*[F.struct(F.lit(a).alias("attr"), F.coalesce(c, F.lit(0)).cast("bigint").alias("tokens"), (n_tokens(value[a].cast("string")) if model.count_output else F.lit(0)).cast("bigint").alias("out")) for a, c in cost.items()])
+    rows = done.select(key, "read_attrs", F.inline(priced)).where(F.array_contains("read_attrs", F.col("attr")))
+    called = F.col("tokens") > 0
+    return rows.select(
+        F.lit(query).alias("query"), key, "attr", F.lit(phase).alias("phase"),
+        F.when(called, F.col("tokens") + model.prompt).otherwise(0).cast("bigint").alias("tokens_in"), F.when(called, F.col("out")).otherwise(0).cast("bigint").alias("tokens_out"), called.cast("int").alias("calls"),
+    )
+
+
+def observed(done: DataFrame, name: str) -> tuple[DataFrame, Observation]:
+    """done, and its sums of tokens, calls and kept documents, gathered while it is computed for something else."""
+    seen = Observation(name)
+    return done.observe(seen, F.sum("tokens").alias("tokens"), F.sum("calls").alias("calls"), F.count_if("kept").alias("kept")), seen
+
+
+def in_selectivity(sample: DataFrame, key: str, values: DataFrame) -> float:
+    """Share of a sample whose key is among values(value)."""
+    held = sample.join(values.select(F.col("value").alias("member")).distinct(), F.col(key) == F.col("member"), "left")
+    return held.agg(F.avg(F.col("member").isNotNull().cast("double"))).first()[0] or 0.0
+
+
+def join_selectivity(left: DataFrame, left_key: str, right: DataFrame, right_key: str) -> float:
+    """Share of the right sample that meets a key of the left one: an estimate before anything is run."""
+    return in_selectivity(right, right_key, left.select(F.col(left_key).alias("value")))
+
+
 def row_executor(docs: DataFrame, expr: Expr, context: dict[str, str], cost: dict[str, str], extract: Callable[[str, str], object], keep: Iterable[str]) -> DataFrame:
     """One pass over docs(plan, context and cost columns): extract(attribute, text) is called only when a test needs it.
 

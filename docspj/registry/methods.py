@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 from docspj.functions.text import bucket, embed, n_tokens, norm2, sentences
 from docspj.model import Expr, all_of, any_of, attributes_of, eq, ge, le, leaves, normalise
 from docspj.operators.index import ExactIndex, IVFIndex, LSHIndex, PQIndex
-from docspj.operators.lazy import fold_executor, planned
+from docspj.operators.lazy import TokenModel, fold_executor, planned
+from docspj.operators.lazy import ledger as ledger_rows
 from docspj.plans.ordering import expected_in_order, order_column, plan_node
 
 #: Filters on `part` with chances as a sample would give them.
@@ -57,6 +58,24 @@ def ledger(expr: Expr, mode: str = "adaptive") -> Callable[[SparkSession, str],
     return of
 
 
+def token_ledger(s: SparkSession, d: str) -> DataFrame:
+    """Tokens in and out, and calls, by attribute and phase, with totals."""
+    c, v = _columns(AND3)
+    done = fold_executor(planned(_part(s, d), AND3, c, P), AND3, v, c)
+    rows = ledger_rows(done, "p_partkey", c, v, "and3", model=TokenModel(prompt=12))
+    return rows.rollup("phase", "attr").agg(F.sum("tokens_in").alias("tokens_in"), F.sum("tokens_out").alias("tokens_out"), F.sum("calls").cast("bigint").alias("calls"))
+
+
+def _token_ledger_sql() -> str:
+    names = {x.id: x.attr for x in leaves(AND3)}
+    attr = "case leaf " + " ".join(f"when {i} then '{a}'" for i, a in names.items()) + " end"
+    return f"""with l as ({_leaf_rows_sql(AND3)}),
+r as (select *, row_number() over (partition by p_partkey order by (1 - p) / c desc, leaf) as k from l),
+w as (select *, coalesce(min(t) over (partition by p_partkey order by k rows between unbounded preceding and 1 preceding), 1) as reached from r)
+select phase, attr, cast(sum(c + 12) as bigint) as tokens_in, cast(count(*) as bigint) as tokens_out, cast(count(*) as bigint) as calls
+from (select 'filter' as phase, {attr} as attr, c from w where reached = 1) x group by rollup (phase, attr)"""
+
+
 def arms(s: SparkSession, d: str) -> DataFrame:
     """Tokens of each way of ordering over the whole table."""
     rows = None
@@ -300,7 +319,7 @@ _TOKENS = r"len(regexp_extract_all({}, '\S+'))"
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "order_and_priority": best_cost(AND3), "order_or_priority": best_cost(OR3), "order_tree": best_cost(TREE4), "expected_cost_and": expected_written(AND3), "expected_cost_or": expected_written(OR3),
-        "lazy_ledger_and": ledger(AND3), "lazy_ledger_or": ledger(OR3), "lazy_ledger_tree": ledger(TREE4), "order_arms_cost": arms, "argmin_order": argmin_order, "join_plan_costs": join_costs, "join_in_filter": join_in_filter,
+        "lazy_ledger_and": ledger(AND3), "lazy_ledger_or": ledger(OR3), "lazy_ledger_tree": ledger(TREE4), "order_arms_cost": arms, "argmin_order": argmin_order, "token_ledger": token_ledger, "join_plan_costs": join_costs, "join_in_filter": join_in_filter,
         "hash_embedding": hash_embedding, "document_tokens": tokens_by_document, "baseline_fullscan_cost": full_scan_cost, "benchmark_passage_hits": benchmark_hits, "sentence_rows": sentence_rows, "vector_exact_topk": exact_topk,
         "vector_range": vector_range, "vector_ivf_recall": ivf_recall, "vector_pq_recall": pq_recall, "vector_lsh_join": lsh_join, "hash_buckets": bucket_histogram, "tuple_prf1": tuple_prf1, "hash_sample": hash_sample,
         "selectivity_all_leaves": selectivity_all_leaves, "context_roles": segment_order, "running_tokens": running_tokens,
@@ -310,7 +329,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "order_and_priority": _enumerated_sql(AND3, "{}"), "order_or_priority": _enumerated_sql(OR3, "(1 - {})"), "order_tree": _tree_sql(), "expected_cost_and": _expected_written_sql(AND3, "{}"),
-        "expected_cost_or": _expected_written_sql(OR3, "(1 - {})"), "lazy_ledger_and": _flat_ledger_sql("and"), "lazy_ledger_or": _flat_ledger_sql("or"), "order_arms_cost": _arms_sql(), "argmin_order": _argmin_sql(),
+        "expected_cost_or": _expected_written_sql(OR3, "(1 - {})"), "lazy_ledger_and": _flat_ledger_sql("and"), "lazy_ledger_or": _flat_ledger_sql("or"), "order_arms_cost": _arms_sql(), "argmin_order": _argmin_sql(), "token_ledger": _token_ledger_sql(),
         "join_plan_costs": JOIN_COSTS_SQL, "join_in_filter": "select c_custkey, c_name from customer where c_nationkey in (select n_nationkey from nation where n_regionkey = 2)", "hash_embedding": HASH_EMBEDDING_SQL,
         "document_tokens": f"select doc_id, cast({_TOKENS.format('text')} as integer) as tokens from documents",
         "baseline_fullscan_cost": f"""select a as first, b as second, count(*) as docs, cast(sum(t + case when a then t + case when b then t else 0 end else 0 end) as bigint) as tokens

@@ -9,7 +9,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from docspj.model import Edge, JoinGraph, Leaf, Node, all_of, any_of, attributes_of, between, depth, eq, fuse_same_attribute, ge, isin, le, leaves, normalise, predicate, table
-from docspj.operators.lazy import averages, fold_executor, planned, round_executor, row_executor, selectivities
+from docspj.operators.lazy import TokenModel, averages, fold_executor, in_selectivity, join_selectivity, ledger, observed, planned, round_executor, row_executor, selectivities
 from docspj.plans.costs import SideStats, choose_side, combine, expected_flat, expected_walk, ideal_cost, in_cost, order_or_with_overlap, order_tree, pushdown_cost, sibling_orders, walk
 from docspj.plans.ordering import sibling_permutations
 from docspj.session import cut
@@ -172,3 +172,15 @@ def test_order_column_grows_with_the_tree(spark):
     plan = planned(spark.range(50), tree, cost, {x.id: 0.5 for x in leaves(tree)})
     assert plan.count() == 50 and all(len(r.plan) == 16 for r in plan.collect())
     assert "Exchange" not in plan._jdf.queryExecution().executedPlan().toString()
+
+
+def test_ledger_and_observation(spark):
+    tree = normalise(all_of(ge("a", 5), ge("b", 1)))
+    docs = spark.createDataFrame([("x", 9, 2, 3, 40), ("y", 1, 2, 3, 40), ("z", 9, None, 3, 0)], "doc_key string, a int, b int, ca long, cb long")
+    v, c = {"a": F.col("a"), "b": F.col("b")}, {"a": F.col("ca"), "b": F.col("cb")}
+    done, seen = observed(fold_executor(planned(docs, tree, c, {1: 0.5, 2: 0.9}), tree, v, c), "run")
+    rows = {(r.doc_key, r.attr): (r.tokens_in, r.tokens_out, r.calls) for r in ledger(done, "doc_key", c, v, model=TokenModel(prompt=7)).collect()}
+    assert rows == {("x", "a"): (10, 1, 1), ("x", "b"): (47, 1, 1), ("y", "a"): (10, 1, 1), ("z", "b"): (0, 0, 0)}
+    assert seen.get == {"tokens": 46, "calls": 3, "kept": 1}
+    values = spark.createDataFrame([(9,), (9,)], "value int")
+    assert in_selectivity(docs, "a", values) == pytest.approx(2 / 3) and join_selectivity(docs.limit(0), "a", docs, "a") == 0.0
