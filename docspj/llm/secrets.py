@@ -62,7 +62,8 @@ def labelled_samples(docs: DataFrame, documents: int = 300, strings: int = 1500,
     digest = F.sha2(F.concat(F.lit(f"{seed}:"), F.col("id").cast("string")), 256)
     alone = F.regexp_replace(F.base64(F.unhex(digest)), "[+/=]", "")
     random = spark.range(strings).select(F.explode(F.array(F.base64(F.unhex(digest)), alone, F.upper(digest))).alias("sample"), F.lit(True).alias("is_secret"))
-    chosen = bounded_sample(docs.select("doc_id", "text").where("text is not null"), "doc_id", documents, seed)
+    ids = bounded_sample(docs.select("doc_id").where("doc_id is not null and text is not null"), "doc_id", documents, seed).distinct()
+    chosen = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id", "left_semi").where("text is not null")
     words = chosen.select(F.regexp_extract_all("text", F.lit(r"[A-Za-z]{3,}"), 0).alias("words"))
     join = lambda sep: F.transform(F.sequence(F.lit(1), F.size("words") - 1), lambda i: F.concat_ws(sep, F.element_at("words", i), F.element_at("words", i + 1)))
     ordinary = words.where("size(words) > 1").select(F.explode(F.concat("words", F.transform("words", lambda w: F.upper(w)), join("_"), join("-"), F.transform(join(" "), lambda w: F.regexp_replace(F.initcap(w), " ", "")))).alias("sample"), F.lit(False).alias("is_secret"))
