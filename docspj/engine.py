@@ -18,6 +18,7 @@ from docspj.operators.retrieval import Probes, extract, fit_probes, retrieve, re
 from docspj.plans.costs import SideStats, choose_side, combine
 from docspj.plans.ordering import plan_node
 from docspj.session import cut
+from docspj.sqlfront import parse
 
 RETRIEVALS = ("evidence", "description", "synthetic", "located", "full", "topk")
 
@@ -123,6 +124,10 @@ class Engine:
             side.mean = averages(sample, {a: side.cost()[a] for a in attributes_of(tree)})
         return side, probes
 
+    def sql(self, text: str) -> DataFrame:
+        """The tuples of a query given as text."""
+        return self.run(parse(text)).tuples
+
     def run(self, query: Query) -> Run:
         run, sides = Run(None), {}  # type: ignore[arg-type]
         for t in query.tables:

@@ -123,6 +123,9 @@ def test_located_retrieval_answers_exactly(spark, index, name):
     q = by_name(name)
     run = Engine(index, specs("P"), Settings(retrieval="located")).run(q)
     assert same(run, spark, q)[:2] == (1.0, 1.0)
+    if name == "P11":
+        text = "select name from part where type = 'SMALL' and size >= 30 and price <= 950"
+        assert Engine(index, specs("P"), Settings(retrieval="located")).sql(text).count() == run.tuples.count() == 15
     full = Engine(index, specs("P"), Settings(retrieval="full", order="written", join="pushdown")).run(q)
     assert same(full, spark, q)[:2] == (1.0, 1.0) and full.total > run.total
 
