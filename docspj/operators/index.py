@@ -120,18 +120,18 @@ class LSHIndex:
         return found.select(F.col("datasetA.key").alias("a"), F.col("datasetB.key").alias("b"), "dist").where("a < b")
 
 
-def kmeans_centres(points: Sequence[Sequence[float]], k: int = 3, iterations: int = 20) -> list[list[float]]:
-    """Centres of few points on the driver: farthest-first start from the point nearest the mean, then Lloyd steps. Fewer distinct points than k: each is one."""
+def kmeans_centres(points: Sequence[Sequence[float]], k: int = 3, iterations: int = 20, counts: Sequence[int] | None = None) -> list[list[float]]:
+    """Centres of few points on the driver: farthest-first start from the point nearest the mean, then Lloyd steps. Fewer distinct points than k: each is one. A point counts `counts` times."""
     x = np.unique(np.asarray(points, float), axis=0)
     if len(x) <= k:
         return x.tolist()
     chosen = [int(((x - x.mean(0)) ** 2).sum(1).argmin())]
     while len(chosen) < k:
         chosen.append(int(np.min([((x - x[c]) ** 2).sum(1) for c in chosen], axis=0).argmax()))
-    full, centres = np.asarray(points, float), x[chosen]
+    full, centres, weights = np.asarray(points, float), x[chosen], np.ones(len(points)) if counts is None else np.asarray(counts, float)
     for _ in range(iterations):
         own = ((full[:, None, :] - centres[None]) ** 2).sum(2).argmin(1)
-        new = np.array([full[own == j].mean(0) if (own == j).any() else centres[j] for j in range(k)])
+        new = np.array([np.average(full[own == j], axis=0, weights=weights[own == j]) if (own == j).any() else centres[j] for j in range(k)])
         if np.allclose(new, centres):
             break
         centres = new

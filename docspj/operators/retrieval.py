@@ -77,17 +77,17 @@ def refine_docs(docs: DataFrame, tau: float) -> DataFrame:
     return docs.where(F.col("doc_dist") <= tau)
 
 
-def sample_docs(docs: DataFrame, rate: float = 0.05, seed: str = "sample", least: int = 5, most: int = 10_000) -> DataFrame:
-    """ceil(rate x n) documents, of least md5 rank, at most `most`; and the `least` documents nearest the query, so that a small table is met."""
+def sample_docs(docs: DataFrame, rate: float = 0.05, seed: str = "sample", least: int = 5) -> DataFrame:
+    """ceil(rate x n) documents, of least md5 rank; and the `least` documents nearest the query, so that a small table is met."""
     n = docs.count()
-    size = min(most, max(least, math.ceil(rate * n)))
+    size = max(least, math.ceil(rate * n))
     drawn = docs.orderBy(md5_rank(F.col("doc_key"), seed), "doc_key").limit(size)
     return drawn.unionByName(docs.orderBy("doc_dist", "doc_key").limit(least)).dropDuplicates(["doc_key"]) if "doc_dist" in docs.columns else drawn
 
 
 def analyse(segments: DataFrame, sample: DataFrame, attributes: Sequence[Attribute]) -> DataFrame:
     """Every segment of the sampled documents, read in full: (doc_key, seg_no, n_tokens, vec, has_<attribute> ...)."""
-    own = segments.join(F.broadcast(sample.select("doc_key", "doc_dist")), "doc_key")
+    own = segments.join(sample.select("doc_key", "doc_dist"), "doc_key")
     return own.select("doc_key", "doc_dist", "seg_no", "n_tokens", "vec", "n2", *[finds(F.col("text"), a).alias(f"has_{a.name}") for a in attributes])
 
 
@@ -123,29 +123,35 @@ def fit_gamma_cluster(vectors: Sequence[Sequence[float]], centres: Sequence[Sequ
 
 def fit_probes(
     index: TwoLevelIndex, attributes: Sequence[Attribute], rate: float = 0.05, k: int = 3, probes: str = "evidence", margin: float = MARGIN, tau0: float = TAU0, seed: str = "sample", synthetic: int = 20,
-    gamma_mode: str = "diameter", required: str | None = None, generator: Callable[[Attribute, int], list[str]] | None = None, most_evidence: int = 5000, d: int = DIMENSIONS, least: int = 10,
+    gamma_mode: str = "diameter", required: str | None = None, generator: Callable[[Attribute, int], list[str]] | None = None, d: int = DIMENSIONS, least: int = 10,
 ) -> Probes:
     """Sample the documents a permissive search finds, read them in full, and fit probes and radii.
 
-    A sampled document is relevant if it holds any attribute (or the `required` one). The driver gets the evidence of the sample alone, `most_evidence`
-    segments an attribute at most.
+    A sampled document is relevant if it holds any attribute (or the `required` one). All evidence of the sample counts: tau is an
+    aggregate, and the driver gets each distinct vector of an attribute's evidence once, with the number of its segments.
     """
     query = query_embedding(attributes, d)
     found = retrieve_docs(index.docs, query, tau0)
     sample = sample_docs(found, rate, seed, least).select("doc_key", "doc_dist").persist()
     rows = analyse(index.segments, sample, attributes)
-    held = rows.where(" or ".join(f"has_{a.name}" for a in attributes)).orderBy("doc_key", "seg_no").limit(most_evidence * len(attributes)).collect()
+    held = rows.where(" or ".join(f"has_{a.name}" for a in attributes))
+    relevant = held.where(f"has_{required}") if required else held
+    farthest = relevant.agg(F.max("doc_dist")).first()[0]
+    names = F.array_compact(F.array(*[F.when(F.col(f"has_{a.name}"), F.lit(a.name)) for a in attributes]))
+    evidence = held.join(relevant.select("doc_key").distinct(), "doc_key", "left_semi").select(F.explode(names).alias("name"), F.array_sort(F.map_entries("vec")).alias("entries"))
+    vectors: dict[str, list] = {a.name: [] for a in attributes}
+    for r in evidence.groupBy("name", "entries").agg(F.count(F.lit(1)).alias("n")).orderBy("name", "entries").collect():
+        vectors[r.name].append((unit({e["key"]: e["value"] for e in r.entries}, d), r.n))
     total = rows.agg(F.coalesce(F.sum("n_tokens"), F.lit(0)).alias("t"), F.count_distinct("doc_key").alias("n")).first()
     sample.unpersist()
-    dense = lambda r: unit(dict(r.vec), d)
-    relevant = {r.doc_key: r.doc_dist for r in held if required is None or r[f"has_{required}"]}
-    thresholds, centres, sizes = Thresholds(fit_tau(relevant.values(), margin, tau0)), {}, {}
+    thresholds, centres, sizes = Thresholds(fit_tau([] if farthest is None else [farthest], margin, tau0)), {}, {}
     for a in attributes:
-        own = [dense(r) for r in held if r[f"has_{a.name}"] and r.doc_key in relevant][:most_evidence]
-        sizes[a.name] = len(own)
+        own, counts = [v for v, _ in vectors[a.name]], [n for _, n in vectors[a.name]]
+        sizes[a.name] = sum(counts)
         if probes == "synthetic" or not own:
             own = [unit(python_embed(t, d), d) for t in synthesise_evidence(a, synthetic, generator)]
-        centres[a.name] = kmeans_centres(own, k)
+            counts = [1] * len(own)
+        centres[a.name] = kmeans_centres(own, k, counts=counts)
         thresholds.gamma[a.name] = fit_gamma(own, margin) if gamma_mode == "diameter" else fit_gamma_cluster(own, centres[a.name], margin)
         if probes == "description":
             centres[a.name] = [unit(python_embed(description(a), d), d)]

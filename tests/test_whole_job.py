@@ -3,7 +3,12 @@
 import datetime
 
 import pytest
+from pyspark.sql import functions as F
 
+from docspj.functions.text import embed, norm2
+from docspj.model import Attribute
+from docspj.operators.index import TwoLevelIndex, kmeans_centres
+from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
 from docspj.registry.suites import answer
 from docspj.sources.corpora import truth
 from docspj.workload import by_name
@@ -42,3 +47,24 @@ def test_every_order_has_a_dossier(spark, few_orders):
 def test_dossier_query_answers_over_every_order(spark, few_orders):
     d, orders = few_orders
     assert sorted(r.order_order_key for r in answer(spark, d, by_name("C01")).collect()) == [o[0] for o in orders if o[2] == "F"] == [7, 1500]
+
+
+def test_all_evidence_of_the_sample_counts(spark):
+    """10,050 documents, of which the last by key is the only one worded another way."""
+    text = F.when(F.col("id") == 10_049, F.lit("Much later and far away some heavy crate of the size is 7")).otherwise(F.lit("part size is 5"))
+    rows = spark.range(10_050).select(F.lit("x").alias("corpus"), F.format_string("d%05d", "id").alias("doc_key"), text.alias("text")).withColumn("vec", embed(F.col("text"))).withColumn("n2", norm2(F.col("vec")))
+    docs = rows.select("corpus", "doc_key", F.array("vec").alias("vecs"), F.array("n2").alias("n2s"))
+    index = TwoLevelIndex(docs, rows.select("corpus", "doc_key", F.lit(0).alias("seg_no"), "text", F.lit(4).alias("n_tokens"), "vec", "n2"))
+    size = Attribute("size", "part size", "bigint", r"size is ([0-9]+)")
+    assert sample_docs(docs, 1.0).count() == 10_050
+    probes = fit_probes(index, [size], rate=1.0, tau0=2.0)
+    assert probes.sample_docs == probes.evidence["size"] == 10_050 and len(probes.centres["size"]) == 2
+    assert retrieve(index, [size], probes).where("doc_key = 'd10049' and cost_size > 0").count() == 1
+
+
+def test_counted_points_are_as_many_points():
+    points = [[0.0, 0.0], [0.0, 1.0], [5.0, 5.0], [6.0, 5.0], [9.0, 0.0]]
+    counts = [1, 3, 2, 2, 4]
+    repeated = [p for p, n in zip(points, counts, strict=True) for _ in range(n)]
+    for a, b in zip(kmeans_centres(points, 2, counts=counts), kmeans_centres(repeated, 2), strict=True):
+        assert a == pytest.approx(b)
