@@ -86,7 +86,7 @@ class IVFIndex:
 
 
 class PQIndex:
-    """Product quantisation: m sub-vectors, each a code of ks centres; distances are sums of table entries."""
+    """Product quantisation: m sub-vectors, each a code of ks centres; distances are sums of table entries. The vectors stay beside the codes."""
 
     def __init__(self, vectors: DataFrame, m: int = 8, ks: int = 16, seed: int = 1, key: str = "vec_id", column: str = "embedding", sample: int = 100_000):
         base = vectors.select(F.col(key).alias("key"), F.col(column).cast("array<double>").alias("vec"))
@@ -96,15 +96,19 @@ class PQIndex:
             part = rows.select(array_to_vector(F.slice("vec", j * self.width + 1, self.width)).alias("features"))
             self.books.append([c.tolist() for c in KMeans(k=ks, seed=seed, maxIter=15).fit(part).clusterCenters()])
         code = lambda j: F.array_min(F.array(*[F.struct(euclid(F.slice("vec", j * self.width + 1, self.width), F.lit(c)).alias("d"), F.lit(i).cast("byte").alias("c")) for i, c in enumerate(self.books[j])]))["c"]
-        self.codes = base.select("key", F.array(*[code(j) for j in range(m)]).alias("code"))
+        self.vectors, self.codes = base, base.select("key", F.array(*[code(j) for j in range(m)]).alias("code"))
 
-    def topk(self, probes: DataFrame, k: int) -> DataFrame:
-        """Nearest by asymmetric distance: the probe is exact, the stored vector its code."""
+    def topk(self, probes: DataFrame, k: int, shortlist: int | None = None) -> DataFrame:
+        """Nearest by asymmetric distance: the probe is exact, the stored vector its code. The `shortlist` nearest so are ranked by their exact distance."""
         table = lambda j: F.array(*[F.pow(euclid(F.slice("pvec", j * self.width + 1, self.width), F.lit(c)), 2) for c in self.books[j]])
         asked = probes.select("probe", F.array(*[table(j) for j in range(self.m)]).alias("tables"))
         both = self.codes.crossJoin(F.broadcast(asked))
         dist = F.sqrt(F.aggregate(F.zip_with("tables", "code", lambda t, c: F.element_at(t, c.cast("int") + 1)), F.lit(0.0), lambda s, x: s + x))
-        return _nearest(both.select("probe", F.struct(F.round(dist, 9).alias("dist"), "key").alias("hit")), k)
+        coded = _nearest(both.select("probe", F.struct(F.round(dist, 9).alias("dist"), "key").alias("hit")), max(k, shortlist or k))
+        if shortlist is None:
+            return coded
+        near = coded.select("probe", "key").join(F.broadcast(probes.select("probe", "pvec")), "probe").join(self.vectors, "key")
+        return _nearest(near.select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit")), k)
 
 
 class LSHIndex:

@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from docspj.functions.text import embed, norm2
 from docspj.model import Attribute
-from docspj.operators.index import TwoLevelIndex, kmeans_centres
+from docspj.operators.index import ExactIndex, PQIndex, TwoLevelIndex, kmeans_centres
 from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
+from docspj.registry import methods
 from docspj.registry.suites import answer
 from docspj.sources.corpora import truth
 from docspj.workload import by_name
@@ -68,3 +69,13 @@ def test_counted_points_are_as_many_points():
     repeated = [p for p, n in zip(points, counts, strict=True) for _ in range(n)]
     for a, b in zip(kmeans_centres(points, 2, counts=counts), kmeans_centres(repeated, 2), strict=True):
         assert a == pytest.approx(b)
+
+
+def test_searches_reach_the_recall(spark, sf_dir):
+    row = methods.ivf_recall(spark, sf_dir).first()
+    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    probes = methods._asked(spark, sf_dir)
+    assert row.recall >= 0.9 and row.n == 10 * v.where("vec_id % 20 = 0").count()
+    index = PQIndex(v, 4, 4)
+    exact = {(r.probe, r.rank, r.key) for r in ExactIndex(v).topk(probes, 5).collect()}
+    assert {(r.probe, r.rank, r.key) for r in index.topk(probes, 5, v.count()).collect()} == exact
