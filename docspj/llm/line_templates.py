@@ -5,6 +5,8 @@ leaf keeps templates, and a line joins the most alike one whose share of equal w
 variable. Only leaves that enough documents reach are looked at, and in them each distinct line once, so a line that a
 third of all rows hold is one row. A leaf of many distinct lines is parsed in salted parts, and the parts' templates are parsed once
 more together.
+
+A long line need not reach so many documents: chance does not repeat it, so its second holder is enough, and one document keeps it.
 """
 
 from __future__ import annotations
@@ -77,15 +79,24 @@ def _parsed(lines: DataFrame, similarity: float) -> DataFrame:
     return dealt.mapInArrow(of, "leaf long, line string, template string")
 
 
-def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int = 3, similarity: float = 0.6) -> DataFrame:
-    """(doc_id, n_lines, n_dropped, text) of each row of docs(doc_id, text): the text without lines of templates that `least_documents` documents hold.
+def long_repeats(split: DataFrame, long_words: int) -> DataFrame:
+    """(key, at) of the lines of split(doc_id, key, lines) with more than `long_words` fixed words that a document of lesser id holds too."""
+    fixed = F.size(F.filter(F.split("line", " "), lambda w: w != FIELD))
+    long = split.select("doc_id", "key", F.posexplode("lines").alias("at", "line")).where((F.char_length("line") > 2 * long_words) & (fixed > long_words)).select("doc_id", "key", "at", F.xxhash64("line").alias("hash"))
+    held = long.groupBy("hash").agg(F.min(F.struct("doc_id", "key"))["key"].alias("first"), F.min("key").alias("low"), F.max("key").alias("high")).where("low <> high")
+    return long.join(held.select("hash", "first"), "hash").where("key <> first").select("key", "at")
+
+
+def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int = 3, similarity: float = 0.6, long_words: int = 50) -> DataFrame:
+    """(doc_id, n_lines, n_dropped, text) of each row of docs(doc_id, text): the text without lines of templates that `least_documents` documents hold,
+    and without lines of more than `long_words` fixed words that a document of lesser id holds too.
 
     Lines are cut at line feeds; blank lines are never dropped. A null text stays null and has no lines; an empty text is one blank line. Rows with the same id and text
     are one document in the counts, and each is returned; rows without an id count by their text. Other columns are ignored.
     """
     key = F.xxhash64("doc_id", "text")
     rows = docs.select("doc_id", "text", key.alias("key"))
-    split = rows.where("text is not null").select("key", masked_lines(F.col("text")).alias("lines"))
+    split = rows.where("text is not null").select("doc_id", "key", masked_lines(F.col("text")).alias("lines"))
     reached = split.select("key", F.explode(F.array_distinct(F.transform("lines", lambda x: leaf(x, depth)))).alias("leaf")).where("leaf is not null").groupBy("leaf").count()
     leaves = scratch(reached.where(F.col("count") >= least_documents).select("leaf"), "leaves")
     every = split.select("key", F.posexplode("lines").alias("at", "line")).withColumn("leaf", leaf(F.col("line"), depth)).where("leaf is not null")
@@ -99,7 +110,7 @@ def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int
     named = scratch(first.join(merged, ["leaf", "template"]).select("leaf", "line", F.xxhash64("leaf", "merged").alias("template")), "named")
     placed = lines.join(named, ["leaf", "line"]).select("key", "at", "template")
     recurring = placed.groupBy("template").agg(F.count_distinct("key").alias("documents")).where(F.col("documents") >= least_documents)
-    dropped = placed.join(recurring, "template", "left_semi").groupBy("key").agg(F.collect_set("at").alias("at"))
+    dropped = placed.join(recurring, "template", "left_semi").select("key", "at").unionByName(long_repeats(split, long_words)).groupBy("key").agg(F.collect_set("at").alias("at"))
     both = rows.join(dropped, "key", "left")
     cut = F.split("text", "\n", -1)
     kept = F.array_join(F.filter(cut, lambda x, i: ~F.coalesce(F.array_contains("at", i), F.lit(False))), "\n")
