@@ -27,11 +27,14 @@ def session(master: str = "local[*]", **settings: str) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
+    """The folder all executors share: what the cluster names. Where none is named, one of this machine, if the master is local too."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not named:
         given = spark.sparkContext._jsc.sc().getCheckpointDir()
         named = given.get() if given.isDefined() else None
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="docspj-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/") if ":" in named else "file://" + named.rstrip("/")
