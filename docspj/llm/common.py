@@ -2,40 +2,34 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from docspj.session import shared_dir
+
 #: White space of the contracts: blank, tab, line feed, vertical tab, form feed, carriage return.
 SPACE_CHARS = " \t\n\x0b\x0c\r"
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 DOCUMENT_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
-#: Rows that go to a Python worker at once. Texts are long, and a worker holds a batch several times over.
-BATCH_ROWS = 2000
+#: A worker holds what it works on several times over: pieces of so many rows, and bytes, at most. One row alone may be longer.
+PIECE_ROWS, PIECE_BYTES = 2000, 16 << 20
 
 
-def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > BATCH_ROWS:
-        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
-    return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
+def slices(batches):
+    """Arrow batches cut into parts of bounded rows and bytes; Spark itself bounds a batch by spark.sql.execution.arrow.maxBytesPerBatch."""
+    for batch in batches:
+        rows = max(1, min(PIECE_ROWS, batch.num_rows * PIECE_BYTES // max(1, batch.nbytes)))
+        for low in range(0, batch.num_rows, rows):
+            yield batch.slice(low, rows)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: what the cluster names, or one of this process where none is named."""
-    context = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir", None)
-    if not named:
-        java_dir = context._jsc.sc().getCheckpointDir()
-        named = java_dir.get() if java_dir.isDefined() else None
-    if not named:
-        named = "file://" + tempfile.mkdtemp(prefix="docspj-shared-")
-        context.setCheckpointDir(named)
-    return named.rstrip("/") if "://" in named or named.startswith("file:") else "file://" + named.rstrip("/")
+def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
 def scratch_path(spark: SparkSession, label: str) -> str:
@@ -82,7 +76,7 @@ def keep_rows(df: DataFrame, text_column: str, decide) -> DataFrame:
     at = df.columns.index(text_column)
 
     def of(batches):
-        for batch in batches:
+        for batch in slices(batches):
             if batch.num_rows:
                 yield batch.filter(pa.array(decide(batch.column(at).to_pylist()), pa.bool_()))
 

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from docspj.llm.common import held_out, keep_rows, only
+from docspj.llm.common import held_out, keep_rows, only, slices
 
 UNKNOWN = "und"
 _BITS = 15
@@ -142,7 +142,7 @@ def train_language_model(docs: DataFrame, per_language: int = 500, most_language
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         is_letter = _letters()
-        for batch in batches:
+        for batch in slices(batches):
             texts = batch.column(1).to_pylist()
             rows: list[np.ndarray | None] = [None] * len(texts)
             for first, found in subwords(texts, is_letter):
@@ -172,7 +172,7 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
     docs = only(docs, ["doc_id", "text"])
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             names, score, rejected = predict(model, batch.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(score, pa.float64()), pa.array(rejected, pa.bool_())], names=["doc_id", "lang_pred", "score", "rejected"])
 

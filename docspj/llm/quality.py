@@ -16,7 +16,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from docspj.llm.common import bounded_sample, held_out, only
+from docspj.llm.common import bounded_sample, held_out, only, slices
 
 PIECE = 1000
 
@@ -85,7 +85,7 @@ def train_quality_model(docs: DataFrame, labels: DataFrame, per_class: int = 150
     taught, checked = (docs.join(F.broadcast(c[0].unionByName(c[1])), "doc_id").select("doc_id", "text", "quality") for c in chosen)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             ids, labels, found = [], [], []
             for key, text, q in zip(batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 starts = range(0, len(text), PIECE)
@@ -113,7 +113,7 @@ def _gains(docs: DataFrame, model: QualityModel, extra: str = "") -> DataFrame:
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         compressors = model.compressors()
-        for batch in batches:
+        for batch in slices(batches):
             found = [gain(t.as_py(), compressors) for t in batch.column(1).cast(pa.binary())]
             rest = [batch.column(2).cast(pa.int32())] if extra else []
             yield pa.RecordBatch.from_arrays([batch.column(0), *rest, pa.array(found, pa.float64())], names=["doc_id", *([extra.split()[0]] if extra else []), "gain"])
