@@ -8,6 +8,7 @@ likelihoods, and its mean a character, are high enough.
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -36,21 +37,52 @@ class MarkovRatio:
     least_total: float = 12.0
 
 
+def running(values: Column, start: int, op: Callable[[Column, Column], Column], block: int = 256) -> Column:
+    """array<int>: what op makes of start and all values before each place. In blocks, so that growing an array by one copies a block at most."""
+
+    def prefix(xs: Column, first: Column) -> Column:
+        state = F.struct(first.alias("at"), F.array().cast("array<int>").alias("out"))
+        return F.aggregate(xs, state, lambda s, x: F.struct(op(s["at"], x).alias("at"), F.concat(s["out"], F.array(s["at"])).alias("out")), lambda s: s["out"])
+
+    count = F.ceil(F.size(values) / F.lit(float(block))).cast("int")
+    blocks = F.when(count > 0, F.transform(F.sequence(F.lit(0), F.greatest(count, F.lit(1)) - 1), lambda b: F.slice(values, b * block + 1, block))).otherwise(F.array().cast("array<array<int>>"))
+    bases = prefix(F.transform(blocks, lambda b: F.aggregate(b, F.lit(start), op)), F.lit(start))
+    return F.flatten(F.zip_with(blocks, bases, prefix))
+
+
 def _spans(text: Column, pattern: str, group: int, least: int, kind: int) -> Column:
     """array(struct(start, kind, end)) of the leftmost, non-overlapping matches whose group is long enough, in code points."""
     regex = F.lit(pattern)
+    length = lambda x: F.coalesce(F.char_length(x), F.lit(0))
     zipped = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, regex, 0).alias("all"), F.regexp_extract_all(text, regex, group).alias("part"))
+    sizes = F.transform(zipped, lambda x: F.struct(length(x["gap"]).alias("gap"), length(x["all"]).alias("all"), length(x["part"]).alias("part")))
+
+    def placed(xs: Column) -> Column:
+        before = running(F.transform(xs, lambda x: x["gap"] + x["all"]), 0, lambda a, b: a + b)
+        spans = F.zip_with(xs, before, lambda x, at: F.struct((at + x["gap"]).alias("start"), F.lit(kind).alias("kind"), (at + x["gap"] + x["all"]).alias("end"), x["part"].alias("part")))
+        return F.transform(F.filter(spans, lambda s: s["part"] >= least), lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end")))
+
     none = F.array().cast("array<struct<start:int,kind:int,end:int>>")
+    return F.when(F.coalesce(text.rlike(pattern), F.lit(False)), once(sizes, placed)).otherwise(none)
+
+
+def once(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body of a value that is computed once, however often body names it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def untouched(base: Column, runs: Column, kind: int) -> Column:
+    """Those of the runs, spans of the given kind, that no base span touches: a pass over both in order of their starts, each way."""
+    never = (1 << 31) - 1
 
-    def step(done: Column, x: Column) -> Column:
-        start = done["at"] + F.char_length(x["gap"])
-        end = start + F.coalesce(F.char_length(x["all"]), F.lit(0))
-        one = F.array(F.struct(start.alias("start"), F.lit(kind).alias("kind"), end.alias("end")))
-        fits = F.coalesce(F.char_length(x["part"]) >= least, F.lit(False))
-        return F.struct(end.alias("at"), F.when(fits, F.concat(done["spans"], one)).otherwise(done["spans"]).alias("spans"))
+    def of(spans: Column) -> Column:
+        reach = running(F.transform(spans, lambda s: F.when(s["kind"] == kind, 0).otherwise(s["end"])), 0, lambda a, b: F.greatest(a, b))
+        following = F.reverse(running(F.reverse(F.transform(spans, lambda s: F.when(s["kind"] == kind, never).otherwise(s["start"]))), never, lambda a, b: F.least(a, b)))
+        zipped = F.arrays_zip(spans.alias("s"), reach.alias("reach"), following.alias("next"))
+        free = F.filter(zipped, lambda x: (x["s"]["kind"] == kind) & (x["reach"] <= x["s"]["start"]) & (x["next"] >= x["s"]["end"]))
+        return F.transform(free, lambda x: x["s"])
 
-    found = F.aggregate(zipped, F.struct(F.lit(0).alias("at"), none.alias("spans")), step, lambda done: done["spans"])
-    return F.when(F.coalesce(text.rlike(pattern), F.lit(False)), found).otherwise(none)
+    return F.when((F.size(base) == 0) | (F.size(runs) == 0), runs).otherwise(once(F.array_sort(F.concat(base, runs)), of))
 
 
 def labelled_samples(docs: DataFrame, documents: int = 300, strings: int = 1500, seed: int = 3) -> DataFrame:
@@ -108,7 +140,7 @@ def scan_secrets(docs: DataFrame, model: MarkovRatio) -> DataFrame:
     spans = [_spans(text, _SCANNED.get(name, pattern), group, least, k) for k, (name, (pattern, group, least)) in enumerate(KINDS.items())]
     rows = docs.select("doc_id", text.alias("text"), F.array_sort(F.concat(*spans)).alias("base"), _spans(text, _RUN, 0, 20, len(KINDS)).alias("runs"))
     cut = lambda s: F.substring(F.col("text"), s["start"] + 1, s["end"] - s["start"])
-    free = F.filter("runs", lambda r: ~F.exists("base", lambda b: (b["start"] < r["end"]) & (r["start"] < b["end"])))
+    free = untouched(F.col("base"), F.col("runs"), len(KINDS))
     rated = F.transform(free, lambda r: F.struct(r["start"].alias("start"), r["kind"].alias("kind"), r["end"].alias("end"), log_ratio(cut(r), model).alias("ratio")))
     secret = F.filter(rated, lambda r: (r["ratio"] >= model.least_total) & (r["ratio"] >= model.least_mean * (r["end"] - r["start"] - 1)))
     valued = lambda spans: F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"), cut(s).alias("value")))
