@@ -3,8 +3,9 @@
 A document's key is an exponential draw, from a hash of its id, over its quality weight. A source whose target is e times its
 size and a rest gives e whole epochs, and for the rest its documents of least keys up to the budget,
 and the one document more that comes nearest to what these leave of it. Keys are dealt into
-buckets by size; sums by bucket say which bucket the budget ends in, so only that bucket's documents are sorted and
-prefix-summed, and a source with a third of all rows is no single task.
+buckets by size; sums by bucket say which bucket the budget ends in, twice more that bucket is dealt into finer ones, and only what
+lies in the last is sorted and prefix-summed: a part of the source that its own size divided by millions gives. Then a source is a cut
+key and a closing document, and whether a row is taken is a comparison with these: no window sees a text.
 """
 
 from __future__ import annotations
@@ -41,20 +42,29 @@ def targets(sizes: dict[str | None, int], weights: Sequence[float] = (5, 2, 1),
     return got
 
 
-def mix_sources(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most_epochs: float = 2.0, seed: int = 1, most_sources: int = 100_000, whole_rows: bool = False) -> DataFrame:
-    """(doc_id, source, size, source_size, target, copies, taken) of every row of docs(doc_id, text, source).
+#: Buckets a doubling of the key, and how many finer ones each is dealt into at each of two steps.
+_COARSE, _FINER = 64, 1024
+
+
+def _unit(seed: int) -> Column:
+    return (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col("doc_id").cast("string")), 11) + F.lit(0.5)) / float(1 << 53)
+
+
+def sampling_key(seed: int) -> Column:
+    """The Efraimidis-Spirakis key of a row of docs(doc_id, text), an exponential draw over the quality weight: least keys come first."""
+    return -F.log(_unit(seed)) / text_quality(F.col("text"))
+
 
-    With whole_rows the rows themselves follow as a struct. copies: how often the mix takes the document; taken = copies x size. A null or empty text has size 0 and is taken in whole
-    epochs and, its key allowing, in the fractional one. A null source is a source, the last in order. Rows that repeat an id share its key; ties of key are
-    ordered by id and size. Reruns agree: keys are hashes. The driver gets one sum a source, and refuses more than `most_sources`.
+def _bucket(step: int) -> Column:
+    return F.floor(F.log2("key") * (_COARSE * _FINER**step)).cast("long")
+
+
+def _plans(sized: DataFrame, weights: Sequence[float], share: float, most_epochs: float, most_sources: int) -> DataFrame:
+    """A row a source of sized(doc_id, source, size, key): of, source_size, target, epochs, end, cut, closing.
+
+    The fractional epoch takes rows in buckets before `end`, in it those up to the struct `cut` of key and id, and the struct `closing`.
     """
-    unit = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col("doc_id").cast("string")), 11) + F.lit(0.5)) / float(1 << 53)
-    rows = docs.select(
-        *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")] if whole_rows else []),
-        "doc_id", "source", word_count(F.col("text")).alias("size"), (-F.log(unit) / text_quality(F.col("text"))).alias("key"),
-    ).withColumn("bucket", F.floor(F.log2("key") * 64).cast("int"))
-    sized = scratch(rows.drop("row"), "sizes")
-    rows = rows if whole_rows else sized
+    spark = sized.sparkSession
     sizes = {r[0]: r[1] for r in sized.groupBy("source").agg(F.sum("size")).limit(most_sources + 1).collect()}
     if len(sizes) > most_sources:
         raise ValueError(f"more than {most_sources} sources")
@@ -62,47 +72,62 @@ def mix_sources(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: fl
     for s, wanted in targets(sizes, weights, share, most_epochs).items():
         epochs = int(wanted // sizes[s]) if sizes[s] else 0
         plan.append((s, sizes[s], float(wanted), epochs, float(wanted - epochs * sizes[s])))
-    spark = docs.sparkSession
-    plan = spark.createDataFrame(plan, "source string, source_size long, target double, epochs int, rest double")
-    in_order = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    by_bucket = sized.groupBy("source", "bucket").agg(F.sum("size").alias("held")).withColumn("upto", F.sum("held").over(in_order))
-    ends = (
-        by_bucket.join(F.broadcast(plan), by_bucket["source"].eqNullSafe(plan["source"]))
-        .where("upto >= rest")
-        .groupBy(by_bucket["source"].alias("of"))
-        .agg(F.min_by(F.struct("bucket", (F.col("upto") - F.col("held")).alias("before")), "bucket").alias("end"))
-    )
-    plan = plan.join(ends, F.col("source").eqNullSafe(F.col("of")), "left").select(F.col("source").alias("of"), "source_size", "target", "epochs", "rest", "end.bucket", "end.before").toDF("of", "source_size", "target", "epochs", "rest", "end", "before")
-    sorted_ = Window.partitionBy("source").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-
-    def split(rows: DataFrame) -> DataFrame:
-        """rows with `extra`: whether the fractional epoch takes the row. Only the buckets in which budgets end are sorted."""
-        planned = rows.join(F.broadcast(plan), rows["source"].eqNullSafe(plan["of"])).drop("of")
-        edge = planned.where("bucket = end").withColumn("extra", F.col("before") + F.sum("size").over(sorted_) <= F.col("rest"))
-        others = planned.where("end is null or bucket <> end").withColumn("extra", F.coalesce(F.col("bucket") < F.col("end"), F.lit(False)))
-        return edge.unionByName(others)
-
+    plan = spark.createDataFrame(plan, "of string, source_size long, target double, epochs int, rest double")
+    # Which bucket the budget ends in, and the words before it; then the same within it. A budget of nothing ends nowhere.
+    edges = plan.where("rest > 0").select("of", "rest", F.lit(None).cast("long").alias("end"), F.lit(0).cast("long").alias("before"))
+    for step in range(3):
+        inside = sized.join(F.broadcast(edges), F.col("source").eqNullSafe(F.col("of")))
+        if step:
+            inside = inside.where(_bucket(step - 1) == F.col("end"))
+        held = inside.groupBy("of", "rest", "before", _bucket(step).alias("bucket")).agg(F.sum("size").alias("held"))
+        upto = held.withColumn("upto", F.col("before") + F.sum("held").over(Window.partitionBy("of").orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)))
+        last = F.min_by(F.struct("bucket", (F.col("upto") - F.col("held")).alias("start")), "bucket").alias("last")
+        edges = scratch(upto.where("upto >= rest").groupBy("of", "rest").agg(last).select("of", "rest", F.col("last.bucket").alias("end"), F.col("last.start").alias("before")), "edges")
+    spot = F.struct("key", "doc_id")
+    # Rows of one key and id, repeated rows, are taken together.
+    inside = sized.join(F.broadcast(edges), F.col("source").eqNullSafe(F.col("of"))).where(_bucket(2) == F.col("end"))
+    inside = inside.groupBy("of", "rest", "before", spot.alias("spot")).agg(F.sum("size").alias("size"))
+    upto = inside.withColumn("upto", F.col("before") + F.sum("size").over(Window.partitionBy("of").orderBy("spot").rowsBetween(Window.unboundedPreceding, Window.currentRow)))
+    fits = F.col("upto") <= F.col("rest")
+    cuts = upto.groupBy("of").agg(F.max(F.when(fits, F.col("spot"))).alias("cut"), F.max(F.when(fits, F.col("upto"))).alias("taken"))
+    cuts = scratch(edges.join(cuts.withColumnRenamed("of", "from"), F.col("of").eqNullSafe(F.col("from"))).select("of", "end", "cut", (F.col("rest") - F.coalesce("taken", "before")).alias("gap")), "cuts")
     # What whole documents leave of a budget goes to the one document of the rest that comes nearest to it.
-    first = scratch(split(sized), "split")
-    gaps = first.groupBy("source").agg((F.max("rest") - F.sum(F.when(F.col("extra"), F.col("size")).otherwise(0))).alias("gap"))
-    gaps = gaps.select(F.col("source").alias("of"), "gap")
     off = F.abs(F.col("gap") - F.col("size"))
-    closing = (
-        first.where(~F.col("extra") & (F.col("size") > 0))
-        .join(F.broadcast(gaps), F.col("source").eqNullSafe(F.col("of")))
-        .where(off < F.col("gap"))
-        .groupBy("of")
-        .agg(F.min_by(F.struct("doc_id", "key", "size"), F.struct(off, "key", "doc_id")).alias("closing"))
-    )
-    chosen = split(rows) if whole_rows else first
-    chosen = chosen.join(F.broadcast(closing), F.col("source").eqNullSafe(F.col("of")), "left").drop("of")
-    closes = F.struct("doc_id", "key", "size").eqNullSafe(F.col("closing"))
-    chosen = chosen.withColumn("extra", (F.col("extra") | closes).cast("int"))
-    copies = F.col("epochs") + F.col("extra")
-    return chosen.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"), *(["row"] if whole_rows else []))
-
-
-def mixed_rows(docs: DataFrame, **options) -> DataFrame:
+    left = sized.where("size > 0").join(F.broadcast(cuts), F.col("source").eqNullSafe(F.col("of"))).where(~_within())
+    closing = left.groupBy("of", "gap", spot.alias("spot")).agg(F.sum("size").alias("size")).where(off < F.col("gap")).groupBy("of").agg(F.min_by("spot", F.struct(off, "spot")).alias("closing"))
+    parts = plan.join(cuts.select(F.col("of").alias("a"), "end", "cut"), F.col("of").eqNullSafe(F.col("a")), "left").join(closing.select(F.col("of").alias("b"), "closing"), F.col("of").eqNullSafe(F.col("b")), "left")
+    return scratch(parts.select("of", "source_size", "target", "epochs", "end", "cut", "closing"), "plan")
+
+
+def _within() -> Column:
+    """Whether a row of a key and id lies before the cut of its source."""
+    spot = F.struct("key", "doc_id")
+    return F.coalesce((_bucket(2) < F.col("end")) | ((_bucket(2) == F.col("end")) & (spot <= F.col("cut"))), F.lit(False))
+
+
+def _copies() -> Column:
+    closes = F.coalesce(F.struct("key", "doc_id") == F.col("closing"), F.lit(False))
+    return F.col("epochs") + (_within() | closes).cast("int")
+
+
+def mix_sources(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most_epochs: float = 2.0, seed: int = 1, most_sources: int = 100_000) -> DataFrame:
+    """(doc_id, source, size, source_size, target, copies, taken) of every row of docs(doc_id, text, source).
+
+    copies: how often the mix takes the document; taken = copies x size. A null or empty text has size 0 and is taken in whole
+    epochs and, its key allowing, in the fractional one. A null source is a source, the last in order. Rows that repeat an id in a source share its
+    draw, and those of one weight are taken together; ties of key go by id. Reruns agree: keys are hashes. The driver gets one sum a source, and refuses more
+    than `most_sources`.
+    """
+    sized = scratch(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), sampling_key(seed).alias("key")), "sizes")
+    plan = _plans(sized, weights, share, most_epochs, most_sources)
+    chosen = sized.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("of"))).withColumn("copies", _copies())
+    return chosen.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def mixed_rows(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most_epochs: float = 2.0, seed: int = 1, most_sources: int = 100_000) -> DataFrame:
     """The mix itself: rows of docs with all their columns, each as often as the mix takes it."""
-    taken = mix_sources(docs, whole_rows=True, **options).where("copies > 0")
+    sized = scratch(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), sampling_key(seed).alias("key")), "sizes")
+    plan = _plans(sized, weights, share, most_epochs, most_sources)
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "doc_id", "source", sampling_key(seed).alias("key"))
+    taken = rows.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("of"))).withColumn("copies", _copies()).where("copies > 0")
     return taken.select("row", F.explode(F.array_repeat(F.lit(0), F.col("copies")))).select("row.*")
