@@ -9,6 +9,7 @@ attempt and then renamed, so a task that runs again leaves the same files.
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import uuid
@@ -22,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from docspj.llm.common import only, scratch_path
+from docspj.llm.common import only, scratch_path, slices
 
 _HEAD = 3
 _TOUCHING = re.compile(r"\s\s")
@@ -32,13 +33,23 @@ _VISIBLE = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <=
 _BYTE_LETTERS = {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in _VISIBLE)}
 
 
+def cuts_at_blanks(settings: dict) -> bool:
+    """Whether a tokenizer's settings are those that pieces may be cut for: bytes merged by rank within the byte-level splitting, no more and no less."""
+    split, model = settings.get("pre_tokenizer") or {}, settings.get("model") or {}
+    plain = split.get("type") == "ByteLevel" and split.get("use_regex") is True and split.get("add_prefix_space") is False and settings.get("normalizer") is None
+    whole = not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "ignore_merges", "byte_fallback"))
+    # An added token with a blank or line feed in it, or one that takes blanks beside it, could be cut in two.
+    added = all(not re.search(r"\s", t["content"]) and not (t["lstrip"] or t["rstrip"] or t["single_word"]) for t in settings.get("added_tokens") or [])
+    return plain and whole and added and model.get("type") == "BPE"
+
+
 class CachingEncoder:
     """Whole texts to ids with the tokenizers library, which sees a piece of text once while it is remembered.
 
     A text is cut before each blank and line feed that follows something else than white space. There the byte-level
     vocabulary's splitting never joins what the cut parts, so a piece's ids do not depend on what is around it. Pieces are
     remembered in two generations of bounded size: what the older one answers moves to the younger. A text in which white
-    space touches white space is encoded as it is.
+    space touches white space is encoded as it is; so is every text where the file's splitting is not that byte-level one.
     """
 
     def __init__(self, path: str, end_id: int | None, most: int = 600_000):
@@ -46,6 +57,7 @@ class CachingEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.young, self.old, self.most = Tokenizer.from_file(path), {}, {}, most
+        self.cuts = cuts_at_blanks(json.loads(self.tokenizer.to_str()))
         self.merges = self.tokenizer.model.tokenize
         special = self.tokenizer.get_added_tokens_decoder()
         names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size(True))]
@@ -100,7 +112,7 @@ class CachingEncoder:
         """The text's ids, and the end id, as 32-bit unsigned little-endian integers."""
         if not text:
             return self.end
-        if _TOUCHING.search(text):
+        if not self.cuts or _TOUCHING.search(text):
             return self._ids(text) + self.end
         head, *parts = text.replace("\n", " \n").split(" ")
         first = self._ids(head) if head else b""
@@ -124,14 +136,17 @@ def _open(folder: str) -> tuple[pa.fs.FileSystem, str]:
     return pa.fs.FileSystem.from_uri(folder)
 
 
-def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int | None = 2, rows_a_shard: int = 20_000, remembered: int = 600_000) -> DataFrame:
+def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int | None = 2, rows_a_shard: int = 20_000, remembered: int = 600_000, bytes_a_shard: int = 32 << 20) -> DataFrame:
     """Write docs(doc_id, text) to folder in ascending order of doc_id, null ids first; (shard, docs, ids) of each shard.
 
+    There are as many shards as the rows, and the characters, of all documents need at `rows_a_shard` and `bytes_a_shard` each.
+
     Null and empty texts are the end id alone. Rows that repeat an id are each written, in the order of their texts. Without rows
     there are no shards. The folder must be one that all executors share, of a kind pyarrow opens.
     """
     docs = only(docs, ["doc_id", "text"])
-    parts = max(1, -(-docs.select("doc_id").count() // rows_a_shard))
+    rows, chars = docs.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    parts = max(1, -(-rows // rows_a_shard), -(-chars // bytes_a_shard))
     ordered = docs.repartitionByRange(max(parts, docs.sparkSession.sparkContext.defaultParallelism), F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), "text")
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,7 +154,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id:
         system, root = _open(folder)
         target, attempt = f"{root}/{shard:08d}", uuid.uuid4().hex
         out = None
-        for batch in batches:
+        for batch in slices(batches):
             if not batch.num_rows:
                 continue
             if encoder is None:
@@ -157,6 +172,9 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id:
             with system.open_output_stream(f"{target}.idx.{attempt}") as f:
                 f.write(index.tobytes() + np.array(keys, "<i8").tobytes())
             for kind in ("bin", "idx"):
+                # Some stores don't move onto a file that is there, as an attempt before may have left it.
+                if system.get_file_info(f"{target}.{kind}").type != pa.fs.FileType.NotFound:
+                    system.delete_file(f"{target}.{kind}")
                 system.move(f"{target}.{kind}.{attempt}", f"{target}.{kind}")
             yield pa.RecordBatch.from_pydict({"shard": pa.array([shard], pa.int64()), "docs": pa.array([len(counts)], pa.int64()), "ids": pa.array([sum(counts)], pa.int64())})
 
