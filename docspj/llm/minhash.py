@@ -6,7 +6,8 @@ Documents that share a band with another get a finer signature, the least shingl
 is worth an exact check; of all buckets two documents share, only the first band's looks at them. Within a band's bucket no pairs are listed: first every member is held against the bucket's least id;
 after components are formed, buckets that still hold several components are searched in blocks for untested pairs across
 components, and a block returns a number of pairs linear in its size; this goes on until none is left, so no link is lost to
-the number.
+the number. A tested pair is remembered at one of its two documents, never at a bucket's least id, so that what a row carries grows with the
+bands and blocks of its own document alone. A bucket of n members, all unlike, ships n * n / block signatures: the worst case.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from docspj.llm.common import only, scratch
+from docspj.llm.common import only, scratch, slices
 from docspj.llm.components import connected_components
 from docspj.llm.shingles import mix, overlap, shingle_sets
 
@@ -64,18 +65,23 @@ def band_hashes(elements: np.ndarray, odd: np.ndarray, shift: np.ndarray, rows:
     return out.astype("<u8")
 
 
+def digest(elements: np.ndarray) -> tuple[int, int]:
+    """128 bits of a set."""
+    return int(elements.sum(dtype=np.uint64).view(np.int64)), int(mix(elements ^ np.uint64(0x5DEECE66D)).sum(dtype=np.uint64).view(np.int64))
+
+
 def _features(docs: DataFrame, p: MinHashParams) -> DataFrame:
     """(id, n_shingles, low, high, sig) a document; low and high, a digest of the set, and sig are null for an empty set."""
     odd, shift = p.family()
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sizes, lows, highs, sigs = [], [], [], []
             for found in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), p.width):
                 sizes.append(len(found))
                 if len(found):
-                    lows.append(int(found.sum(dtype=np.uint64).view(np.int64)))
-                    highs.append(int(mix(found ^ np.uint64(0x5DEECE66D)).sum(dtype=np.uint64).view(np.int64)))
+                    low, high = digest(found)
+                    lows.append(low), highs.append(high)
                     sigs.append(band_hashes(found, odd, shift, p.rows).tobytes())
                 else:
                     lows.append(None), highs.append(None), sigs.append(None)
@@ -127,18 +133,28 @@ def fitting(one: int, many: np.ndarray, fine: np.ndarray, coarse: np.ndarray, si
     return (near, many) if len(many) else (np.empty(0), many)
 
 
-def _texts(docs: DataFrame, members: DataFrame, p: MinHashParams) -> DataFrame:
-    """(id, text) of the members' documents; few ids are broadcast, more are shuffled with the texts."""
+def _texts(docs: DataFrame, members: DataFrame, chosen: DataFrame, p: MinHashParams) -> DataFrame:
+    """(id, text) of the members' documents; few ids are broadcast, more are shuffled with the texts. Of an id in chosen(id, low, high) the text of that set."""
     ids = members.select("id").distinct()
     few = ids.limit(p.most_broadcast_ids + 1).count() <= p.most_broadcast_ids
-    return docs.join(F.broadcast(ids) if few else ids, "id", "left_semi").dropDuplicates(["id"])
+    found = docs.join(F.broadcast(ids) if few else ids, "id", "left_semi")
+    if not chosen.isEmpty():
+
+        def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in slices(batches):
+                wanted = list(zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True))
+                keep = [w[0] is None or digest(next(shingle_sets([t.as_py()], p.width))) == w for w, t in zip(wanted, batch.column(1).cast(pa.binary()), strict=True)]
+                yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+        found = found.where("text is not null").join(chosen, "id", "left").select("id", "text", "low", "high").mapInArrow(of, "id long, text string")
+    return found.dropDuplicates(["id"])
 
 
 def _fine(texts: DataFrame, reps: DataFrame, p: MinHashParams) -> DataFrame:
     """(id, size, fine, sig) of texts(id, text)."""
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sets = list(shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), p.width))
             fine = [fine_signature(x, p.fine_bits).tobytes() for x in sets]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in sets], pa.int64()), pa.array(fine, pa.binary())], names=["id", "size", "fine"])
@@ -152,7 +168,7 @@ def _alike(pairs: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
     both = pairs.join(sides[1], "b").join(sides[0], "a")
 
     def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sizes = np.stack([batch.column(k).to_numpy() for k in (2, 3)], axis=1)
             keep = []
             for row, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
@@ -182,7 +198,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, p: MinHashParams) -> DataFrame
                 kept.popitem(last=False)
             return found
 
-        for batch in batches:
+        for batch in slices(batches):
             keys = [batch.column(k).to_pylist() for k in (0, 1)]
             texts = [batch.column(k).cast(pa.binary()) for k in (2, 3)]
             linked = []
@@ -212,13 +228,13 @@ def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def _unsettled(mixed: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashParams) -> DataFrame:
-    """Untested pairs (a, b) across components within the same bucket whose fine signatures allow the similarity.
+    """Untested pairs (a, b) across components within the same bucket whose fine signatures allow the similarity; b was held against a's block.
 
     Members outside the bucket's commonest component are held against all its members, block by block. Of pairs that are surely
     alike a block returns a forest over what is still apart, of others a member's most alike; later rounds take what is left.
     """
     blocks = lambda n: F.ceil(n / F.lit(float(p.block))).cast("int")
-    tried = failed.select("a", "b").unionByName(failed.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("id")).agg(F.collect_set("b").alias("tried"))
+    tried = failed.groupBy(F.col("b").alias("id")).agg(F.collect_set("a").alias("tried"))
     rows = mixed.join(fine, "id").join(tried, "id", "left")
     rows = rows.select("bucket", "band", "id", "component", "size", "fine", "sig", "tried", (F.col("component") != F.col("main")).alias("apart"), blocks(F.col("n")).alias("wide"), blocks(F.col("n") - F.col("top")).alias("tall"))
     place = F.xxhash64("id")
@@ -236,14 +252,23 @@ def _unsettled(mixed: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashP
         fine = np.frombuffer(b"".join(table.column("fine").to_pylist()), np.uint8).reshape(len(ids), -1)
         coarse, bands = coarser(fine), np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u8").reshape(len(ids), -1)
         tried, band = table.column("tried").to_pylist(), table.column("band")[0].as_py()
-        at = np.flatnonzero(inside)
+        at, order = np.flatnonzero(inside), np.argsort(ids, kind="stable")
+        # Tested pairs of this group as place x rows + place, from either side.
+        owner = np.repeat(np.arange(len(ids)), [len(t) if t else 0 for t in tried])
+        other = np.fromiter((x for t in tried if t for x in t), np.int64, len(owner))
+        left, right = np.searchsorted(ids[order], other, "left"), np.searchsorted(ids[order], other, "right")
+        pick = np.repeat(left, right - left) + np.arange((right - left).sum()) - np.repeat(np.cumsum(right - left) - (right - left), right - left)
+        one, two = np.repeat(owner, right - left), order[pick]
+        known = np.unique(np.concatenate([one * len(ids) + two, two * len(ids) + one]))
         found: list[tuple[float, int, int, int, int]] = []
         unsure: list[tuple[int, int]] = []
         for i in np.flatnonzero(probe):
             fit = at[parts[at] != parts[i]]
             fit = fit[~(bands[fit, :band] == bands[i, :band]).any(axis=1)]
-            if tried[i] and len(fit):
-                fit = fit[~np.isin(ids[fit], tried[i])]
+            if len(known) and len(fit):
+                codes = i * len(ids) + fit
+                spot = np.minimum(np.searchsorted(known, codes), len(known) - 1)
+                fit = fit[known[spot] != codes]
             near, fit = fitting(i, fit, fine, coarse, sizes, p)
             sure = near >= least
             found += [(-float(n), int(ids[i]), int(ids[j]), int(parts[i]), int(parts[j])) for n, j in zip(near[sure], fit[sure], strict=True)]
@@ -251,10 +276,12 @@ def _unsettled(mixed: DataFrame, failed: DataFrame, fine: DataFrame, p: MinHashP
             unsure += [(int(ids[i]), int(ids[j])) for j in fit[np.lexsort((ids[fit], -near))][:most]]
             if len(found) > 1 << 17:
                 found = forest(found)
-        pairs = sorted({(min(x, y), max(x, y)) for x, y in [*unsure, *(f[1:3] for f in forest(found))]})
+        pairs = sorted({(y, x) for x, y in [*unsure, *(f[1:3] for f in forest(found))]})
         return pa.table({"a": pa.array([x for x, _ in pairs], pa.int64()), "b": pa.array([y for _, y in pairs], pa.int64())})
 
-    return small.select(columns).unionByName(whole.select(columns)).unionByName(probes.select(columns)).groupBy("bucket", "row", "col").applyInArrow(of, "a long, b long").distinct()
+    found = small.select(columns).unionByName(whole.select(columns)).unionByName(probes.select(columns)).groupBy("bucket", "row", "col").applyInArrow(of, "a long, b long")
+    low, high = F.least("a", "b").alias("low"), F.greatest("a", "b").alias("high")
+    return found.groupBy(low, high).agg(F.max("b").alias("b")).select(F.when(F.col("b") == F.col("low"), F.col("high")).otherwise(F.col("low")).alias("a"), "b")
 
 
 def forest(pairs: list[tuple[float, int, int, int, int]]) -> list[tuple[float, int, int, int, int]]:
@@ -279,23 +306,27 @@ def forest(pairs: list[tuple[float, int, int, int, int]]) -> list[tuple[float, i
 def near_duplicates(docs: DataFrame, params: MinHashParams | None = None, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """One row a document: id, n_shingles, component_id (least id reachable over links) and kept (it is its own component's id).
 
-    Null and empty texts, or texts of white space alone, have no shingles and stay alone. Rows that repeat an id with the same
-    text get the same answer; rows without an id are never linked, have no component and are kept. Other columns are ignored.
+    Null and empty texts, or texts of white space alone, have no shingles and stay alone. Rows that repeat an id are one document: with
+    texts of several sets it is the one of most shingles (then of the greatest digest) that is linked, and all its rows with shingles get that component,
+    each with its own n_shingles. Rows without an id are never linked, have no component and are kept. Other columns are ignored.
     An empty table gives an empty result.
     """
     p = params or MinHashParams()
     docs = only(docs, [id_column, text_column]).toDF("id", "text").withColumn("id", F.col("id").cast("long"))
     features = scratch(_features(docs, p), "features")
     with_set = features.where("id is not null and n_shingles > 0")
+    own = F.struct("n_shingles", "low", "high")
+    chosen = scratch(with_set.groupBy("id").agg(F.min(own).alias("least"), F.max(own).alias("most")).where("least <> most").select("id", "most.low", "most.high"), "chosen")
+    others = with_set.join(chosen.select(F.col("id").alias("of"), F.struct("low", "high").alias("linked")), F.col("id") == F.col("of"), "left").drop("of")
     reps = scratch(
-        with_set.groupBy("low", "high").agg(F.min("id").alias("id"), F.first("n_shingles").alias("n"), F.max("sig").alias("sig")), "classes"
+        others.where(F.col("linked").isNull() | (F.struct("low", "high") == F.col("linked"))).groupBy("low", "high").agg(F.min("id").alias("id"), F.first("n_shingles").alias("n"), F.max("sig").alias("sig")), "classes"
     )
     bands = F.transform(F.sequence(F.lit(0), F.lit(p.bands - 1)), lambda k: F.xxhash64(k, F.col("sig").substr(k * 8 + 1, F.lit(8))))
     buckets = reps.select("id", F.posexplode(bands).alias("band", "bucket"))
     centres = buckets.groupBy("bucket").agg(F.min("id").alias("centre"), F.max("id").alias("last")).where("centre < last").select("bucket", "centre")
     members = scratch(buckets.join(centres, "bucket"), "members")
     pairs = members.where("id <> centre").select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct()
-    texts = scratch(_texts(docs, members, p), "texts")
+    texts = scratch(_texts(docs, members, chosen, p), "texts")
     fine = scratch(_fine(texts, reps, p), "fine")
     tested = scratch(_verified(scratch(_alike(pairs, fine, p), "pairs"), texts, p), "tested")
     links = scratch(connected_components(tested.where("linked")), "labels")
@@ -310,7 +341,8 @@ def near_duplicates(docs: DataFrame, params: MinHashParams | None = None, id_col
             links = scratch(connected_components(tested.where("linked")), "labels")
     classes = reps.select("low", "high", F.col("id").alias("rep")).join(links.withColumnRenamed("id", "rep"), "rep", "left").select("low", "high", F.coalesce("component", "rep").alias("part"))
     alone = features.where("id is null or n_shingles = 0").select("id", "n_shingles", F.col("id").alias("component_id"))
-    grouped = with_set.join(classes, ["low", "high"]).select("id", "n_shingles", F.col("part").alias("component_id"))
+    linked = F.coalesce("linked", F.struct("low", "high"))
+    grouped = others.withColumns({"low": linked["low"], "high": linked["high"]}).join(classes, ["low", "high"]).select("id", "n_shingles", F.col("part").alias("component_id"))
     return alone.unionByName(grouped).select(
         F.col("id").alias(id_column), "n_shingles", "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(True)).alias("kept")
     )
