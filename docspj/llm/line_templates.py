@@ -1,26 +1,23 @@
 """Line dedup by a log-template tree: recurring templates across documents are dropped.
 
-A line's words that hold a digit are variable fields. The tree has fixed depth: the number of words, then the leading words; below it, a
-leaf keeps templates, and a line joins the most alike one whose share of equal words is high enough, words that differ becoming
-variable. Only leaves that enough documents reach are looked at, and in them each distinct line once, so a line that a
-third of all rows hold is one row. A leaf of many distinct lines is parsed in salted parts, and the parts' templates are parsed once
-more together.
-
-A long line need not reach so many documents: chance does not repeat it, so its second holder is enough, and one document keeps it.
+A line's words that hold a digit are variable fields. The tree has fixed depth: the number of words, then the leading words. Below it, in a
+leaf, a word is constant at its place if enough documents have it there, and else a variable field; a line's template is its constants
+and fields. So a template is a function of counts, which all rows share, and not of the order in which a parser met the lines: every
+step is an aggregate or a join that many tasks share, a leaf of any size is split among them, and a line that a third of all rows
+hold is one row before its words are looked at.
+
+Lines that recur in fewer documents are passages, not boilerplate: chance repeats a long line less than a short one, so the longer a
+line, the fewer documents it takes, and one document keeps it.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from docspj.llm.common import scratch
 
 FIELD = "<*>"
-_PART = 4000
 
 
 def masked_lines(text: Column) -> Column:
@@ -30,88 +27,77 @@ def masked_lines(text: Column) -> Column:
     return F.transform(F.split(single, "\n"), lambda x: F.trim(x))
 
 
+def word_number(line: Column) -> Column:
+    return F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1
+
+
 def leaf(line: Column, depth: int) -> Column:
-    words = F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1
-    return F.when(line != "", F.xxhash64(words, F.substring_index(line, " ", depth)))
-
-
-def parse_leaf(lines: list[str], similarity: float) -> list[str]:
-    """The template of each line of a leaf (lines of equally many words), in the given order's growth."""
-    templates: list[list[str]] = []
-    exact: dict[str, int] = {}
-    owner = []
-    for line in lines:
-        words, best, at = line.split(" "), -1.0, exact.get(line, -1)
-        if at < 0:
-            for k, template in enumerate(templates):
-                same = sum(map(str.__eq__, words, template)) / len(words)
-                if same > best:
-                    best, at = same, k
-            if best < similarity:
-                at = len(templates)
-                templates.append(words)
-            else:
-                templates[at] = [a if a == b else FIELD for a, b in zip(templates[at], words, strict=True)]
-            exact[line] = at
-        owner.append(at)
-    return [" ".join(templates[at]) for at in owner]
-
-
-def _parsed(lines: DataFrame, similarity: float) -> DataFrame:
-    """lines(leaf, part, line) -> (leaf, line, template); a (leaf, part) holds few thousand distinct lines, in one task."""
-
-    def of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def done(key: tuple[int, int], held: list[str]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_pydict({"leaf": pa.array([key[0]] * len(held), pa.int64()), "line": held, "template": parse_leaf(held, similarity)})
-
-        now, held = None, []
-        for batch in batches:
-            for key in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                if key[:2] != now:
-                    if held:
-                        yield done(now, held)
-                    now, held = key[:2], []
-                held.append(key[2])
-        if held:
-            yield done(now, held)
-
-    dealt = lines.repartition("leaf", "part").sortWithinPartitions("leaf", "part", "line")
-    return dealt.mapInArrow(of, "leaf long, line string, template string")
-
-
-def long_repeats(split: DataFrame, long_words: int) -> DataFrame:
-    """(key, at) of the lines of split(doc_id, key, lines) with more than `long_words` fixed words that a document of lesser id holds too."""
-    fixed = F.size(F.filter(F.split("line", " "), lambda w: w != FIELD))
-    long = split.select("doc_id", "key", F.posexplode("lines").alias("at", "line")).where((F.char_length("line") > 2 * long_words) & (fixed > long_words)).select("doc_id", "key", "at", F.xxhash64("line").alias("hash"))
-    held = long.groupBy("hash").agg(F.min(F.struct("doc_id", "key"))["key"].alias("first"), F.min("key").alias("low"), F.max("key").alias("high")).where("low <> high")
-    return long.join(held.select("hash", "first"), "hash").where("key <> first").select("key", "at")
-
-
-def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int = 3, similarity: float = 0.6, long_words: int = 50) -> DataFrame:
-    """(doc_id, n_lines, n_dropped, text) of each row of docs(doc_id, text): the text without lines of templates that `least_documents` documents hold,
-    and without lines of more than `long_words` fixed words that a document of lesser id holds too.
-
-    Lines are cut at line feeds; blank lines are never dropped. A null text stays null and has no lines; an empty text is one blank line. Rows with the same id and text
-    are one document in the counts, and each is returned; rows without an id count by their text. Other columns are ignored.
+    return F.when(line != "", F.xxhash64(word_number(line), F.substring_index(line, " ", depth)))
+
+
+def fixed_number(line: Column) -> Column:
+    """Words that are no fields."""
+    return word_number(line) - F.regexp_count(line, F.lit(r"(?<!\S)<\*>(?!\S)"))
+
+
+def line_templates(lines: DataFrame, least_documents: int, depth: int, similarity: float, least_words: int) -> DataFrame:
+    """(leaf, line, template) of distinct lines(leaf, line, documents).
+
+    Lines of fewer than `least_words` words, and those whose constants are under `similarity` of the words that are no fields, are their own template.
+    """
+    many = lines.where(word_number(F.col("line")) >= least_words)
+    words = many.select("leaf", "line", "documents", F.posexplode(F.split("line", " ")).alias("place", "word"))
+    common = words.where((F.col("place") >= depth) & (F.col("word") != FIELD)).groupBy("leaf", "place", "word").agg(F.sum("documents").alias("n")).where(F.col("n") >= least_documents).select("leaf", "place", "word", F.lit(True).alias("constant"))
+    kept = (F.col("place") < depth) | F.col("constant").isNotNull()
+    marked = words.join(common, ["leaf", "place", "word"], "left").select("leaf", "line", F.struct("place", F.when(kept, F.col("word")).otherwise(FIELD).alias("word")).alias("at"))
+    made = marked.groupBy("leaf", "line").agg(F.array_join(F.transform(F.array_sort(F.collect_list("at")), lambda x: x["word"]), " ").alias("made"))
+    alike = fixed_number(F.col("made")) >= similarity * fixed_number(F.col("line"))
+    own = lines.join(made, ["leaf", "line"], "left").withColumn("alike", F.coalesce(alike, F.lit(False)))
+    return own.select("leaf", "line", F.when(F.col("alike"), F.col("made")).otherwise(F.col("line")).alias("template"))
+
+
+def passages_needed(fixed: Column, least_documents: int, long_words: int) -> Column:
+    """Documents that a line of so many fixed words must recur in: `least_documents` for none, falling evenly to 2 at `long_words` and beyond."""
+    return F.greatest(F.lit(2), F.lit(least_documents) - F.floor(fixed * (least_documents - 2) / long_words).cast("int"))
+
+
+def repeated_passages(held: DataFrame, least_documents: int, long_words: int) -> DataFrame:
+    """(doc_id, key, at) of held(doc_id, key, at, fixed, mark, mark2) lines that enough documents hold, but for those of the document of least id."""
+    own = F.struct("doc_id", "key")
+    found = held.groupBy("mark", "mark2").agg(F.min(own).alias("first"), F.count_distinct(own).alias("documents"), F.max("fixed").alias("fixed"))
+    again = found.where(F.col("documents") >= passages_needed(F.col("fixed"), least_documents, long_words)).select("mark", "mark2", "first")
+    return held.join(again, ["mark", "mark2"]).where(~own.eqNullSafe(F.col("first"))).select("doc_id", "key", "at")
+
+
+def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int = 3, similarity: float = 0.6, long_words: int = 50, least_words: int = 8) -> DataFrame:
+    """(doc_id, n_lines, n_dropped, text) of each row of docs(doc_id, text): the text without lines of templates that `least_documents` documents
+    hold; and without lines that fewer documents repeat, from 2 on for `long_words` fixed words or more, which the document of least id keeps.
+
+    Only lines of `least_words` words or more take words that differ for fields; shorter ones must be equal but for words with digits. Lines are cut at
+    line feeds; blank lines are never dropped. A null text stays null and has no lines; an empty text is one blank line. Rows with the same id and text are
+    one document in the counts, and each is returned. Other columns are ignored. Rules and thresholds are the same at every size.
     """
-    key = F.xxhash64("doc_id", "text")
-    rows = docs.select("doc_id", "text", key.alias("key"))
+    rows = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"))
     split = rows.where("text is not null").select("doc_id", "key", masked_lines(F.col("text")).alias("lines"))
-    reached = split.select("key", F.explode(F.array_distinct(F.transform("lines", lambda x: leaf(x, depth)))).alias("leaf")).where("leaf is not null").groupBy("leaf").count()
-    leaves = scratch(reached.where(F.col("count") >= least_documents).select("leaf"), "leaves")
-    every = split.select("key", F.posexplode("lines").alias("at", "line")).withColumn("leaf", leaf(F.col("line"), depth)).where("leaf is not null")
-    lines = scratch(every.join(leaves, "leaf", "left_semi"), "lines")
-    distinct = lines.groupBy("leaf", "line").agg(F.count(F.lit(1)).alias("n")).select("leaf", "line")
-    sizes = distinct.groupBy("leaf").agg(F.ceil(F.count(F.lit(1)) / float(_PART)).cast("int").alias("parts"))
-    parted = distinct.join(sizes, "leaf").select("leaf", F.pmod(F.xxhash64("line"), "parts").alias("part"), "line")
-    first = scratch(_parsed(parted, similarity), "templates")
-    again = first.select("leaf", F.lit(0).cast("long").alias("part"), F.col("template").alias("line")).distinct()
-    merged = _parsed(again, similarity).toDF("leaf", "template", "merged")
-    named = scratch(first.join(merged, ["leaf", "template"]).select("leaf", "line", F.xxhash64("leaf", "merged").alias("template")), "named")
-    placed = lines.join(named, ["leaf", "line"]).select("key", "at", "template")
-    recurring = placed.groupBy("template").agg(F.count_distinct("key").alias("documents")).where(F.col("documents") >= least_documents)
-    dropped = placed.join(recurring, "template", "left_semi").select("key", "at").unionByName(long_repeats(split, long_words)).groupBy("key").agg(F.collect_set("at").alias("at"))
-    both = rows.join(dropped, "key", "left")
+    reached = split.select(F.explode(F.array_distinct(F.transform("lines", lambda x: leaf(x, depth)))).alias("leaf")).where("leaf is not null").groupBy("leaf").count()
+    leaves = scratch(reached.where(F.col("count") >= least_documents).select("leaf", F.lit(True).alias("reached")), "leaves")
+    line = F.col("line")
+    every = split.select("doc_id", "key", F.posexplode("lines").alias("at", "line")).where("line <> ''").withColumns({"leaf": leaf(line, depth), "fixed": fixed_number(line)})
+    # A line that takes as many documents as a template does is left to the templates.
+    passage = passages_needed(F.col("fixed"), least_documents, long_words) < least_documents
+    wanted = every.join(leaves, "leaf", "left").where(F.col("reached") | passage)
+    lines = scratch(
+        wanted.select("doc_id", "key", "at", "leaf", "fixed", F.when(F.col("reached"), line).alias("line"), F.when(passage, F.xxhash64(F.lit(1), line)).alias("mark"), F.when(passage, F.xxhash64(F.lit(2), line)).alias("mark2")), "lines"
+    )
+    templated = lines.where("line is not null")
+    distinct = scratch(templated.select("leaf", "line", "doc_id", "key").distinct().groupBy("leaf", "line").agg(F.count(F.lit(1)).alias("documents")), "distinct")
+    named = scratch(line_templates(distinct, least_documents, depth, similarity, least_words).select("leaf", "line", F.xxhash64("leaf", "template").alias("template")), "named")
+    placed = templated.join(named, ["leaf", "line"]).select("doc_id", "key", "at", "template")
+    recurring = placed.select("template", "doc_id", "key").distinct().groupBy("template").agg(F.count(F.lit(1)).alias("documents")).where(F.col("documents") >= least_documents).select("template")
+    passages = repeated_passages(lines.where("mark is not null").select("doc_id", "key", "at", "fixed", "mark", "mark2"), least_documents, long_words)
+    dropped = placed.join(recurring, "template", "left_semi").select("doc_id", "key", "at").unionByName(passages)
+    dropped = dropped.groupBy("doc_id", "key").agg(F.collect_set("at").alias("gone")).select(F.col("doc_id").alias("of"), F.col("key").alias("of_key"), "gone")
+    both = rows.join(dropped, F.col("doc_id").eqNullSafe(F.col("of")) & (F.col("key") == F.col("of_key")), "left")
     cut = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(cut, lambda x, i: ~F.coalesce(F.array_contains("at", i), F.lit(False))), "\n")
-    return both.select("doc_id", F.coalesce(F.when(F.col("text").isNotNull(), F.size(cut)), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size("at"), F.lit(0)).cast("long").alias("n_dropped"), F.when(F.col("at").isNull(), F.col("text")).otherwise(kept).alias("text"))
+    kept = F.array_join(F.filter(cut, lambda x, i: ~F.coalesce(F.array_contains("gone", i), F.lit(False))), "\n")
+    return both.select("doc_id", F.coalesce(F.when(F.col("text").isNotNull(), F.size(cut)), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_dropped"), F.when(F.col("gone").isNull(), F.col("text")).otherwise(kept).alias("text"))
