@@ -7,6 +7,9 @@ walk's output unchanged. Each repetition samples a few output places; equal samp
 candidate. The number of repetitions is the least that finds the target share of seeded edited copies of the items themselves,
 at the full edit allowance. Documents and windows that hold too few of an item's runs of three words to lie within the
 allowance are passed over first; this loses nothing (an edit touches at most three such runs).
+
+Items of fewer words than `least_words` leave no room for edits that still mean the same: they are found where their words stand
+one after another unchanged.
 """
 
 from __future__ import annotations
@@ -20,11 +23,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from docspj.llm.common import keep_rows, only
+from docspj.llm.common import keep_rows, only, slices
 from docspj.llm.shingles import _PLACE, mix, word_hashes
 
 _BLANKED = bytes.maketrans(string.punctuation.encode(), b" " * len(string.punctuation))
 _WALK = 3
+#: Edited copies of a length's items on which its recall is measured, and windows that are walked at once.
+_TRIALS, _WINDOWS, _MOST_REPETITIONS = 200, 2048, 4096
 
 
 def normal_words(text: str | None) -> np.ndarray:
@@ -35,6 +40,15 @@ def _runs(words: np.ndarray) -> np.ndarray:
     return mix(words[:-2] * _PLACE[0] + words[1:-1] * _PLACE[1] + words[2:] * _PLACE[4]) if len(words) > 2 else np.empty(0, np.uint64)
 
 
+def _grams(words: np.ndarray, n: int) -> np.ndarray:
+    """A hash of each n words that follow one another."""
+    count = max(0, len(words) - n + 1)
+    out = np.full(count, np.uint64(n))
+    for k in range(n):
+        out = mix(out * _PLACE[3] + words[k : k + count])
+    return out
+
+
 def walk_samples(windows: np.ndarray, places: np.ndarray, seed: int) -> np.ndarray:
     """Keys (repetition, window) of windows (window, word): the walk's output at each repetition's places, hashed."""
     count, n = windows.shape
@@ -100,19 +114,28 @@ class BenchmarkIndex:
     rooms: np.ndarray = field(default_factory=lambda: np.empty(0, np.int64))
     distinct: np.ndarray = field(default_factory=lambda: np.empty(0, np.int64))
     bitmap: np.ndarray = field(default_factory=lambda: np.zeros(1, bool))
-    recall: float = 1.0
+    short: dict = field(default_factory=dict)  # n: (sorted hashes, id of each) of items of n words, too few for edits
+    recall: float = 1.0  # of the edited copies that the repetitions were chosen on
 
     def allowance(self, n: int) -> int:
         return int(self.edit_share * n)
 
 
 def build_index(items: list[tuple[int, str]], edit_share: float = 0.2, least_words: int = 8, sampled: int = 3, recall: float = 0.995, seed: int = 10) -> BenchmarkIndex:
-    """items: (id, text). Items without an id, or of fewer than `least_words` words, are left out: ordinary text holds such."""
+    """items: (id, text). Items without an id, or without words, are left out; those of fewer than `least_words` words are found unedited alone.
+
+    Repetitions are doubled until `recall` of each length's edited copies are found; a length that stays below it raises.
+    """
     index, rng = BenchmarkIndex(edit_share, seed), np.random.default_rng(seed)
     for key, text in sorted((i for i in items if i[0] is not None), key=lambda i: (i[0], i[1] or "")):
         words = normal_words(text)
         if len(words) >= least_words:
             index.ids.append(int(key)), index.words.append(words.tolist())
+        elif len(words):
+            index.short.setdefault(len(words), []).append((int(_grams(words, len(words))[0]), int(key)))
+    for n, pairs in index.short.items():
+        pairs.sort()
+        index.short[n] = (np.array([h for h, _ in pairs], np.uint64), [key for _, key in pairs])
     if not index.ids:
         return index
     own = [np.unique(_runs(np.array(w, np.uint64))) for w in index.words]
@@ -132,18 +155,20 @@ def build_index(items: list[tuple[int, str]], edit_share: float = 0.2, least_wor
     found = []
     for n, members in lengths.items():
         whole = np.array([index.words[m] for m in members], np.uint64)
-        trials = members * (1 + 24 // len(members))
+        trials = members * -(-_TRIALS // len(members))
         copies = np.zeros((len(trials), n), np.uint64)
         for t, m in enumerate(trials):
             copy = edited(np.array(index.words[m], np.uint64), index.allowance(n), rng)[:n]
             copies[t, : len(copy)] = copy
-        for reps in (16, 32, 64, 128, 256):
+        reps, hit = 8, 0.0
+        while hit < recall:
+            reps *= 2
+            if reps > _MOST_REPETITIONS:
+                raise ValueError(f"{_MOST_REPETITIONS} repetitions find only {hit:.3f} of edited copies of items of {n} words")
             places = np.sort(np.random.default_rng([seed, n, reps]).integers(0, _WALK * n * 2 // 3, (reps, sampled)), axis=1)
             keys = walk_samples(whole, places, seed)
-            own = np.tile(keys, (1, 1 + 24 // len(members)))
+            own = np.tile(keys, (1, len(trials) // len(members)))
             hit = (own == walk_samples(copies, places, seed)).any(axis=0).mean()
-            if hit >= recall:
-                break
         found.append((hit, len(trials)))
         order = np.argsort(keys, axis=None)
         index.by_length[n] = (places, keys.ravel()[order], np.tile(np.array(members), reps)[order])
@@ -153,8 +178,9 @@ def build_index(items: list[tuple[int, str]], edit_share: float = 0.2, least_wor
 
 def find_items(index: BenchmarkIndex, texts: list[str | None]) -> list[tuple[int, int, int, int, int, int]]:
     """(place of the text, item id, edits, words of the item, first word and end of the stretch), one for each text and item."""
+    verbatim = _short_items(index, texts) if index.short else []
     if not index.ids:
-        return []
+        return verbatim
     shortest = min(index.by_length)
     span, room = shortest - 2, index.allowance
     needed = min(-(-(n - 2 - 3 * room(n)) // -(-(n + room(n) - 2) // span)) for n in index.by_length)
@@ -192,29 +218,54 @@ def find_items(index: BenchmarkIndex, texts: list[str | None]) -> list[tuple[int
     asked: dict[tuple[int, int], list[int]] = {}
     for n, groups in windows.items():
         places, keys, owners = index.by_length[n]
-        for one in range(0, len(groups), 64):
-            part = groups[one : one + 64]
-            rows = [np.concatenate([w, np.zeros(n, np.uint64)])[fit[:, None] + np.arange(n)] for _, fit, w in part]
-            where = [(g, b) for g, (_, fit, _) in enumerate(part) for b in fit.tolist()]
-            rows = np.concatenate(rows)
-            for low in range(0, len(rows), 2048):
-                sample = walk_samples(rows[low : low + 2048], places, index.seed)
-                left, right = np.searchsorted(keys, sample, "left"), np.searchsorted(keys, sample, "right")
-                met = {(int(w), int(owners[k])) for r, w in zip(*np.nonzero(right > left), strict=True) for k in range(left[r, w], right[r, w])}
-                for w, item in sorted(met):
-                    group, begin = where[low + w]
-                    at, _, words = part[group]
-                    if any(abs(begin - b) <= room(n) // 2 for b in asked.get((at, item), ())) or any(lo - n < begin < hi for _, lo, hi in found.get((at, item), ())):
-                        continue
-                    asked.setdefault((at, item), []).append(begin)
-                    first = max(0, begin - 2 * room(n))
-                    stretch = words[first : begin + n + 2 * room(n)].tolist()
-                    if sum(map(set(stretch).__contains__, index.words[item])) < n - room(n):
-                        continue
-                    edits, lo, hi = best_stretch(index.words[item], stretch)
-                    if edits <= room(n):
-                        found.setdefault((at, item), []).append((edits, first + lo, first + hi))
-    return [(at, index.ids[item], *min(hits)[:1], len(index.words[item]), *min(hits)[1:]) for (at, item), hits in sorted(found.items())]
+        for rows, where in _blocks(groups, n):
+            sample = walk_samples(rows, places, index.seed)
+            left, right = np.searchsorted(keys, sample, "left"), np.searchsorted(keys, sample, "right")
+            met = {(int(w), int(owners[k])) for r, w in zip(*np.nonzero(right > left), strict=True) for k in range(left[r, w], right[r, w])}
+            for w, item in sorted(met):
+                group, begin = where[w]
+                at, _, words = groups[group]
+                # What one check covers needs no other, and nothing is better than no edits. Windows of a text come in order.
+                if begin - asked.get((at, item), -len(words) - n) <= room(n) // 2 or found.get((at, item), (1,))[0] == 0:
+                    continue
+                asked[at, item] = begin
+                first = max(0, begin - 2 * room(n))
+                stretch = words[first : begin + n + 2 * room(n)].tolist()
+                if sum(map(set(stretch).__contains__, index.words[item])) < n - room(n):
+                    continue
+                edits, lo, hi = best_stretch(index.words[item], stretch)
+                if edits <= room(n):
+                    found[at, item] = min(found.get((at, item), (edits, first + lo, first + hi)), (edits, first + lo, first + hi))
+    return verbatim + [(at, index.ids[item], hit[0], len(index.words[item]), *hit[1:]) for (at, item), hit in sorted(found.items())]
+
+
+def _blocks(groups: list[tuple[int, np.ndarray, np.ndarray]], n: int) -> Iterator[tuple[np.ndarray, list[tuple[int, int]]]]:
+    """Windows of n words and (place in groups, first word) of each, so many at once; a text's windows are in order."""
+    rows, where, held = [], [], 0
+    for g, (_, fit, words) in enumerate(groups):
+        padded = np.concatenate([words, np.zeros(n, np.uint64)])
+        for low in range(0, len(fit), _WINDOWS):
+            part = fit[low : low + _WINDOWS]
+            rows.append(padded[part[:, None] + np.arange(n)])
+            where += [(g, b) for b in part.tolist()]
+            held += len(part)
+            if held >= _WINDOWS:
+                yield np.concatenate(rows), where
+                rows, where, held = [], [], 0
+    if held:
+        yield np.concatenate(rows), where
+
+
+def _short_items(index: BenchmarkIndex, texts: list[str | None]) -> list[tuple[int, int, int, int, int, int]]:
+    """As find_items, for items of few words: the first place of each in each text."""
+    found = []
+    for at, text in enumerate(texts):
+        words = normal_words(text)
+        for n, (hashes, ids) in index.short.items():
+            grams, first = np.unique(_grams(words, n), return_index=True)
+            low, high = np.searchsorted(hashes, grams, "left"), np.searchsorted(hashes, grams, "right")
+            found += [(at, ids[k], 0, n, int(first[g]), int(first[g]) + n) for g in np.flatnonzero(high > low).tolist() for k in range(low[g], high[g])]
+    return sorted(found)
 
 
 def load_blocks(benchmark: DataFrame, most_bytes: int = 32 << 20, **options) -> Iterator[BenchmarkIndex]:
@@ -242,7 +293,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     for index in load_blocks(benchmark, **options):
 
         def of(batches: Iterator[pa.RecordBatch], index: BenchmarkIndex = index) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
+            for batch in slices(batches):
                 found = find_items(index, batch.column(1).to_pylist())
                 at, *rest = zip(*found, strict=True) if found else [()] * 6
                 yield pa.RecordBatch.from_arrays(
