@@ -109,6 +109,16 @@ def test_near_duplicates_odd_rows(odd, none):
     assert minhash.near_duplicates(none).collect() == []
 
 
+def test_one_id_with_several_texts(spark):
+    base = [f"w{i}" for i in range(40)]
+    other = [f"v{i}" for i in range(30)]
+    rows = [(1, " ".join(base)), (2, " ".join(base + ["x"])), (2, " ".join(other)), (3, " ".join(other[:-1])), (2, None)]
+    for order in (rows, rows[::-1]):
+        got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in minhash.near_duplicates(spark.createDataFrame(order, "doc_id long, text string")).collect())
+        # Document 2 is its larger text, which is linked with 1; the smaller one links nothing.
+        assert got == [(1, 36, 1), (2, 0, 2), (2, 26, 1), (2, 37, 1), (3, 25, 3)]
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(1, 40)] + [(100, 90), (90, 100), (7, 7), (None, 3), (200, 100)]
     got = {r.id: r.component for r in connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
@@ -171,10 +181,24 @@ def test_mixture(spark, sf_dir, odd, none):
         assert abs(gap) <= max(r.size for r in own)
         # Every document outside the mix's last place has the copies its key's order gives.
         assert len({r.copies for r in own}) <= 2
+        # By force: rows in order of key, whole ones while they fit, then the one that comes nearest.
+        keys = {r.doc_id: r.key for r in docs.where(docs.source.eqNullSafe(source)).select("doc_id", mixture.sampling_key(1).alias("key")).collect()}
+        epochs, left, extra = int(own[0].target // own[0].source_size), own[0].target % own[0].source_size, set()
+        ranked = sorted(own, key=lambda r: (keys[r.doc_id], r.doc_id))
+        for r in ranked:
+            if r.size > left or own[0].target % own[0].source_size == 0:
+                break
+            left -= r.size
+            extra.add(r.doc_id)
+        rest = [(abs(left - r.size), keys[r.doc_id], r.doc_id) for r in ranked if r.doc_id not in extra and r.size and abs(left - r.size) < left]
+        extra |= {min(rest)[2]} if rest else set()
+        assert {r.doc_id: r.copies for r in own} == {r.doc_id: epochs + (r.doc_id in extra) for r in own}
     rows = mixture.mixed_rows(docs)
     assert rows.columns == docs.columns and rows.count() == sum(r.copies for r in got)
     assert sorted(r["size"] for r in mixture.mix_sources(odd).collect()) == sorted(len(words(r[1])) for r in ODD)
     assert mixture.mix_sources(none).collect() == []
+    capped = spark.createDataFrame([(1, "a b", "s"), (2, "", "s"), (3, None, "s")], "doc_id long, text string, source string")
+    assert {r.copies for r in mixture.mix_sources(capped, share=2.0).collect()} == {2} and mixture.mixed_rows(capped, share=2.0).count() == 6
 
 
 PIECES = st.lists(st.sampled_from(["word.", "Größe,", "\nÉté", "naïve", "...", "日本", "don't", "the", "Of", " ", "  ", "\n", "\n\n", ",", ".", "é", "12", "'s", "\t", "<|endoftext|>", "\xa0", "abc.\nThe", "\x1c", "!!"]), max_size=25)
@@ -194,6 +218,19 @@ def test_cached_encoding_of_any_text(text):
     assert np.frombuffer(ENCODER.encode(text), "<u4").tolist() == PLAIN.encode(text, add_special_tokens=False).ids + [2]
 
 
+def test_other_tokenizers_get_whole_texts(tmp_path):
+    import json
+
+    settings = json.loads(PLAIN.to_str())
+    assert token_files.cuts_at_blanks(settings)
+    for change in ({"normalizer": {"type": "Lowercase"}}, {"pre_tokenizer": None}, {"pre_tokenizer": settings["pre_tokenizer"] | {"add_prefix_space": True}}, {"model": settings["model"] | {"type": "Unigram"}}):
+        assert not token_files.cuts_at_blanks(settings | change)
+    (tmp_path / "lower.json").write_text(json.dumps(settings | {"normalizer": {"type": "Lowercase"}}))
+    encoder, plain = token_files.CachingEncoder(str(tmp_path / "lower.json"), 2), Tokenizer.from_file(str(tmp_path / "lower.json"))
+    text = "Some WORDS\nof Any. CASE"
+    assert np.frombuffer(encoder.encode(text), "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids + [2]
+
+
 def test_token_files(odd, none, tmp_path):
     folder = f"file://{tmp_path}/tokens"
     got = sorted(token_files.tokenise(odd, BPE, folder).collect(), key=lambda r: r.start)
@@ -240,19 +277,58 @@ def test_secrets_on_documents(spark, sf_dir):
 
 
 def test_licences(spark, odd, none):
-    texts = ["intro\nReleased under the MIT License.\nend", "licensed under THE apache license version 2.0", licences.BODIES["ISC"].replace(".", "\n"), "Licensed", "", None, "x " * 5000]
+    mit, isc = licences.BODIES["MIT"], licences.BODIES["ISC"]
+    texts = ["intro\nReleased under the MIT License.\nend", "licensed under THE apache license version 2.0", isc.replace(".", "\n"), "Licensed", "", None, "x " * 5000]
+    texts += ["This work is licensed under the GNU\nGeneral Public License, version 3.", "code " * 300 + "\n" + mit + " tail" * 500, "Released under the MIT License. " * 50, f"{isc}\n{mit}"]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    got = {(r.doc_id, r.unit, r.line, r.licence, r.dice) for r in licences.scan_licences(docs).collect()}
-    assert got == {(0, "line", 1, "MIT", 1.0), (1, "line", 0, "Apache-2.0", 1.0), (2, "document", -1, "ISC", 1.0)}
-    for i, text in enumerate(texts):  # Dice by force over all lines and notices
-        for k, line in enumerate((text or "").split("\n")):
-            own = set(licences._python_bigrams(line))
-            best = max((2 * len(own & set(b)) / (len(own) + len(b)) for _, b in licences._templates(licences.NOTICES)), default=0)
-            assert (best >= 0.8) == any(g[0] == i and g[2] == k for g in got)
+    rows = licences.scan_licences(docs).collect()
+    got = {(r.doc_id, r.unit, r.line, r.licence, r.dice) for r in rows}
+    assert got == {
+        (0, "notice", 1, "MIT", 1.0), (1, "notice", 0, "Apache-2.0", 1.0), (2, "body", 0, "ISC", 1.0), (7, "notice", 0, "GPL-3.0", 1.0),
+        (8, "body", 1, "MIT", 1.0), (9, "notice", 0, "MIT", 1.0), (10, "body", 0, "ISC", 1.0), (10, "body", 1, "MIT", 1.0),
+    }
+    assert sorted(r.first_word for r in rows if r.doc_id == 9) == list(range(0, 250, 5))
     assert licences.scan_licences(odd).collect() == [] and licences.scan_licences(none).collect() == []
     assert not re.search("Python|Pandas|Arrow", licences.scan_licences(docs)._jdf.queryExecution().executedPlan().toString())
 
 
+def test_licences_by_force(spark):
+    """Every window of every template's size, rated by sets, in texts that hold edited and cut notices."""
+    rng = np.random.default_rng(2)
+    notices = {"A": ["licensed under the a licence version two of some year"], "B": ["free to all who copy this text or a part of it"]}
+    bodies = {"C": "permission to read and write this long body of a licence is given to all who keep the body of it whole and unchanged"}
+    wordings, texts = [notices["A"][0].split(), notices["B"][0].split(), bodies["C"].split()], []
+    for _ in range(60):
+        out = []
+        for _ in range(int(rng.integers(1, 5))):
+            w = [x if rng.random() > 0.06 else "other" for x in wordings[rng.integers(3)]]
+            out += [f"f{rng.integers(30)}" for _ in range(rng.integers(0, 12))] + w[int(rng.integers(0, 2)) :]
+        texts.append(" ".join(out))
+    templates = licences._templates(notices, bodies)
+    rows = licences.scan_licences(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), notices, bodies).collect()
+
+    def best_first(places, touch):
+        kept = []
+        for x in places:
+            if not any(touch(x, y) for y in kept):
+                kept.append(x)
+        return kept
+
+    for i, text in enumerate(texts):
+        w, places = text.split(), []
+        for k, t in enumerate(templates):
+            every = []
+            for s in range(len(w) - 1):
+                own = set(licences._pairs(w[s : s + t.words]))
+                dice = round(2 * len(own & set(t.bigrams)) / (len(own) + len(t.bigrams)), 6)
+                if dice >= 0.8 and " ".join(w[s : s + 2]) in t.bigrams:
+                    every.append((-dice, s, s + t.words, k))
+            places += best_first(sorted(every), lambda x, y, n=t.words: 2 * abs(x[1] - y[1]) < n)
+        places.sort(key=lambda x: (x[0], x[1] - x[2], -x[3], x[1]))
+        want = best_first(places, lambda x, y: x[1] < y[2] and y[1] < x[2])
+        assert {(r.dice, r.first_word, r.end_word, r.licence) for r in rows if r.doc_id == i} == {(-d, a, b, templates[k].licence) for d, a, b, k in want}
+
+
 def test_language(spark, odd, none):
     docs = read_table(spark, "/root/testdata/sf0.01", "documents")
     model = language.train_language_model(docs)
@@ -300,6 +376,17 @@ def test_decontamination(spark, sf_dir, odd, none):
     assert decontaminate.contaminated(odd, benchmark.limit(0)).collect() == [] and decontaminate.keep_clean(odd, benchmark.limit(0)).count() == len(ODD)
 
 
+def test_short_items_are_found_unedited(spark):
+    benchmark = spark.createDataFrame([(1, "One, two three."), (2, "alpha"), (3, "..."), (4, "a b c d e f g h i j")], "item_id long, text string")
+    texts = ["zero one two THREE four one two three", "one two four three", "alphabet", "say Alpha; alpha", "a b c d e f g h i j and more", "a b c d x f g h i j"]
+    got = {(r.doc_id, r.item_id, r.edits, r.first_word, r.end_word) for r in decontaminate.contaminated(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), benchmark).collect()}
+    assert got == {(0, 1, 0, 1, 4), (3, 2, 0, 1, 2), (4, 4, 0, 0, 10), (5, 4, 1, 0, 10)}
+    index = decontaminate.build_index([(1, " ".join(f"w{i}" for i in range(n))) for n in range(8, 60, 7)])
+    assert index.recall >= 0.995
+    with pytest.raises(ValueError):
+        decontaminate.build_index([(1, "a b c d e f g h i j k l")], edit_share=0.9)
+
+
 def test_edited_passages_are_found(spark, sf_dir):
     rng = np.random.default_rng(5)
     benchmark = read_table(spark, sf_dir, "benchmark")
@@ -319,14 +406,73 @@ def test_edited_passages_are_found(spark, sf_dir):
 def test_line_templates(spark, odd, none):
     texts = [f"own text of number {chr(97 + i)}\nUser {i} logged in from host{i} today\nshared footer line here" for i in range(12)] + [None, "", "User 7 left\n\nalone words"]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    got = {r.doc_id: r for r in line_templates.drop_recurring_lines(docs, least_documents=10, similarity=0.9).collect()}
+    got = {r.doc_id: r for r in line_templates.drop_recurring_lines(docs, least_documents=10).collect()}
     for i in range(12):
         assert (got[i].n_lines, got[i].n_dropped, got[i].text) == (3, 2, texts[i].split("\n")[0])
     assert (got[12].n_lines, got[12].text) == (0, None) and (got[13].n_lines, got[13].text) == (1, "") and got[14].text == texts[14]
-    assert line_templates.parse_leaf(["a b c d", "a b x d", "q r s t"], 0.6) == ["a b <*> d", "a b <*> d", "q r s t"]
     assert line_templates.drop_recurring_lines(odd).count() == len(ODD) and line_templates.drop_recurring_lines(none).collect() == []
 
 
+def lines_by_force(docs, least=10, depth=3, similarity=0.6, long_words=50, least_words=8):
+    """Places of dropped lines of docs: {doc_id: text}, by the rules of the docstrings, with plain counters."""
+    masked = {i: [" ".join("<*>" if re.search("[0-9]", w) else w for w in line.split()) for line in t.split("\n")] for i, t in docs.items()}
+    leaf = lambda x: (len(x.split(" ")), " ".join(x.split(" ")[:depth]))
+    places = [(i, at, x) for i, xs in masked.items() for at, x in enumerate(xs) if x]
+    reach, holders = Counter(k for i, k in {(i, leaf(x)) for i, _, x in places}), {}
+    for i, _, x in places:
+        holders.setdefault(x, set()).add(i)
+    distinct = [x for x in holders if reach[leaf(x)] >= least]
+    words = Counter()
+    for x in distinct:
+        for place, w in enumerate(x.split(" ")):
+            if len(x.split(" ")) >= least_words and w != "<*>":
+                words[leaf(x), place, w] += len(holders[x])
+    template = {}
+    for x in distinct:
+        own = x.split(" ")
+        made = [w if k < depth or words[leaf(x), k, w] >= least else "<*>" for k, w in enumerate(own)]
+        fixed = lambda ws: sum(w != "<*>" for w in ws)
+        template[x] = (leaf(x), tuple(made if len(own) >= least_words and fixed(made) >= similarity * fixed(own) else own))
+    documents = {}
+    for x in distinct:
+        documents.setdefault(template[x], set()).update(holders[x])
+    gone = {(i, at) for i, at, x in places if x in template and len(documents[template[x]]) >= least}
+    for i, at, x in places:
+        fixed = sum(w != "<*>" for w in x.split(" "))
+        needed = max(2, least - fixed * (least - 2) // long_words)
+        if needed < least and len(holders[x]) >= needed and i != min(holders[x]):
+            gone.add((i, at))
+    return gone
+
+
+def test_line_templates_by_force(spark):
+    rng = np.random.default_rng(9)
+    vocabulary = [f"{a}{b}" for a in "abcdefgh" for b in "xyz"]
+    shared = [" ".join(rng.choice(vocabulary, n)) for n in (1, 2, 4, 7, 9, 12, 20, 30, 44, 52, 60)]
+    docs = {}
+    for i in range(60):
+        lines = []
+        for _ in range(int(rng.integers(1, 9))):
+            kind = rng.integers(5)
+            if kind == 0:
+                lines.append(shared[rng.integers(len(shared))])
+            elif kind == 1:
+                lines.append(f"the report of {rng.choice(vocabulary)} was sent on day {rng.integers(99)} to {rng.choice(vocabulary[:2])} at noon")
+            elif kind == 2:
+                lines.append(f"the report of some {rng.choice(vocabulary)} {rng.choice(vocabulary)}")
+            elif kind == 3:
+                lines.append(" ".join(rng.choice(vocabulary, rng.integers(1, 6))))
+            else:
+                lines.append("")
+        docs[i] = "\n".join(lines)
+    frame = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    for least in (2, 5, 10):
+        gone = lines_by_force(docs, least)
+        want = {i: "\n".join(x for at, x in enumerate(t.split("\n")) if (i, at) not in gone) for i, t in docs.items()}
+        got = {r.doc_id: (r.text, r.n_dropped) for r in line_templates.drop_recurring_lines(frame, least_documents=least).collect()}
+        assert got == {i: (want[i], sum(g[0] == i for g in gone)) for i in docs} and gone
+
+
 def test_pipeline(spark, sf_dir):
     import corpus_pipeline
 
