@@ -12,6 +12,8 @@ line, the fewer documents it takes, and one document keeps it.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,15 +22,15 @@ from docspj.llm.common import scratch
 FIELD = "<*>"
 
 
-def masked_lines(text: Column) -> Column:
-    """array of the text's lines, blanks made single and words with digits made variable; null has none."""
-    fields = F.when(text.rlike("[0-9]"), F.regexp_replace(text, r"(?<!\S)[^\s\d]*+\d\S*", FIELD)).otherwise(text)
-    single = F.when(fields.rlike(r"[\t\x0B\f\r]|  "), F.regexp_replace(fields, r"[ \t\x0B\f\r]+", " ")).otherwise(fields)
-    return F.transform(F.split(single, "\n"), lambda x: F.trim(x))
+def masked(line: Column) -> Column:
+    """A line, blanks made single and words with digits made variable."""
+    blanks = reduce(lambda a, b: a | b, [F.contains(line, F.lit(b)) for b in ("  ", "\t", "\x0b", "\f", "\r")])
+    single = F.when(blanks, F.regexp_replace(line, r"[ \t\x0B\f\r]+", " ")).otherwise(line)
+    return F.trim(F.when(single.rlike("[0-9]"), F.regexp_replace(single, r"(?<!\S)[^\s\d]*+\d\S*", FIELD)).otherwise(single))
 
 
 def word_number(line: Column) -> Column:
-    return F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1
+    return F.size(F.split(line, " "))
 
 
 def leaf(line: Column, depth: int) -> Column:
@@ -37,7 +39,8 @@ def leaf(line: Column, depth: int) -> Column:
 
 def fixed_number(line: Column) -> Column:
     """Words that are no fields."""
-    return word_number(line) - F.regexp_count(line, F.lit(r"(?<!\S)<\*>(?!\S)"))
+    fields = ((F.length(line) - F.length(F.replace(line, F.lit(FIELD), F.lit("")))) / len(FIELD)).cast("int")
+    return word_number(line) - F.when(F.contains(line, F.lit(FIELD)), fields).otherwise(0)
 
 
 def line_templates(lines: DataFrame, least_documents: int, depth: int, similarity: float, least_words: int) -> DataFrame:
@@ -63,10 +66,12 @@ def passages_needed(fixed: Column, least_documents: int, long_words: int) -> Col
 
 def repeated_passages(held: DataFrame, least_documents: int, long_words: int) -> DataFrame:
     """(doc_id, key, at) of held(doc_id, key, at, fixed, mark, mark2) lines that enough documents hold, but for those of the document of least id."""
-    own = F.struct("doc_id", "key")
-    found = held.groupBy("mark", "mark2").agg(F.min(own).alias("first"), F.count_distinct(own).alias("documents"), F.max("fixed").alias("fixed"))
+    # Most lines stand once: these go before documents are counted.
+    twice = held.groupBy("mark", "mark2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("mark", "mark2")
+    some = scratch(held.join(twice, ["mark", "mark2"], "left_semi"), "repeated")
+    found = some.select("mark", "mark2", "doc_id", "key", "fixed").distinct().groupBy("mark", "mark2").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("documents"), F.max("fixed").alias("fixed"))
     again = found.where(F.col("documents") >= passages_needed(F.col("fixed"), least_documents, long_words)).select("mark", "mark2", "first")
-    return held.join(again, ["mark", "mark2"]).where(~own.eqNullSafe(F.col("first"))).select("doc_id", "key", "at")
+    return some.join(again, ["mark", "mark2"]).where(~F.col("doc_id").eqNullSafe(F.col("first"))).select("doc_id", "key", "at")
 
 
 def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int = 3, similarity: float = 0.6, long_words: int = 50, least_words: int = 8) -> DataFrame:
@@ -75,14 +80,15 @@ def drop_recurring_lines(docs: DataFrame, least_documents: int = 10, depth: int
 
     Only lines of `least_words` words or more take words that differ for fields; shorter ones must be equal but for words with digits. Lines are cut at
     line feeds; blank lines are never dropped. A null text stays null and has no lines; an empty text is one blank line. Rows with the same id and text are
-    one document in the counts, and each is returned. Other columns are ignored. Rules and thresholds are the same at every size.
+    one document in the counts, and each is returned; all rows of the least id keep a passage. Other columns are ignored. Rules and thresholds are the same at every size.
     """
     rows = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"))
-    split = rows.where("text is not null").select("doc_id", "key", masked_lines(F.col("text")).alias("lines"))
-    reached = split.select(F.explode(F.array_distinct(F.transform("lines", lambda x: leaf(x, depth)))).alias("leaf")).where("leaf is not null").groupBy("leaf").count()
-    leaves = scratch(reached.where(F.col("count") >= least_documents).select("leaf", F.lit(True).alias("reached")), "leaves")
     line = F.col("line")
-    every = split.select("doc_id", "key", F.posexplode("lines").alias("at", "line")).where("line <> ''").withColumns({"leaf": leaf(line, depth), "fixed": fixed_number(line)})
+    split = rows.where("text is not null").select("doc_id", "key", F.posexplode(F.split("text", "\n")).alias("at", "raw"))
+    every = split.select("doc_id", "key", "at", masked(F.col("raw")).alias("line")).withColumn("leaf", leaf(line, depth))
+    # A leaf of fewer lines than documents are needed can hold no template.
+    leaves = scratch(every.groupBy("leaf").count().where(F.col("leaf").isNotNull() & (F.col("count") >= least_documents)).select("leaf", F.lit(True).alias("reached")), "leaves")
+    every = every.withColumn("fixed", fixed_number(line))
     # A line that takes as many documents as a template does is left to the templates.
     passage = passages_needed(F.col("fixed"), least_documents, long_words) < least_documents
     wanted = every.join(leaves, "leaf", "left").where(F.col("reached") | passage)
