@@ -473,6 +473,13 @@ def test_line_templates_by_force(spark):
         assert got == {i: (want[i], sum(g[0] == i for g in gone)) for i in docs} and gone
 
 
+def test_long_line_of_two_documents_stays_once(spark):
+    long, short = " ".join(f"word{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(60)), "a short line that two texts share"
+    docs = spark.createDataFrame([(2, f"{short}\nown text\n{long}"), (1, f"{long}\n{short}"), (3, f"{long} and more\n{long}")], "doc_id long, text string")
+    got = {r.doc_id: (r.n_dropped, r.text) for r in line_templates.drop_recurring_lines(docs).collect()}
+    assert got == {1: (0, f"{long}\n{short}"), 2: (1, f"{short}\nown text"), 3: (1, f"{long} and more")}
+
+
 def test_pipeline(spark, sf_dir):
     import corpus_pipeline
 
