@@ -6,7 +6,6 @@ import pytest
 from pyspark.sql import functions as F
 
 from docspj.functions.text import embed, norm2
-from docspj.llm.line_templates import drop_recurring_lines
 from docspj.model import Attribute
 from docspj.operators.index import ExactIndex, PQIndex, TwoLevelIndex, kmeans_centres
 from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
@@ -80,10 +79,3 @@ def test_searches_reach_the_recall(spark, sf_dir):
     index = PQIndex(v, 4, 4)
     exact = {(r.probe, r.rank, r.key) for r in ExactIndex(v).topk(probes, 5).collect()}
     assert {(r.probe, r.rank, r.key) for r in index.topk(probes, 5, v.count()).collect()} == exact
-
-
-def test_long_line_of_two_documents_stays_once(spark):
-    long, short = " ".join(f"word{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(60)), "a short line that two texts share"
-    docs = spark.createDataFrame([(2, f"{short}\nown text\n{long}"), (1, f"{long}\n{short}"), (3, f"{long} and more\n{long}")], "doc_id long, text string")
-    got = {r.doc_id: (r.n_dropped, r.text) for r in drop_recurring_lines(docs).collect()}
-    assert got == {1: (0, f"{long}\n{short}"), 2: (1, f"{short}\nown text"), 3: (1, f"{long} and more")}
