@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-import hashlib
+import re
 import time
-from collections.abc import Callable, Iterator, Sequence
+from collections.abc import Callable, Iterable, Iterator
 from concurrent.futures import ThreadPoolExecutor, TimeoutError as Late
 
 import pandas as pd
@@ -77,11 +77,15 @@ class ExtractionCache:
         """asked(doc_key, attr, text) without what is held."""
         return asked.join(self.rows().select("doc_key", "attr"), ["doc_key", "attr"], "left_anti")
 
+    def put(self, rows: DataFrame) -> None:
+        """Keep rows(doc_key, attr, value, tokens_in, tokens_out) that were read."""
+        rows.select("doc_key", "value", "tokens_in", "tokens_out", "attr").write.mode("append").partitionBy("attr").parquet(self.path)
+
     def read(self, asked: DataFrame, reader: Callable[[DataFrame], DataFrame]) -> tuple[DataFrame, int]:
         """Values for all of asked, and the tokens that those not held cost. They are in the cache before anyone uses them."""
         new = reader(self.misses(asked)).select("doc_key", "attr", "value", "tokens_in", "tokens_out")
         before = self.rows().agg(F.coalesce(F.sum(F.col("tokens_in") + F.col("tokens_out")), F.lit(0))).first()[0]
-        new.write.mode("append").partitionBy("attr").parquet(self.path)
+        self.put(new)
         held = self.rows()
         after = held.agg(F.coalesce(F.sum(F.col("tokens_in") + F.col("tokens_out")), F.lit(0))).first()[0]
         return asked.select("doc_key", "attr").join(held, ["doc_key", "attr"], "left"), int(after - before)
@@ -100,6 +104,26 @@ def approx_from_sample(values: DataFrame, column: str, total: int) -> DataFrame:
     return s.select("n", "mean", half.alias("half_width"), (F.col("mean") * total).alias("sum"), (half * total).alias("sum_half_width"))
 
 
-def stable_choice(text: str, options: Sequence[str]) -> str:
-    """A reproducible pick, for stand-in readers in tests."""
-    return options[int(hashlib.md5(text.encode()).hexdigest()[:8], 16) % len(options)]
+def rule_reader(attributes: Iterable[Attribute], on_call: Callable[[str, str], None] | None = None) -> Callable[[str, str], str | None]:
+    """A reader that stands for a model: the attributes' own patterns, one call an attribute and text, or several attributes of a text in one call.
+
+    Names joined by commas are answered by values joined by line feeds. on_call sees every call.
+    """
+    by_name = {a.name: a for a in attributes}
+
+    def one(a: Attribute, text: str) -> str | None:
+        if a.pattern.startswith("count:"):
+            return str(len(re.findall(a.pattern[6:], text)))
+        if a.pattern.startswith("has:"):
+            return str(re.search(a.pattern[4:], text) is not None).lower()
+        m = re.search(a.pattern, text)
+        return m.group(1) or None if m else None
+
+    def read(names: str, text: str) -> str | None:
+        if on_call is not None:
+            on_call(names, text)
+        if "," not in names:
+            return one(by_name[names], text)
+        return "\n".join(one(by_name[n], text) or "" for n in names.split(","))
+
+    return read

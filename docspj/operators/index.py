@@ -2,60 +2,187 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
-from dataclasses import dataclass
+import json
+import math
+from collections.abc import Callable, Sequence
+from dataclasses import dataclass, replace
+from functools import reduce
 
 import numpy as np
 from pyspark.ml.clustering import KMeans
 from pyspark.ml.feature import BucketedRandomProjectionLSH
 from pyspark.ml.functions import array_to_vector
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from docspj.functions.text import DIMENSIONS, embed, euclid, norm2
+from docspj.functions.text import DIMENSIONS, distance_to, embed, euclid, l2n, norm2, python_embed, unit
+from docspj.functions.udfs import callable_embedder
 from docspj.operators.segments import segment, summarise
+from docspj.session import cut
+
+
+def dense(vector: Column, squared: Column, d: int = DIMENSIONS) -> Column:
+    """A vector's map as an array of doubles of length one; the empty vector is zeros."""
+    scale = F.when(squared > 0, F.sqrt(squared.cast("double"))).otherwise(1.0)
+    return F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at(vector, i), F.lit(0)).cast("double") / scale)
+
+
+@dataclass
+class Cells:
+    """k-means cells of the segments' vectors: centres, and the largest distance of a member from its centre."""
+
+    centres: list[list[float]]
+    radii: list[float]
+
+    def within(self, probes: Sequence[tuple[Sequence[float], float]]) -> list[int]:
+        """Cells that may hold a vector within the radius of one of (point, radius): the triangle inequality rules the others out."""
+        return [i for i, (c, r) in enumerate(zip(self.centres, self.radii, strict=True)) if any(math.dist(c, p) <= radius + r + 1e-9 for p, radius in probes)]
+
+
+@dataclass
+class Codes:
+    """Product codes of the segments' vectors: for each of m parts, ks centres; each segment holds its codes and its distance from what they stand for."""
+
+    books: list[list[list[float]]]
+
+    def least_distance(self, code: Column, error: Column, point: Sequence[float]) -> Column:
+        """A bound from below of a segment's distance from a point, by its codes alone."""
+        width = len(self.books[0][0])
+        table = F.array(*[F.array(*[F.lit(sum((x - y) ** 2 for x, y in zip(c, point[j * width : (j + 1) * width], strict=True))) for c in book]) for j, book in enumerate(self.books)])
+        squares = F.aggregate(F.zip_with(table, code, lambda t, c: F.element_at(t, c + 1)), F.lit(0.0), lambda s, x: s + x)
+        return F.sqrt(squares) - error
 
 
 @dataclass
 class TwoLevelIndex:
-    """docs(corpus, doc_key, vecs, ...) and segments(corpus, doc_key, seg_no, text, n_tokens, vec, n2), both by doc_key."""
+    """docs(corpus, doc_key, vecs, n2s) and segments(corpus, doc_key, seg_no, text, n_tokens, vec, n2), both by doc_key.
+
+    model: what embeds lists of texts, where it is not the hashed words. cells, codes: of the segments, if made.
+    """
 
     docs: DataFrame
     segments: DataFrame
+    model: Callable[[list[str]], list[list[float]]] | None = None
+    cells: Cells | None = None
+    codes: Codes | None = None
 
     @staticmethod
-    def build(docs: DataFrame, summary: str = "lead", segments: DataFrame | None = None, d: int = DIMENSIONS, **options) -> TwoLevelIndex:
+    def build(docs: DataFrame, summary: str = "lead", segments: DataFrame | None = None, d: int = DIMENSIONS, model: Callable[[list[str]], list[list[float]]] | None = None, **options) -> TwoLevelIndex:
+        """Summaries and segments of docs(corpus, doc_key, text), embedded; a model embeds in batches, each text once."""
         one = summarise(docs, summary)
         texts = F.col("sentences") if summary == "multi" else F.array("summary")
-        top = one.select("corpus", "doc_key", F.transform(texts, lambda t: embed(t, d)).alias("vecs")).withColumn("n2s", F.transform("vecs", norm2))
         below = segment(docs, d=d, **options) if segments is None else segments
+        if model is not None:
+            place = lambda v: F.map_from_arrays(F.sequence(F.lit(0), F.size(v) - 1), l2n(v.cast("array<double>")))
+            square = lambda v: F.aggregate(F.map_values(v), F.lit(0.0), lambda s, x: s + x * x)
+            column = callable_embedder(model)
+            rows = one.select("corpus", "doc_key", F.posexplode_outer(texts).alias("at", "text")).withColumn("vec", place(column(F.col("text"))))
+            parts = F.transform(F.array_sort(F.collect_list(F.struct("at", F.map_entries("vec").alias("entries")))), lambda x: F.map_from_entries(x["entries"]))
+            top = rows.groupBy("corpus", "doc_key").agg(parts.alias("vecs")).withColumn("n2s", F.transform("vecs", square))
+            return TwoLevelIndex(top, below.withColumn("vec", place(column(F.col("text")))).withColumn("n2", square(F.col("vec"))), model)
+        top = one.select("corpus", "doc_key", F.transform(texts, lambda t: embed(t, d)).alias("vecs")).withColumn("n2s", F.transform("vecs", norm2))
         return TwoLevelIndex(top, below.withColumn("vec", embed(F.col("text"), d)).withColumn("n2", norm2(F.col("vec"))))
 
+    def vector(self, text: str) -> list[float]:
+        """A short text's vector on the driver, of length one."""
+        if self.model is None:
+            return unit(python_embed(text))
+        found = [float(x) for x in self.model([text])[0]]
+        length = math.sqrt(sum(x * x for x in found)) or 1.0
+        return [x / length for x in found]
+
+    @property
+    def dimensions(self) -> int:
+        return len(self.vector("dimensions"))
+
+    def with_cells(self, cells: int = 16, sample: int = 20_000, seed: int = 1) -> TwoLevelIndex:
+        """The segments with `cell`, by k-means on a bounded sample of least hashes; every segment is placed, and the radii are of all of them."""
+        points = self._sampled(sample)
+        centres = [c.tolist() for c in KMeans(k=cells, seed=seed, maxIter=15).fit(points.select(array_to_vector("point").alias("features"))).clusterCenters()]
+        near = F.array_min(F.array(*[F.struct(distance_to(F.col("vec"), F.col("n2"), c).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(centres)]))
+        placed = cut(self.segments.withColumn("near", near).withColumns({"cell": F.col("near.cell"), "cell_dist": F.col("near.d")}).drop("near"), "cells")
+        radii = {r.cell: r.r for r in placed.groupBy("cell").agg(F.max("cell_dist").alias("r")).collect()}
+        return replace(self, segments=placed.drop("cell_dist"), cells=Cells(centres, [radii.get(i, -math.inf) for i in range(len(centres))]))
+
+    def with_codes(self, m: int = 8, ks: int = 16, sample: int = 20_000, seed: int = 1) -> TwoLevelIndex:
+        """The segments with `code` and `code_error`, books by k-means on a bounded sample; every segment is coded."""
+        points, width, books = self._sampled(sample), self.dimensions // m, []
+        for j in range(m):
+            part = points.select(array_to_vector(F.slice("point", j * width + 1, width)).alias("features"))
+            books.append([c.tolist() for c in KMeans(k=ks, seed=seed, maxIter=15).fit(part).clusterCenters()])
+        square = lambda x, c: F.aggregate(F.zip_with(x, F.lit(c), lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
+        part = lambda j: F.slice("point", j * width + 1, width)
+        best = F.array(*[F.array_min(F.array(*[F.struct(square(part(j), c).alias("d"), F.lit(i).alias("c")) for i, c in enumerate(book)])) for j, book in enumerate(books)])
+        coded = self.segments.withColumn("point", dense(F.col("vec"), F.col("n2"), self.dimensions)).withColumn("best", best)
+        coded = coded.withColumns({"code": F.transform("best", lambda b: b["c"]), "code_error": F.sqrt(F.aggregate("best", F.lit(0.0), lambda s, b: s + b["d"])) + 1e-9})
+        return replace(self, segments=cut(coded.drop("point", "best"), "codes"), codes=Codes(books))
+
+    def _sampled(self, rows: int) -> DataFrame:
+        few = self.segments.orderBy(F.xxhash64("doc_key", "seg_no"), "doc_key", "seg_no").limit(rows)
+        return cut(few.select(dense(F.col("vec"), F.col("n2"), self.dimensions).alias("point")), "points")
+
+    def reached(self, probes: Sequence[tuple[Sequence[float], float]], search: str = "scan") -> DataFrame:
+        """Segments among which all lie that are within the radius of one of (point, radius). scan: all. cells, codes: those that a bound from below
+        does not rule out, so nothing within is lost; cells are a partition column of a saved index."""
+        if search == "scan":
+            return self.segments
+        if search == "cells" and self.cells is not None:
+            return self.segments.where(F.col("cell").isin(self.cells.within(probes)))
+        if search == "codes" and self.codes is not None:
+            bound = [self.codes.least_distance(F.col("code"), F.col("code_error"), p) <= radius for p, radius in probes]
+            return self.segments.where(reduce(lambda a, b: a | b, bound, F.lit(False)))
+        raise ValueError(f"the index has no {search}")
+
     def save(self, path: str) -> TwoLevelIndex:
-        """Both levels as Parquet, dealt by doc_key so that a document's rows lie together."""
+        """Both levels as Parquet, dealt by doc_key so that a document's rows lie together; segments by cell, if there are cells."""
+        spark = self.docs.sparkSession
         for name, frame in (("docs", self.docs), ("segments", self.segments)):
-            frame.repartition("doc_key").sortWithinPartitions("doc_key").write.mode("overwrite").parquet(f"{path}/{name}")
-        return TwoLevelIndex.load(self.docs.sparkSession, path)
+            writer = frame.repartition("doc_key").sortWithinPartitions("doc_key").write.mode("overwrite")
+            (writer.partitionBy("cell") if "cell" in frame.columns else writer).parquet(f"{path}/{name}")
+        kept = [("cells", json.dumps([self.cells.centres, self.cells.radii]))] if self.cells else []
+        kept += [("codes", json.dumps(self.codes.books))] if self.codes else []
+        spark.createDataFrame(kept, "name string, content string").coalesce(1).write.mode("overwrite").parquet(f"{path}/search")
+        return TwoLevelIndex.load(spark, path, self.model)
 
     @staticmethod
-    def load(spark: SparkSession, path: str) -> TwoLevelIndex:
-        return TwoLevelIndex(spark.read.parquet(f"{path}/docs"), spark.read.parquet(f"{path}/segments"))
+    def load(spark: SparkSession, path: str, model: Callable[[list[str]], list[list[float]]] | None = None) -> TwoLevelIndex:
+        kept = {r.name: json.loads(r.content) for r in spark.read.parquet(f"{path}/search").collect()}
+        cells, codes = Cells(*kept["cells"]) if "cells" in kept else None, Codes(kept["codes"]) if "codes" in kept else None
+        return TwoLevelIndex(spark.read.parquet(f"{path}/docs"), spark.read.parquet(f"{path}/segments"), model, cells, codes)
+
+    def save_tables(self, name: str, buckets: int = 200) -> TwoLevelIndex:
+        """Both levels as tables in buckets of doc_key: joins between them shuffle nothing."""
+        spark = self.docs.sparkSession
+        for level, frame in (("docs", self.docs), ("segments", self.segments)):
+            frame.write.mode("overwrite").bucketBy(buckets, "doc_key").sortBy("doc_key").saveAsTable(f"{name}_{level}")
+        return replace(self, docs=spark.table(f"{name}_docs"), segments=spark.table(f"{name}_segments"))
+
+
+#: Probes that may be broadcast; more are refused, to be asked in blocks.
+MOST_PROBES = 100_000
+
+
+def few(probes: DataFrame) -> DataFrame:
+    """Probes for a broadcast, their number checked."""
+    if probes.limit(MOST_PROBES + 1).count() > MOST_PROBES:
+        raise ValueError(f"more than {MOST_PROBES} probes: ask them in blocks")
+    return F.broadcast(probes)
 
 
 class ExactIndex:
-    """Scan with the probes as constants of the plan: vectors(key, vec array<float>)."""
+    """Scan with the probes broadcast, in a checked number: vectors(key, vec array<float>)."""
 
     def __init__(self, vectors: DataFrame, key: str = "vec_id", column: str = "embedding"):
         self.vectors = vectors.select(F.col(key).alias("key"), F.col(column).alias("vec"))
 
     def range(self, probes: DataFrame, radius: float) -> DataFrame:
         """(probe, key, dist) within the radius; probes(probe, pvec) must be few: they are broadcast."""
-        both = self.vectors.crossJoin(F.broadcast(probes)).withColumn("dist", euclid("vec", "pvec"))
+        both = self.vectors.crossJoin(few(probes)).withColumn("dist", euclid("vec", "pvec"))
         return both.where(F.col("dist") <= radius).select("probe", "key", "dist")
 
     def topk(self, probes: DataFrame, k: int) -> DataFrame:
         """(probe, rank, key, dist): the k nearest; each task keeps k a probe, and only these are shuffled."""
-        both = self.vectors.crossJoin(F.broadcast(probes)).select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
+        both = self.vectors.crossJoin(few(probes)).select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
         return _nearest(both, k)
 
 
@@ -81,7 +208,7 @@ class IVFIndex:
     def topk(self, probes: DataFrame, k: int, nprobe: int = 4) -> DataFrame:
         cells = F.array(*[F.struct(euclid(F.col("pvec"), F.lit(c)).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(self.centres)])
         asked = probes.select("probe", "pvec", F.explode(F.slice(F.array_sort(cells), 1, nprobe)).alias("c")).select("probe", "pvec", F.col("c.cell").alias("cell"))
-        hits = self.vectors.join(F.broadcast(asked), "cell").select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
+        hits = self.vectors.join(few(asked), "cell").select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
         return _nearest(hits, k)
 
 
@@ -102,7 +229,7 @@ class PQIndex:
         """Nearest by asymmetric distance: the probe is exact, the stored vector its code. The `shortlist` nearest so are ranked by their exact distance."""
         table = lambda j: F.array(*[F.pow(euclid(F.slice("pvec", j * self.width + 1, self.width), F.lit(c)), 2) for c in self.books[j]])
         asked = probes.select("probe", F.array(*[table(j) for j in range(self.m)]).alias("tables"))
-        both = self.codes.crossJoin(F.broadcast(asked))
+        both = self.codes.crossJoin(few(asked))
         dist = F.sqrt(F.aggregate(F.zip_with("tables", "code", lambda t, c: F.element_at(t, c.cast("int") + 1)), F.lit(0.0), lambda s, x: s + x))
         coded = _nearest(both.select("probe", F.struct(F.round(dist, 9).alias("dist"), "key").alias("hit")), max(k, shortlist or k))
         if shortlist is None:

@@ -40,7 +40,7 @@ def fold_executor(docs: DataFrame, expr: Expr, value: dict[str, Column], cost: d
     SELECT attributes that no filter read are read for documents that are kept. `truths` stands for a leaf's own test, as for membership in a table.
     """
     attributes, truths = attributes_of(expr), truths or {}
-    truth = F.array(*[truths[x.id] if x.id in truths else test(x, value[x.attr]) for x in leaves(expr)])
+    truth = [truths[x.id] if x.id in truths else test(x, value[x.attr]) for x in leaves(expr)]
     price = F.array(*[F.coalesce(cost[a], F.lit(0)).cast("bigint") for a in attributes])
     after = docs.withColumn("walk", fold(expr, attributes, F.col("plan"), truth, price)).withColumn("kept", node_value(expr, F.col("walk.known")) == 1)
     late = F.lit(0).cast("bigint")
@@ -89,19 +89,26 @@ def join_selectivity(left: DataFrame, left_key: str, right: DataFrame, right_key
     return in_selectivity(right, right_key, left.select(F.col(left_key).alias("value")))
 
 
-def row_executor(docs: DataFrame, expr: Expr, context: dict[str, str], cost: dict[str, str], extract: Callable[[str, str], object], keep: Iterable[str]) -> DataFrame:
+def row_executor(docs: DataFrame, expr: Expr, context: dict[str, str], cost: dict[str, str], extract: Callable[[str, str], object], keep: Iterable[str], parse: dict[str, Callable[[str], object]] | None = None, members: frozenset | None = None) -> DataFrame:
     """One pass over docs(plan, context and cost columns): extract(attribute, text) is called only when a test needs it.
 
-    Returns the kept columns with kept, tokens, calls. Laziness is the loop's own, so it does not hang on how Spark orders expressions.
+    Returns the kept columns with kept, tokens, calls, and the map `values` of what is known of each document now, as text. Laziness is the loop's own, so it
+    does not hang on how Spark orders expressions. docs may have a map `values` of what is known before; parse turns texts into values. With members
+    the first leaf is membership in them: they go to every task, so the caller bounds them.
     """
-    every = {x.id: x for x in leaves(expr)}
-    keep = list(keep)
+    every, parse = {x.id: x for x in leaves(expr)}, parse or {}
+    keep = [k for k in keep if k != "values"]
+    before = "values" in docs.columns
 
     def of(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def typed(a: str, raw: object) -> object:
+            return None if raw is None else parse[a](raw) if a in parse else raw
+
         for frame in batches:
             rows = []
-            for _, r in frame.iterrows():
-                known, values, tokens, calls = {}, {}, 0, 0
+            for r in frame.to_dict("records"):
+                known, tokens, calls = {}, 0, 0
+                values = dict(zip(r["known_names"], r["known_texts"], strict=True)) if before else {}
                 for i in r["plan"]:
                     if value_of(expr, known) is not None:
                         break
@@ -112,33 +119,44 @@ def row_executor(docs: DataFrame, expr: Expr, context: dict[str, str], cost: dic
                         price = 0 if pd.isna(r[cost[a]]) else int(r[cost[a]])
                         tokens, calls = tokens + price, calls + (price > 0)
                         values[a] = extract(a, r[context[a]]) if price else None
-                    known[i] = test_python(every[i], values[a])
-                rows.append((*[r[k] for k in keep], bool(value_of(expr, known)), tokens, calls))
-            yield pd.DataFrame(rows, columns=[*keep, "kept", "tokens", "calls"])
+                    value = typed(a, values[a])
+                    known[i] = value is not None and value in members if members is not None and i == 1 else test_python(every[i], value)
+                texts = [None if v is None else str(v) for v in values.values()]
+                rows.append((*[r[k] for k in keep], list(values), texts, bool(value_of(expr, known)), tokens, calls))
+            yield pd.DataFrame(rows, columns=[*keep, "known_names", "known_texts", "kept", "tokens", "calls"])
 
-    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in docs.schema if f.name in keep)
-    return docs.mapInPandas(of, f"{fields}, kept boolean, tokens long, calls int")
+    asked = docs.withColumns({"known_names": F.map_keys("values"), "known_texts": F.map_values("values")}).drop("values") if before else docs
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep)
+    done = asked.mapInPandas(of, f"{fields}, known_names array<string>, known_texts array<string>, kept boolean, tokens long, calls int")
+    return done.withColumn("values", F.map_from_arrays("known_names", "known_texts")).drop("known_names", "known_texts")
 
 
-def round_executor(docs: DataFrame, key: str, expr: Expr, context: dict[str, str], cost: dict[str, str], batch: Callable[[DataFrame], DataFrame], parse: dict[str, Callable[[Column], Column]], cut: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def round_executor(docs: DataFrame, key: str, expr: Expr, context: dict[str, str], cost: dict[str, str], batch: Callable[[DataFrame], DataFrame], parse: dict[str, Callable[[Column], Column]], cut: Callable[[DataFrame], DataFrame], members: DataFrame | None = None) -> DataFrame:
     """Rounds for batch endpoints: in each, every undecided document has its next filter's attribute read, all in one request table.
 
     batch: (key, attr, text) -> (key, attr, value). cut writes a round durably, so what was paid for is never read twice. At most as many rounds as leaves.
+    docs may have a map `values` of what is known; what costs nothing is not asked for. With members(member), distinct values, the first leaf is
+    membership in them, by a join: they may be many.
     """
     every, attributes = leaves(expr), attributes_of(expr)
     price = F.array(*[F.coalesce(F.col(cost[a]), F.lit(0)).cast("bigint") for a in attributes])
-    state = docs.withColumns({"state": start_state(expr, attributes), "values": F.create_map().cast("map<string,string>"), "step": F.lit(0)})
+    known = F.col("values") if "values" in docs.columns else F.create_map().cast("map<string,string>")
+    state = docs.withColumns({"state": start_state(expr, attributes), "values": known, "step": F.lit(0)})
     for _ in range(len(every)):
         live = lambda s, i: F.element_at(open_leaves(expr, s), i)
         upcoming = F.filter(F.slice("plan", F.col("step") + 1, F.greatest(F.size("plan") - F.col("step"), F.lit(0))), lambda i: live(F.col("state.known"), i))
         state = state.withColumn("next", F.try_element_at(upcoming, F.lit(1))).withColumn("attr", F.try_element_at(F.lit([x.attr for x in every]), "next"))
         waits = F.col("attr").isNotNull() & ~F.map_contains_key("values", F.coalesce("attr", F.lit("")))
         text = F.coalesce(*[F.when(F.col("attr") == a, F.col(context[a])) for a in attributes], F.lit(""))
-        answers = cut(batch(state.where(waits).select(key, "attr", text.alias("text"))).select(F.col(key).alias("answered"), F.col("attr").alias("of"), "value"))
+        asked = state.where(waits & (F.element_at(price, F.array_position(F.lit(attributes), F.col("attr")).cast("int")) > 0))
+        answers = cut(batch(asked.select(key, "attr", text.alias("text"))).select(F.col(key).alias("answered"), F.col("attr").alias("of"), "value"))
         joined = state.join(answers, (F.col(key) == F.col("answered")) & (F.col("attr") == F.col("of")), "left")
         values = F.when(waits, F.map_concat("values", F.map_from_arrays(F.array("attr"), F.array("value")))).otherwise(F.col("values"))
         joined = joined.withColumn("values", values).drop("answered", "of", "value")
-        truth = F.array(*[test(x, parse[x.attr](F.try_element_at("values", F.lit(x.attr)))) for x in every])
+        truth = [test(x, parse[x.attr](F.try_element_at("values", F.lit(x.attr)))) for x in every]
+        if members is not None:
+            joined = joined.join(members.select(F.col("member").alias("of")), parse[every[0].attr](F.try_element_at("values", F.lit(every[0].attr))) == F.col("of"), "left").withColumn("is_in", F.col("of").isNotNull()).drop("of")
+            truth[0] = F.col("is_in")
         moved = F.when(F.col("next").isNotNull(), step_state(expr, attributes, F.col("state"), F.col("next"), truth, price)).otherwise(F.col("state"))
-        state = cut(joined.withColumns({"state": moved, "step": F.coalesce(F.array_position("plan", F.col("next")).cast("int"), F.col("step"))}).drop("next", "attr"))
+        state = cut(joined.withColumns({"state": moved, "step": F.coalesce(F.array_position("plan", F.col("next")).cast("int"), F.col("step"))}).drop("next", "attr", "is_in"))
     return state.withColumns({"kept": node_value(expr, F.col("state.known")) == 1, "tokens": F.col("state.tokens"), "calls": F.col("state.calls")}).drop("state", "step")

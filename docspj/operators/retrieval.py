@@ -10,9 +10,10 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from docspj.functions.text import DIMENSIONS, distance_to, md5_rank, python_embed, unit
+from docspj.functions.text import distance_to, md5_rank, python_embed, unit
 from docspj.model import Attribute
 from docspj.operators.index import TwoLevelIndex, kmeans_centres
+from docspj.session import cut
 
 TAU0 = 1.45
 MARGIN = 0.1
@@ -51,16 +52,21 @@ class Probes:
     evidence: dict[str, int] = field(default_factory=dict)
     sample_docs: int = 0
     sample_tokens: int = 0
+    sample: DataFrame | None = None
 
 
 def description(a: Attribute) -> str:
     return f"{a.name.replace('_', ' ')} {a.description}"
 
 
-def query_embedding(attributes: Sequence[Attribute], d: int = DIMENSIONS) -> list[float]:
+def hashed(text: str) -> list[float]:
+    return unit(python_embed(text))
+
+
+def query_embedding(attributes: Sequence[Attribute], vector: Callable[[str], list[float]] = hashed) -> list[float]:
     """Mean of the attributes' normalised embeddings."""
-    vectors = [unit(python_embed(description(a), d), d) for a in attributes]
-    return [sum(v[i] for v in vectors) / max(1, len(vectors)) for i in range(d)]
+    vectors = [vector(description(a)) for a in attributes]
+    return [sum(column) / len(vectors) for column in zip(*vectors, strict=True)]
 
 
 def doc_distance(query: Sequence[float]) -> Column:
@@ -78,11 +84,21 @@ def refine_docs(docs: DataFrame, tau: float) -> DataFrame:
 
 
 def sample_docs(docs: DataFrame, rate: float = 0.05, seed: str = "sample", least: int = 5) -> DataFrame:
-    """ceil(rate x n) documents, of least md5 rank; and the `least` documents nearest the query, so that a small table is met."""
-    n = docs.count()
-    size = max(least, math.ceil(rate * n))
-    drawn = docs.orderBy(md5_rank(F.col("doc_key"), seed), "doc_key").limit(size)
-    return drawn.unionByName(docs.orderBy("doc_dist", "doc_key").limit(least)).dropDuplicates(["doc_key"]) if "doc_dist" in docs.columns else drawn
+    """Documents whose md5 rank is below the rate, or one of the `least` least; and the `least` nearest the query, so that a small table is met.
+
+    A threshold on the rank, so nothing is counted or sorted but the few of the least ranks and distances.
+    """
+    rank = md5_rank(F.col("doc_key"), seed)
+    parts = docs.where(rank < rate).unionByName(docs.orderBy(rank, "doc_key").limit(least))
+    if "doc_dist" in docs.columns:
+        parts = parts.unionByName(docs.orderBy("doc_dist", "doc_key").limit(least))
+    return parts.dropDuplicates(["doc_key"])
+
+
+def full_texts(segments: DataFrame) -> DataFrame:
+    """(doc_key, text, n_tokens) of whole documents, from all their segments in order."""
+    ordered = F.array_sort(F.collect_list(F.struct("seg_no", "text")))
+    return segments.groupBy("doc_key").agg(F.array_join(F.transform(ordered, lambda x: x["text"]), "\n").alias("text"), F.sum("n_tokens").alias("n_tokens"))
 
 
 def analyse(segments: DataFrame, sample: DataFrame, attributes: Sequence[Attribute]) -> DataFrame:
@@ -123,16 +139,20 @@ def fit_gamma_cluster(vectors: Sequence[Sequence[float]], centres: Sequence[Sequ
 
 def fit_probes(
     index: TwoLevelIndex, attributes: Sequence[Attribute], rate: float = 0.05, k: int = 3, probes: str = "evidence", margin: float = MARGIN, tau0: float = TAU0, seed: str = "sample", synthetic: int = 20,
-    gamma_mode: str = "diameter", required: str | None = None, generator: Callable[[Attribute, int], list[str]] | None = None, d: int = DIMENSIONS, least: int = 10,
+    gamma_mode: str = "diameter", required: str | None = None, generator: Callable[[Attribute, int], list[str]] | None = None, least: int = 10, fixed_gamma: float = 1.1, least_evidence: int = 5,
 ) -> Probes:
     """Sample the documents a permissive search finds, read them in full, and fit probes and radii.
 
     A sampled document is relevant if it holds any attribute (or the `required` one). All evidence of the sample counts: tau is an
-    aggregate, and the driver gets each distinct vector of an attribute's evidence once, with the number of its segments.
+    aggregate, and the driver gets each distinct vector of an attribute's evidence once, with the number of its segments. probes="description" is free
+    of evidence: no sample, the description's own vector and `fixed_gamma` for every attribute, and no radius at the document level. Evidence of fewer than
+    `least_evidence` segments says little of how far an attribute's wordings lie apart: synthesised passages join it, an extension.
     """
-    query = query_embedding(attributes, d)
+    query, d = query_embedding(attributes, index.vector), index.dimensions
+    if probes == "description":
+        return Probes(query, {a.name: [index.vector(description(a))] for a in attributes}, Thresholds(math.inf, {a.name: fixed_gamma for a in attributes}))
     found = retrieve_docs(index.docs, query, tau0)
-    sample = sample_docs(found, rate, seed, least).select("doc_key", "doc_dist").persist()
+    sample = cut(sample_docs(found, rate, seed, least).select("doc_key", "doc_dist"), "sampled")
     rows = analyse(index.segments, sample, attributes)
     held = rows.where(" or ".join(f"has_{a.name}" for a in attributes))
     relevant = held.where(f"has_{required}") if required else held
@@ -143,19 +163,16 @@ def fit_probes(
     for r in evidence.groupBy("name", "entries").agg(F.count(F.lit(1)).alias("n")).orderBy("name", "entries").collect():
         vectors[r.name].append((unit({e["key"]: e["value"] for e in r.entries}, d), r.n))
     total = rows.agg(F.coalesce(F.sum("n_tokens"), F.lit(0)).alias("t"), F.count_distinct("doc_key").alias("n")).first()
-    sample.unpersist()
     thresholds, centres, sizes = Thresholds(fit_tau([] if farthest is None else [farthest], margin, tau0)), {}, {}
     for a in attributes:
         own, counts = [v for v, _ in vectors[a.name]], [n for _, n in vectors[a.name]]
         sizes[a.name] = sum(counts)
-        if probes == "synthetic" or not own:
-            own = [unit(python_embed(t, d), d) for t in synthesise_evidence(a, synthetic, generator)]
-            counts = [1] * len(own)
+        if probes == "synthetic" or sizes[a.name] < least_evidence:
+            made = [index.vector(t) for t in synthesise_evidence(a, synthetic, generator)]
+            own, counts = (made, [1] * len(made)) if probes == "synthetic" else (own + made, counts + [1] * len(made))
         centres[a.name] = kmeans_centres(own, k, counts=counts)
         thresholds.gamma[a.name] = fit_gamma(own, margin) if gamma_mode == "diameter" else fit_gamma_cluster(own, centres[a.name], margin)
-        if probes == "description":
-            centres[a.name] = [unit(python_embed(description(a), d), d)]
-    return Probes(query, centres, thresholds, sizes, int(total["n"]), int(total["t"]))
+    return Probes(query, centres, thresholds, sizes, int(total["n"]), int(total["t"]), sample.select("doc_key"))
 
 
 def near_any(centres: Sequence[Sequence[float]], gamma: float) -> Column:
@@ -163,18 +180,27 @@ def near_any(centres: Sequence[Sequence[float]], gamma: float) -> Column:
     return F.array_min(F.array(*[distance_to(F.col("vec"), F.col("n2"), c) for c in centres])) <= gamma
 
 
-def retrieve(index: TwoLevelIndex, attributes: Sequence[Attribute], probes: Probes, two_level: bool = True) -> DataFrame:
+def retrieve(index: TwoLevelIndex, attributes: Sequence[Attribute], probes: Probes, two_level: bool = True, search: str = "scan") -> DataFrame:
     """One row a document: cost_<a>, the tokens of the segments near the attribute's evidence, and text_<a>, these segments in order.
 
-    A segment counts once however many centres it is near. One aggregation by doc_key; only segments near some attribute are shuffled. Documents
-    of the refined set without such a segment are there, with no cost.
+    The segment level is asked for the refined documents alone, and `search` says how (TwoLevelIndex.reached). A segment counts once however many centres
+    it is near. One aggregation by doc_key; only segments near some attribute are shuffled for it. Documents of the refined set without such a segment are there, with no cost.
     """
     docs = refine_docs(index.docs.withColumn("doc_dist", doc_distance(probes.query)), probes.thresholds.tau) if two_level else index.docs
-    flags = index.segments.withColumns({f"near_{a.name}": near_any(probes.centres[a.name], probes.thresholds.gamma[a.name]) for a in attributes})
-    hits = flags.where(" or ".join(f"near_{a.name}" for a in attributes)).select("doc_key", "seg_no", "text", "n_tokens", *[f"near_{a.name}" for a in attributes])
+    hits = near_segments(index, attributes, probes, docs if two_level else None, search)
     return gathered(hits, docs.select("doc_key"), [a.name for a in attributes])
 
 
+def near_segments(index: TwoLevelIndex, attributes: Sequence[Attribute], probes: Probes, docs: DataFrame | None = None, search: str = "scan") -> DataFrame:
+    """(doc_key, seg_no, text, n_tokens, near_<a> ...): segments of docs within the radius of some attribute's evidence."""
+    asked = [(c, probes.thresholds.gamma[a.name]) for a in attributes for c in probes.centres[a.name]]
+    segments = index.reached(asked, search)
+    if docs is not None:
+        segments = segments.join(docs.select("doc_key"), "doc_key", "left_semi")
+    flags = segments.withColumns({f"near_{a.name}": near_any(probes.centres[a.name], probes.thresholds.gamma[a.name]) for a in attributes})
+    return flags.where(" or ".join(f"near_{a.name}" for a in attributes)).select("doc_key", "seg_no", "text", "n_tokens", *[f"near_{a.name}" for a in attributes])
+
+
 def gathered(hits: DataFrame, docs: DataFrame, names: Sequence[str]) -> DataFrame:
     """hits(doc_key, seg_no, text, n_tokens, near_<a> ...) to one row for each of docs(doc_key)."""
     sums = []
@@ -203,7 +229,7 @@ def retrieve_topk(index: TwoLevelIndex, attributes: Sequence[Attribute], k: int)
     """For each document the k segments nearest each attribute's description."""
     rows = index.segments
     for a in attributes:
-        probe = unit(python_embed(description(a)))
+        probe = index.vector(description(a))
         rows = rows.withColumn(f"d_{a.name}", distance_to(F.col("vec"), F.col("n2"), probe))
     top = rows.groupBy("doc_key").agg(*[F.transform(F.slice(F.array_sort(F.collect_list(F.struct(f"d_{a.name}", "seg_no"))), 1, k), lambda x: x["seg_no"]).alias(f"top_{a.name}") for a in attributes])
     flags = index.segments.join(top, "doc_key").withColumns({f"near_{a.name}": F.array_contains(f"top_{a.name}", F.col("seg_no")) for a in attributes})

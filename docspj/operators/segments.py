@@ -54,12 +54,13 @@ def segment(docs: DataFrame, mode: str = "previous", sim_threshold: float = 0.25
         ))
 
     numbered = base.withColumn("seg", F.aggregate("sents", empty, step, lambda s: s["seg"]))
-    rows = numbered.where("size(sents) > 0").select("corpus", "doc_key", F.explode(F.sequence(F.lit(0), F.array_max("seg"))).alias("seg_no"), "sents", "seg")
-    own = F.filter("sents", lambda x, i: F.element_at("seg", i + 1) == F.col("seg_no"))
-    text = F.array_join(F.transform(own, lambda x: x["text"]), " ")
-    first = (F.array_position("seg", F.col("seg_no")) - 1).cast("int")
-    held = F.size(F.filter("seg", lambda n: n == F.col("seg_no")))
-    return rows.select("corpus", "doc_key", "seg_no", text.alias("text"), n_tokens(text).alias("n_tokens"), first.alias("first_sent"), (first + held - 1).alias("last_sent"))
+    # A segment begins where the number changes and ends before the next one begins: each is one slice of the sentences.
+    begins = F.filter(F.sequence(F.lit(0), F.size("sents") - 1), lambda i: (i == 0) | (F.get("seg", i) != F.get("seg", i - 1)))
+    bounds = numbered.where("size(sents) > 0").withColumn("begins", F.concat(begins, F.array(F.size("sents"))))
+    slices = F.transform(F.slice("begins", 1, F.size("begins") - 1), lambda b, i: F.struct(b.alias("first"), F.transform(F.slice("sents", b + 1, F.get("begins", i + 1) - b), lambda x: x["text"]).alias("texts")))
+    rows = bounds.select("corpus", "doc_key", F.posexplode(slices).alias("seg_no", "own"))
+    text = F.array_join("own.texts", " ")
+    return rows.select("corpus", "doc_key", "seg_no", text.alias("text"), n_tokens(text).alias("n_tokens"), F.col("own.first").alias("first_sent"), (F.col("own.first") + F.size("own.texts") - 1).alias("last_sent"))
 
 
 def segment_fixed(docs: DataFrame, tokens: int = 100, overlap: int = 0) -> DataFrame:

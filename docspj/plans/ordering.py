@@ -152,21 +152,27 @@ def start_state(expr: Expr, attributes: list[str]) -> Column:
     )
 
 
-def step_state(expr: Expr, attributes: list[str], state: Column, i: Column, truth: Column, cost: Column) -> Column:
-    """The state after leaf i's turn: skipped if decided, free if its attribute was read before or has nothing to read."""
+def step_state(expr: Expr, attributes: list[str], state: Column, i: Column, truth: list[Column], cost: Column) -> Column:
+    """The state after leaf i's turn: skipped if decided, free if its attribute was read before or has nothing to read.
+
+    truth has a Column for each leaf; only leaf i's, and only if it is open, is evaluated.
+    """
     place = F.lit([attributes.index(x.attr) + 1 for x in leaves(expr)])
     a = F.element_at(place, i)
     live = F.element_at(open_leaves(expr, state["known"]), i)
     read = live & ~F.element_at(state["seen"], a)
     price = F.element_at(cost, a)
+    found = F.when(i == 1, truth[0])
+    for k, t in enumerate(truth[1:], 2):
+        found = found.when(i == k, t)
     return F.struct(
-        F.when(live, F.transform(state["known"], lambda v, n: F.when(n + 1 == i, F.element_at(truth, i).cast("int")).otherwise(v))).otherwise(state["known"]).alias("known"),
+        F.when(live, F.transform(state["known"], lambda v, n: F.when(n + 1 == i, found.cast("int")).otherwise(v))).otherwise(state["known"]).alias("known"),
         F.when(read, F.transform(state["seen"], lambda v, n: v | (n + 1 == a))).otherwise(state["seen"]).alias("seen"),
         (state["tokens"] + F.when(read, price).otherwise(0)).cast("bigint").alias("tokens"),
         (state["calls"] + F.when(read & (price > 0), 1).otherwise(0)).alias("calls"),
     )
 
 
-def fold(expr: Expr, attributes: list[str], order: Column, truth: Column, cost: Column) -> Column:
-    """struct(known, seen, tokens, calls) after the walk: what a lazy reader would have read of a document whose truths are given."""
+def fold(expr: Expr, attributes: list[str], order: Column, truth: list[Column], cost: Column) -> Column:
+    """struct(known, seen, tokens, calls) after the walk: a leaf's truth, and so the reading in it, is evaluated at its turn or not at all."""
     return F.aggregate(order, start_state(expr, attributes), lambda s, i: step_state(expr, attributes, s, i, truth, cost))
