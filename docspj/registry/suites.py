@@ -74,9 +74,8 @@ TABLES_SQL = {
   from pages""",
     "order": """select o.o_orderkey as order_key, o.o_orderstatus as status, o.o_orderpriority as priority, cast(o.o_orderdate as date) as order_date, o.o_totalprice as total_price,
   c.c_name as customer_name, coalesce(l.n, 0) as n_lines, coalesce(l.q, 0) as total_qty, l.d as last_ship_date, coalesce(l.r, 0) = 1 as any_returned
-  from (select *, max(o_orderkey) over () as top from orders) o left join customer c on c.c_custkey = o.o_custkey
-  left join (select l_orderkey, count(*) as n, cast(sum(l_quantity) as bigint) as q, cast(max(l_shipdate) as date) as d, max(case when l_returnflag = 'R' then 1 else 0 end) as r from lineitem group by l_orderkey) l on l.l_orderkey = o.o_orderkey
-  where o.o_orderkey % (case when top <= 1800 then 15 when top <= 18000 then 150 when top <= 180000 then 1500 when top <= 1800000 then 15000 else 1000000000 end) = 0""",
+  from orders o left join customer c on c.c_custkey = o.o_custkey
+  left join (select l_orderkey, count(*) as n, cast(sum(l_quantity) as bigint) as q, cast(max(l_shipdate) as date) as d, max(case when l_returnflag = 'R' then 1 else 0 end) as r from lineitem group by l_orderkey) l on l.l_orderkey = o.o_orderkey""",
 }
 
 
