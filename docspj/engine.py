@@ -51,6 +51,7 @@ class Settings:
     topk: int = 3
     margin: float = 0.1
     tau: float | None = None
+    tau_shift: float = 0.0
     gamma: float | None = None
     seed: str = "sample"
     gamma_mode: str = "diameter"
@@ -62,7 +63,8 @@ class Settings:
 
 @dataclass
 class Run:
-    """Tuples, and what they cost: tokens by phase (output is the answers' own), calls, documents of the whole set."""
+    """Tuples, and what they cost: tokens by phase (output is the answers' own), calls, documents of the whole set. steps: tables as they were joined;
+    shares: chances of the membership filters; expected: tokens that the filters' orders foresaw, if asked for."""
 
     tuples: DataFrame
     tokens: dict[str, int] = field(default_factory=dict)
@@ -71,6 +73,7 @@ class Run:
     steps: list[str] = field(default_factory=list)
     probes: dict[str, Probes] = field(default_factory=dict)
     expected: float = 0.0
+    shares: list[float] = field(default_factory=list)
 
     @property
     def total(self) -> int:
@@ -138,7 +141,7 @@ class Engine:
     def contexts(self, table: str, names: Sequence[str]) -> tuple[DataFrame, DataFrame | None, Probes | None]:
         """One row a document: the text found for each attribute, and its tokens; nothing is read. And the sample's keys, and probes. Kept for later queries of the same attributes."""
         s = self.settings
-        key = (table, tuple(sorted(names)), s.retrieval, s.two_level, s.rate, s.k, s.topk, s.margin, s.tau, s.gamma, s.gamma_mode, s.seed, s.least_sample, s.search, self.samples)
+        key = (table, tuple(sorted(names)), s.retrieval, s.two_level, s.rate, s.k, s.topk, s.margin, s.tau, s.tau_shift, s.gamma, s.gamma_mode, s.seed, s.least_sample, s.search, self.samples)
         if key in self.found:
             return self.found[key]
         spec, probes, sample = self.specs[table], None, None
@@ -147,6 +150,7 @@ class Engine:
             probes = fit_probes(self.index, attributes, rate=s.rate, k=s.k, probes=s.retrieval, margin=s.margin, seed=s.seed, gamma_mode=s.gamma_mode, least=s.least_sample)
             if s.tau is not None:
                 probes.thresholds.tau = s.tau
+            probes.thresholds.tau += s.tau_shift
             if s.gamma is not None:
                 probes.thresholds.gamma = dict.fromkeys(probes.thresholds.gamma, s.gamma)
             sample, rows = probes.sample, retrieve(self.index, attributes, probes, s.two_level, s.search)
@@ -289,7 +293,8 @@ class Engine:
         if members is not None:
             own = Leaf(key, "in", ())
             tree = normalise(own if tree is None else all_of(own, tree))
-            p = {1: self.share(side, key, members)} | {i + 1: q for i, q in p.items()}
+            run.shares.append(self.share(side, key, members))
+            p = {1: run.shares[-1]} | {i + 1: q for i, q in p.items()}
         if tree is None:
             return side.docs
         p = {x.id: p.get(x.id, 0.5) for x in leaves(tree)}

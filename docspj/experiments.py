@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 
 from docspj.baselines import NAMES, baseline
 from docspj.engine import Engine, Run, Settings, best_order
-from docspj.metrics import macro, modelled_latency, scores, token_cost
+from docspj.metrics import cost_gap, macro, modelled_latency, scores, token_cost
 from docspj.model import Query, all_of, eq, normalise, predicate
+from docspj.operators.extractors import ExtractionCache
 from docspj.operators.index import TwoLevelIndex
 from docspj.plans.costs import order_tree, sibling_orders
 from docspj.sources.corpora import specs, truth
@@ -96,15 +97,17 @@ def compare_joins(index: TwoLevelIndex, edges: Sequence[Sequence[str]], n: int,
                 engine = Engine(index, specs("P"), Settings(retrieval=retrieval, join="adaptive" if m == "optimal" else m))
                 run = best_order(engine, q) if m == "optimal" else engine.run(q)
                 row[m] = run.total
+                if m == "adaptive":
+                    row["share"] = run.shares[0]
             rows.append(row)
     return rows
 
 
-def by_in_selectivity(rows: Sequence[dict], shares: dict[str, float]) -> dict[str, dict]:
-    """The rows of compare_joins regrouped by the realised share of the second side that the IN filter lets through."""
+def by_in_selectivity(rows: Sequence[dict]) -> dict[str, dict]:
+    """The rows of compare_joins regrouped by the share of the second side's sample that the first membership filter of the adaptive run lets through."""
     bins: dict[str, list[dict]] = {"0-0.3": [], "0.3-0.6": [], "0.6-1": []}
     for r in rows:
-        x = shares[r["query"]]
+        x = r["share"]
         bins["0-0.3" if x < 0.3 else "0.3-0.6" if x < 0.6 else "0.6-1"].append({k: v for k, v in r.items() if k not in ("query", "group")})
     return {k: macro(v) for k, v in bins.items()}
 
@@ -129,8 +132,9 @@ def ablate_evidence(spark, sf_dir, index, queries, **k) -> list[dict]:
     return _ablate(spark, sf_dir, index, queries, {"document": {}, "none": {"retrieval": "description"}, "synthetic": {"retrieval": "synthetic"}}, **k)
 
 
-def ablate_tau(spark, sf_dir, index, queries, taus: Sequence[float] = (0.6, 0.8, 1.0, 1.2, 1.45), **k) -> list[dict]:
-    return _ablate(spark, sf_dir, index, queries, {"fitted": {}} | {f"tau={t}": {"tau": t} for t in taus}, **k)
+def ablate_tau(spark, sf_dir, index, queries, shifts: Sequence[float] = (-0.2, -0.1, 0.0, 0.1, 0.2), **k) -> list[dict]:
+    """Radii about the one that each query's sample gives."""
+    return _ablate(spark, sf_dir, index, queries, {f"tau{x:+.1f}": {"tau_shift": x} for x in shifts}, **k)
 
 
 def ablate_rate(spark, sf_dir, index, queries, rates: Sequence[float] = (0.01, 0.03, 0.05, 0.1, 0.2), **k) -> list[dict]:
@@ -145,6 +149,25 @@ def gamma_modes(spark, sf_dir, index, queries, **k) -> list[dict]:
     return _ablate(spark, sf_dir, index, queries, {"diameter": {}, "cluster": {"gamma_mode": "cluster"}}, **k)
 
 
+def reuse(spark: SparkSession, index: TwoLevelIndex, first: Query, second: Query, path: str, retrieval: str = "located") -> dict:
+    """Tokens of the second query alone, and after the first with a cache that both share."""
+    suite = first.name[0]
+    alone = Engine(index, specs(suite), Settings(retrieval=retrieval)).run(second)
+    engine = Engine(index, specs(suite), Settings(retrieval=retrieval), cache=ExtractionCache(spark, path))
+    engine.run(first)
+    return {"alone": alone.total, "after": engine.run(second).total}
+
+
+def expectation_gap(index: TwoLevelIndex, suite: str, queries: Sequence[Query], retrieval: str = "located") -> list[dict]:
+    """Tokens that filters were expected to cost by their chances in the sample, independent of each other, and what they did."""
+    engine, rows = Engine(index, specs(suite), Settings(retrieval=retrieval, measure_gap=True)), []
+    for q in queries:
+        run = engine.run(q)
+        spent = run.tokens.get("filter", 0) + run.tokens.get("join", 0)
+        rows.append({"query": q.name, "expected": run.expected, "spent": spent, "gap": cost_gap(run.expected, spent)})
+    return rows
+
+
 def report(rows: Sequence[dict]) -> str:
     """Rows as a Markdown table."""
     names = list(dict.fromkeys(k for r in rows for k in r))

@@ -38,6 +38,11 @@ def token_cost(tokens: int, documents: int) -> float:
     return tokens / documents if documents else 0.0
 
 
+def cost_gap(expected: float, spent: float) -> float:
+    """Share by which what was spent lies above (or, negative, below) what was expected."""
+    return (spent - expected) / expected if expected else 0.0
+
+
 def latency(action: Callable[[], object], documents: int) -> tuple[object, float]:
     """What an action returns, and its seconds a document."""
     began = time.perf_counter()
