@@ -109,7 +109,11 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def truth(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    """doc_key and the true attribute values of each document of a virtual table."""
+    """doc_key and the true attribute values of each document of a virtual table; of a page what its patterns find in all of it."""
+    if table == "page":
+        from docspj.operators.retrieval import extract
+
+        return pages(spark, sf_dir).select("doc_key", *[extract(F.col("text"), a).alias(a.name) for a in PAGE.attributes])
     t = {n: _table(spark, sf_dir, n) for n in ("customer", "nation", "region", "supplier")}
     nation = t["nation"].select(F.col("n_nationkey").alias("nk"), "n_name", "n_regionkey")
     if table == "customer":

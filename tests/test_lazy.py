@@ -141,14 +141,14 @@ def test_cells_and_codes_lose_nothing(spark, tmp_path):
     index = TwoLevelIndex(cut(index.docs), cut(index.segments))
     attributes = [spec("supplier")[n] for n in ("name", "balance")]
     probes = fit_probes(index, attributes)
-    fast = index.with_cells(4).with_codes(8, 4)
+    fast = index.with_cells(24).with_codes(8, 4)
     saved = fast.save(str(tmp_path / "index"))
     want = {tuple(r) for r in retrieve(index, attributes, probes).collect()}
     for made in (fast, saved):
         for search in ("cells", "codes"):
             assert {tuple(r) for r in retrieve(made, attributes, probes, search=search).collect()} == want
-    near = [(probes.centres["balance"][0], 0.3)]
-    assert len(saved.cells.within(near)) < 4 and "PartitionFilters: [cell" in saved.reached(near, "cells")._jdf.queryExecution().executedPlan().treeString(True, True, 10**4, False)
+    near = [(probes.centres["balance"][0], 0.05)]
+    assert len(saved.cells.within(near)) < 24 and "PartitionFilters: [cell" in saved.reached(near, "cells")._jdf.queryExecution().executedPlan().treeString(True, True, 10**4, False)
     assert saved.reached(near, "codes").count() < index.segments.count()
     tables = index.save_tables("docspj_index", 2)
     joined = tables.segments.hint("merge").join(tables.docs.select("doc_key"), "doc_key", "left_semi")
