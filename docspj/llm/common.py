@@ -18,6 +18,7 @@ DOCUMENT_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 #: A worker holds what it works on several times over: pieces of so many rows, and bytes, at most. One row alone may be longer.
 PIECE_ROWS, PIECE_BYTES = 2000, 16 << 20
+_ROWS_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def slices(batches):
@@ -29,6 +30,10 @@ def slices(batches):
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table, and, as texts are long, no more than PIECE_ROWS rows a batch between the JVM and Python in this session from here on: only a
+    session's setting bounds what the JVM buffers of a batch."""
+    if int(spark.conf.get(_ROWS_SETTING, "10000")) > PIECE_ROWS:
+        spark.conf.set(_ROWS_SETTING, str(PIECE_ROWS))
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
