@@ -21,12 +21,30 @@ PIECE_ROWS, PIECE_BYTES = 2000, 16 << 20
 _ROWS_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
+def release() -> None:
+    """Give freed memory back to the system: workers serve one task after another, and what one freed would count beside what the next takes."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: nothing to trim
+        return
+
+
 def slices(batches):
     """Arrow batches cut into parts of bounded rows and bytes; Spark itself bounds a batch by spark.sql.execution.arrow.maxBytesPerBatch."""
+    release()
     for batch in batches:
         rows = max(1, min(PIECE_ROWS, batch.num_rows * PIECE_BYTES // max(1, batch.nbytes)))
         for low in range(0, batch.num_rows, rows):
             yield batch.slice(low, rows)
+        batch = None
+    release()
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
