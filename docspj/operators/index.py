@@ -76,10 +76,10 @@ class TwoLevelIndex:
             place = lambda v: F.map_from_arrays(F.sequence(F.lit(0), F.size(v) - 1), l2n(v.cast("array<double>")))
             square = lambda v: F.aggregate(F.map_values(v), F.lit(0.0), lambda s, x: s + x * x)
             column = callable_embedder(model)
-            rows = one.select("corpus", "doc_key", F.posexplode_outer(texts).alias("at", "text")).withColumn("vec", place(column(F.col("text"))))
+            rows = one.select("corpus", "doc_key", F.posexplode_outer(texts).alias("at", "text")).withColumn("made", column(F.col("text"))).withColumn("vec", place(F.col("made")))
             parts = F.transform(F.array_sort(F.collect_list(F.struct("at", F.map_entries("vec").alias("entries")))), lambda x: F.map_from_entries(x["entries"]))
             top = rows.groupBy("corpus", "doc_key").agg(parts.alias("vecs")).withColumn("n2s", F.transform("vecs", square))
-            return TwoLevelIndex(top, below.withColumn("vec", place(column(F.col("text")))).withColumn("n2", square(F.col("vec"))), model)
+            return TwoLevelIndex(top, below.withColumn("made", column(F.col("text"))).withColumn("vec", place(F.col("made"))).drop("made").withColumn("n2", square(F.col("vec"))), model)
         top = one.select("corpus", "doc_key", F.transform(texts, lambda t: embed(t, d)).alias("vecs")).withColumn("n2s", F.transform("vecs", norm2))
         return TwoLevelIndex(top, below.withColumn("vec", embed(F.col("text"), d)).withColumn("n2", norm2(F.col("vec"))))
 
