@@ -11,12 +11,13 @@ from functools import reduce
 import numpy as np
 from pyspark.ml.clustering import KMeans
 from pyspark.ml.feature import BucketedRandomProjectionLSH
-from pyspark.ml.functions import array_to_vector
+from pyspark.ml.functions import array_to_vector, vector_to_array
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from docspj.functions.text import DIMENSIONS, distance_to, embed, euclid, l2n, norm2, python_embed, unit
 from docspj.functions.udfs import callable_embedder
+from docspj.operators import blocks
 from docspj.operators.segments import segment, summarise
 from docspj.session import cut
 
@@ -170,29 +171,30 @@ def few(probes: DataFrame) -> DataFrame:
 
 
 class ExactIndex:
-    """Scan with the probes broadcast, in a checked number: vectors(key, vec array<float>)."""
+    """Every vector against every probe, in blocks: vectors(key, vec array<float>)."""
 
     def __init__(self, vectors: DataFrame, key: str = "vec_id", column: str = "embedding"):
         self.vectors = vectors.select(F.col(key).alias("key"), F.col(column).alias("vec"))
 
     def range(self, probes: DataFrame, radius: float) -> DataFrame:
-        """(probe, key, dist) within the radius; probes(probe, pvec) must be few: they are broadcast."""
-        both = self.vectors.crossJoin(few(probes)).withColumn("dist", euclid("vec", "pvec"))
-        return both.where(F.col("dist") <= radius).select("probe", "key", "dist")
+        """(probe, key, dist) within the radius; probes(probe, pvec) may be many."""
+        return blocks.within(self.vectors, _asked(probes), radius)
 
     def topk(self, probes: DataFrame, k: int) -> DataFrame:
         """(probe, rank, key, dist): the k nearest; each task keeps k a probe, and only these are shuffled."""
-        both = self.vectors.crossJoin(few(probes)).select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
-        return _nearest(both, k)
+        return _nearest(blocks.topk(self.vectors, _asked(probes), k), k)
+
+
+def _asked(probes: DataFrame, *more: str) -> DataFrame:
+    return probes.select("probe", F.col("pvec").alias("vec"), *more)
 
 
 def _nearest(hits: DataFrame, k: int) -> DataFrame:
+    """Of hits(probe, dist, key) the k least of each probe, null distances last."""
     from pyspark.sql import Window
 
-    part = hits.withColumn("task", F.spark_partition_id())
-    first = part.withColumn("r", F.row_number().over(Window.partitionBy("probe", "task").orderBy("hit"))).where(F.col("r") <= k)
-    last = first.withColumn("rank", F.row_number().over(Window.partitionBy("probe").orderBy("hit"))).where(F.col("rank") <= k)
-    return last.select("probe", "rank", F.col("hit.key").alias("key"), F.col("hit.dist").alias("dist"))
+    order = Window.partitionBy("probe").orderBy(F.col("dist").asc_nulls_last(), F.col("key").asc_nulls_last())
+    return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("probe", "rank", "key", "dist")
 
 
 class IVFIndex:
@@ -207,35 +209,71 @@ class IVFIndex:
 
     def topk(self, probes: DataFrame, k: int, nprobe: int = 4) -> DataFrame:
         cells = F.array(*[F.struct(euclid(F.col("pvec"), F.lit(c)).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(self.centres)])
-        asked = probes.select("probe", "pvec", F.explode(F.slice(F.array_sort(cells), 1, nprobe)).alias("c")).select("probe", "pvec", F.col("c.cell").alias("cell"))
-        hits = self.vectors.join(few(asked), "cell").select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit"))
-        return _nearest(hits, k)
+        asked = probes.withColumn("cells", F.transform(F.slice(F.array_sort(cells), 1, nprobe), lambda c: c["cell"]))
+        nlist = len(self.centres)
+
+        def of_cells(rows, v, asked, p):
+            """Of a block's rows those of each cell, against the probes that ask for it."""
+            wanted = np.zeros((len(asked), nlist), bool)
+            for i, own in enumerate(asked["cells"]):
+                wanted[i, own] = True
+            cell = rows["cell"].to_numpy()
+            for c in np.unique(cell):
+                own, columns = np.flatnonzero(cell == c), np.flatnonzero(wanted[:, c])
+                for low in range(0, len(own), 512):
+                    yield own[low : low + 512], columns, None
+
+        return _nearest(blocks.topk(self.vectors, _asked(asked, "cells"), k, of_cells), k)
 
 
 class PQIndex:
-    """Product quantisation: m sub-vectors, each a code of ks centres; distances are sums of table entries. The vectors stay beside the codes."""
+    """Product quantisation: m sub-vectors, each a code of ks centres. The vectors stay beside the codes."""
 
     def __init__(self, vectors: DataFrame, m: int = 8, ks: int = 16, seed: int = 1, key: str = "vec_id", column: str = "embedding", sample: int = 100_000):
         base = vectors.select(F.col(key).alias("key"), F.col(column).cast("array<double>").alias("vec"))
-        rows = base.orderBy(F.xxhash64("key")).limit(sample)
+        rows = cut(base.orderBy(F.xxhash64("key")).limit(sample), "pq-sample")
         self.m, self.width, self.books = m, len(rows.select("vec").first()[0]) // m, []
         for j in range(m):
             part = rows.select(array_to_vector(F.slice("vec", j * self.width + 1, self.width)).alias("features"))
             self.books.append([c.tolist() for c in KMeans(k=ks, seed=seed, maxIter=15).fit(part).clusterCenters()])
         code = lambda j: F.array_min(F.array(*[F.struct(euclid(F.slice("vec", j * self.width + 1, self.width), F.lit(c)).alias("d"), F.lit(i).cast("byte").alias("c")) for i, c in enumerate(self.books[j])]))["c"]
-        self.vectors, self.codes = base, base.select("key", F.array(*[code(j) for j in range(m)]).alias("code"))
-
-    def topk(self, probes: DataFrame, k: int, shortlist: int | None = None) -> DataFrame:
-        """Nearest by asymmetric distance: the probe is exact, the stored vector its code. The `shortlist` nearest so are ranked by their exact distance."""
-        table = lambda j: F.array(*[F.pow(euclid(F.slice("pvec", j * self.width + 1, self.width), F.lit(c)), 2) for c in self.books[j]])
-        asked = probes.select("probe", F.array(*[table(j) for j in range(self.m)]).alias("tables"))
-        both = self.codes.crossJoin(few(asked))
-        dist = F.sqrt(F.aggregate(F.zip_with("tables", "code", lambda t, c: F.element_at(t, c.cast("int") + 1)), F.lit(0.0), lambda s, x: s + x))
-        coded = _nearest(both.select("probe", F.struct(F.round(dist, 9).alias("dist"), "key").alias("hit")), max(k, shortlist or k))
+        self.coded = base.withColumn("code", F.array(*[code(j) for j in range(m)]))
+        self.codes = self.coded.select("key", "code")
+
+    def meant(self, codes: Column) -> Column:
+        """What a code stands for: its centres, one after the other."""
+        return F.flatten(F.transform(codes, lambda c, j: F.element_at(F.element_at(F.lit(self.books), j + 1), c.cast("int") + 1)))
+
+    def topk(self, probes: DataFrame, k: int, shortlist: int | None = None, sample: int = 20_000) -> DataFrame:
+        """Nearest by asymmetric distance: the probe is exact, the stored vector its code. With a shortlist, about so many nearest by code are ranked by
+        their exact distance: those within the reach that holds this share of a bounded sample of codes, of least hashes (of all, if they are no more)."""
         if shortlist is None:
-            return coded
-        near = coded.select("probe", "key").join(F.broadcast(probes.select("probe", "pvec")), "probe").join(self.vectors, "key")
-        return _nearest(near.select("probe", F.struct(F.round(euclid("vec", "pvec"), 9).alias("dist"), "key").alias("hit")), k)
+            return _nearest(blocks.topk(self.codes.select("key", self.meant(F.col("code")).alias("vec")), _asked(probes), k), k)
+        n = self.codes.count()
+        drawn = np.array([r.code for r in self.codes.where("code is not null").orderBy(F.xxhash64("key"), "key").limit(sample).collect()], int)
+        books = [np.array(b) for b in self.books]
+        stand = lambda codes: np.concatenate([books[j][codes[:, j]] for j in range(len(books))], 1)
+        place = min(len(drawn), max(k, math.ceil(max(k, shortlist) * len(drawn) / n))) - 1
+
+        def reaches(batches):
+            import pyarrow as pa
+
+            points = stand(drawn)
+            for batch in batches:
+                vecs = np.array(batch.column("vec").to_pylist(), float)
+                reach = [np.partition(blocks.squares(points, vecs[low : low + 128])[0], place, axis=0)[place] for low in range(0, len(vecs), 128)]
+                yield pa.RecordBatch.from_arrays([batch.column("probe"), batch.column("vec"), pa.array(np.concatenate(reach) if reach else np.array([]), pa.float64())], ["probe", "vec", "reach"])
+
+        kind = probes.schema["probe"].dataType.simpleString()
+        asked = probes.select("probe", F.col("pvec").cast("array<double>").alias("vec")).where("vec is not null").mapInArrow(reaches, f"probe {kind}, vec array<double>, reach double")
+
+        def by_code(rows, v, asked, p):
+            """Pairs whose codes are within the probe's reach."""
+            points, reach = stand(np.array(rows["code"].tolist(), int)), asked["reach"].to_numpy()
+            for own, columns, _ in blocks.everything(rows, v, asked, p):
+                yield own, columns, blocks.squares(points[own], p)[0] <= reach[None] + 1e-9
+
+        return _nearest(blocks.topk(self.coded.where("vec is not null"), asked, k, by_code), k)
 
 
 class LSHIndex:
@@ -246,9 +284,12 @@ class LSHIndex:
         self.model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket_length, numHashTables=tables, seed=seed).fit(self.vectors)
 
     def join(self, radius: float) -> DataFrame:
-        """(a, b, dist) of pairs within the radius that share a bucket."""
-        found = self.model.approxSimilarityJoin(self.vectors, self.vectors, radius, "dist")
-        return found.select(F.col("datasetA.key").alias("a"), F.col("datasetB.key").alias("b"), "dist").where("a < b")
+        """(a, b, dist) of pairs nearer than the radius that share a bucket. Vectors lie in the order of their buckets, so blocks without a common one are passed over;
+        each pair of blocks meets once, however many buckets its vectors share."""
+        hashes = [vector_to_array(F.col("hashes")[j])[0].cast("long") for j in range(self.model.getNumHashTables())]
+        placed = self.model.transform(self.vectors).select("key", vector_to_array("features").alias("vec"), F.array(*hashes).alias("hashes"))
+        made = cut(blocks.packed(placed.orderBy("hashes", "key")), "lsh-blocks")
+        return blocks.joined(made, radius, self.vectors.count(), self.vectors.schema["key"].dataType.simpleString())
 
 
 def kmeans_centres(points: Sequence[Sequence[float]], k: int = 3, iterations: int = 20, counts: Sequence[int] | None = None) -> list[list[float]]:
