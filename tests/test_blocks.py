@@ -47,3 +47,15 @@ def test_rounding_as_a_column(spark):
     import numpy as np
 
     assert list(blocks.rounded(np.array([r.x for r in rows]))) == [r.y for r in rows]
+
+
+def test_ivf_of_all_cells_is_exact(table, probes):
+    own = table.where("embedding is not null")
+    exact = {(r.probe, r.rank, r.key, r.dist) for r in ExactIndex(own).topk(probes, 5).collect()}
+    index = IVFIndex(own, 4)
+    assert {(r.probe, r.rank, r.key, r.dist) for r in index.topk(probes, 5, 4).collect()} == exact
+    cell, v = {r.key: r.cell for r in index.vectors.collect()}, vectors()
+    for p in {r.probe for r in probes.collect()}:
+        near = min(range(4), key=lambda c: math.dist(v[p], index.centres[c]))
+        want = [i for _, i in sorted((round(math.dist(v[p], x), 9), i) for i, x in enumerate(v) if cell[i] == near)][:5]
+        assert [r.key for r in index.topk(probes.where(F.col("probe") == p), 5, 1).orderBy("rank").collect()] == want
