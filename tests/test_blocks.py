@@ -59,3 +59,19 @@ def test_ivf_of_all_cells_is_exact(table, probes):
         near = min(range(4), key=lambda c: math.dist(v[p], index.centres[c]))
         want = [i for _, i in sorted((round(math.dist(v[p], x), 9), i) for i, x in enumerate(v) if cell[i] == near)][:5]
         assert [r.key for r in index.topk(probes.where(F.col("probe") == p), 5, 1).orderBy("rank").collect()] == want
+
+
+def test_pq_shortlist_by_code(table, probes):
+    """A shortlist of all ranks exactly; a shorter one holds the nearest by code, ranked by their distances."""
+    own, v = table.where("embedding is not null"), vectors()
+    exact = {(r.probe, r.rank, r.key) for r in ExactIndex(own).topk(probes, 5).collect()}
+    index = PQIndex(own, 4, 4)
+    assert {(r.probe, r.rank, r.key) for r in index.topk(probes, 5, 300).collect()} == exact
+    stand = {r.key: [x for j, c in enumerate(r.code) for x in index.books[j][c]] for r in index.codes.collect()}
+    got = {}
+    for r in index.topk(probes, 5, 60).collect():
+        got.setdefault(r.probe, []).append((r.rank, r.key))
+    for p, hits in got.items():
+        reach = sorted(math.dist(v[p], x) for x in stand.values())[59] + 1e-7
+        listed = [i for i, x in stand.items() if math.dist(v[p], x) <= reach]
+        assert [k for _, k in sorted(hits)] == [i for _, i in sorted((round(math.dist(v[p], v[i]), 9), i) for i in listed)][:5]
