@@ -75,3 +75,10 @@ def test_pq_shortlist_by_code(table, probes):
         reach = sorted(math.dist(v[p], x) for x in stand.values())[59] + 1e-7
         listed = [i for i, x in stand.items() if math.dist(v[p], x) <= reach]
         assert [k for _, k in sorted(hits)] == [i for _, i in sorted((round(math.dist(v[p], v[i]), 9), i) for i in listed)][:5]
+
+
+def test_range(table, probes):
+    v = vectors()
+    got = {(r.probe, r.key): r.dist for r in ExactIndex(table).range(probes, 2.5).collect()}
+    want = {(p, i): math.dist(v[p], x) for p in range(0, 300, 20) for i, x in enumerate(v) if math.dist(v[p], x) <= 2.5}
+    assert got.keys() == want.keys() and all(abs(got[x] - want[x]) < 1e-12 for x in want)
