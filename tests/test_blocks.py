@@ -82,3 +82,16 @@ def test_range(table, probes):
     got = {(r.probe, r.key): r.dist for r in ExactIndex(table).range(probes, 2.5).collect()}
     want = {(p, i): math.dist(v[p], x) for p in range(0, 300, 20) for i, x in enumerate(v) if math.dist(v[p], x) <= 2.5}
     assert got.keys() == want.keys() and all(abs(got[x] - want[x]) < 1e-12 for x in want)
+
+
+def test_lsh_join_by_buckets(spark, table, monkeypatch):
+    """Pairs nearer than the radius that share a bucket, each once, copies among them, whichever way blocks meet."""
+    own, v = table.where("embedding is not null"), vectors()
+    for most in (100_000, 3):
+        monkeypatch.setattr(blocks, "MOST_BROADCAST", most)
+        monkeypatch.setattr(blocks, "BLOCK", 40)
+        index = LSHIndex(own, 0.5, 3)
+        buckets = {r.key: [h[0] for h in r.hashes] for r in index.model.transform(index.vectors).collect()}
+        want = {(a, b) for a in range(300) for b in range(a + 1, 300) if math.dist(v[a], v[b]) < 1.5 and any(x == y for x, y in zip(buckets[a], buckets[b], strict=True))}
+        got = [(r.a, r.b) for r in index.join(1.5).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
