@@ -100,8 +100,13 @@ def join_shuffled_hash(s, d):
 
 @_query("select r_name, n_name, count(distinct c_custkey) as customers, count(distinct s_suppkey) as suppliers from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey join supplier on s_nationkey = n_nationkey group by r_name, n_name")
 def join_star_four(s, d):
-    j = _t(s, d, "customer").join(_t(s, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(_t(s, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).join(_t(s, d, "supplier"), F.col("s_nationkey") == F.col("n_nationkey"))
-    return j.groupBy("r_name", "n_name").agg(F.count_distinct("c_custkey").alias("customers"), F.count_distinct("s_suppkey").alias("suppliers"))
+    """A nation's customers and suppliers don't depend on each other, so each are counted by themselves, in nations that have both."""
+    c, p = (_t(s, d, t).select(F.col(f"{t[0]}_nationkey").alias("at"), F.col(k).alias("own")).distinct() for t, k in (("customer", "c_custkey"), ("supplier", "s_suppkey")))
+    n = _t(s, d, "nation").join(_t(s, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("r_name", "n_name", F.col("n_nationkey").alias("at"))
+    n = n.join(c, "at", "left_semi").join(p, "at", "left_semi")
+    count = lambda t, name: n.join(t, "at").groupBy("r_name", "n_name").agg(F.count_distinct("own").alias(name))
+    other = count(p, "suppliers").toDF("r", "n", "suppliers")
+    return count(c, "customers").join(other, F.col("r_name").eqNullSafe(F.col("r")) & F.col("n_name").eqNullSafe(F.col("n"))).select("r_name", "n_name", "customers", "suppliers")
 
 
 @_query("select n_name, s_name from (select * from nation where n_nationkey < 20) a full outer join (select * from supplier where s_suppkey > 30) b on s_nationkey = n_nationkey")

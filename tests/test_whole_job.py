@@ -5,7 +5,7 @@ import datetime
 import pytest
 from pyspark.sql import functions as F
 
-from docspj.functions.text import embed, norm2
+from docspj.functions.text import embed, norm2, sentences
 from docspj.model import Attribute
 from docspj.operators.index import ExactIndex, PQIndex, TwoLevelIndex, kmeans_centres
 from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
@@ -79,3 +79,28 @@ def test_searches_reach_the_recall(spark, sf_dir):
     index = PQIndex(v, 4, 4)
     exact = {(r.probe, r.rank, r.key) for r in ExactIndex(v).topk(probes, 5).collect()}
     assert {(r.probe, r.rank, r.key) for r in index.topk(probes, 5, v.count()).collect()} == exact
+
+
+def test_star_join_counts_each_side_alone(spark, tmp_path):
+    """Nations of one name count together, those without a partner not at all, and no customer is paired with a supplier."""
+    from docspj.registry import relational
+
+    tables = {
+        "region": ("r_regionkey long, r_name string", [(0, "A"), (1, None)]),
+        "nation": ("n_nationkey long, n_name string, n_regionkey long", [(1, "x", 0), (2, "x", 0), (3, "y", 1), (4, "z", 0), (5, "v", 0)]),
+        "customer": ("c_custkey long, c_nationkey long", [(1, 1), (2, 1), (2, 2), (None, 3), (4, 4)]),
+        "supplier": ("s_suppkey long, s_nationkey long", [(1, 1), (2, 2), (1, 2), (7, 3), (8, 5), (9, None)]),
+    }
+    for name, (schema, rows) in tables.items():
+        spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/{name}.parquet")
+    made = relational.queries()["join_star_four"](spark, str(tmp_path))
+    assert {tuple(r) for r in made.collect()} == {("A", "x", 2, 2), (None, "y", 0, 1)}
+    plan = made._jdf.queryExecution().optimizedPlan().toString()
+    assert not [x for x in plan.splitlines() if "Join Inner" in x and "c_custkey" in x and "s_suppkey" in x] and "Expand" not in plan
+
+
+def test_sentences_lose_blanks_of_all_kinds(spark):
+    """As trim in SQL does: separators of space at the edges go, other white space stays, also before a line separator."""
+    texts = ["\xa0\n\na.", "?　\n", "x  ", " e\x85 ", "a.\xa0b", "\t\x1c y"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "i long, text string").select("i", sentences(F.col("text")).alias("s")).orderBy("i").collect()
+    assert [r.s for r in rows] == [["a."], ["?"], ["x  "], ["e\x85"], ["a.\xa0b"], ["\t\x1c y"]]
