@@ -9,6 +9,7 @@ from docspj.functions.text import embed, norm2, sentences
 from docspj.model import Attribute
 from docspj.operators.index import ExactIndex, PQIndex, TwoLevelIndex, kmeans_centres
 from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
+from docspj.operators.segments import segment_located
 from docspj.registry import methods
 from docspj.registry.suites import answer
 from docspj.sources.corpora import truth
@@ -104,3 +105,20 @@ def test_sentences_lose_blanks_of_all_kinds(spark):
     texts = ["\xa0\n\na.", "?　\n", "x  ", " e\x85 ", "a.\xa0b", "\t\x1c y"]
     rows = spark.createDataFrame(list(enumerate(texts)), "i long, text string").select("i", sentences(F.col("text")).alias("s")).orderBy("i").collect()
     assert [r.s for r in rows] == [["a."], ["?"], ["x  "], ["e\x85"], ["a.\xa0b"], ["\t\x1c y"]]
+
+
+def test_attribute_without_evidence_is_still_found(spark):
+    """No sampled document holds the code; the one document that does is read all the same."""
+    rows = [("T", f"doc:{i}", f"Item {i} has colour red{i % 3}.\nplain words of no use {i}") for i in range(40)]
+    attributes = [Attribute("colour", "colour of the item", "string", r"colour (red[0-9])"), Attribute("code", "code of the item", "string", r"zz=([a-z]+)")]
+
+    def index(docs):
+        made = spark.createDataFrame(docs, "corpus string, doc_key string, text string")
+        return TwoLevelIndex.build(made, "lead", segments=segment_located(made))
+
+    sampled = {r.doc_key for r in fit_probes(index(rows), attributes, rate=0.05, least=2).sample.collect()}
+    holder = next(k for _, k, _ in rows if k not in sampled)
+    own = index([(c, k, t + "\nhttp://x.y/?zz=feed" if k == holder else t) for c, k, t in rows])
+    probes = fit_probes(own, attributes, rate=0.05, least=2)
+    assert probes.evidence["code"] == 0
+    assert [r.doc_key for r in retrieve(own, attributes, probes).where("text_code like '%zz=feed%'").collect()] == [holder]
