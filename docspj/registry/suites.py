@@ -21,16 +21,19 @@ _held: dict[tuple, TwoLevelIndex] = {}
 
 
 def sentence_index(spark: SparkSession, sf_dir: str, suite: str) -> TwoLevelIndex:
-    """Documents and their sentences (lines, for pages), without vectors; written once a session."""
+    """Documents and their sentences (lines, for pages), without vectors; written once a session. Of dossiers and pages only keys are written: their
+    sentences would take several times the tables' own size, and are made where they are read, inside their document's row."""
     key = (spark.sparkContext.applicationId, sf_dir, suite, "sentences")
     if key not in _held:
         docs = corpus(spark, sf_dir, suite)
-        if suite == "G":
-            parts = segment_located(docs)
-        else:
-            rows = docs.select("corpus", "doc_key", F.posexplode(sentences(F.col("text"))).alias("seg_no", "text"))
-            parts = rows.withColumn("n_tokens", n_tokens(F.col("text")))
-        _held[key] = TwoLevelIndex(cut(docs.select("corpus", "doc_key"), "docs"), cut(parts, "segments"))
+
+        def parts(only: DataFrame | None = None) -> DataFrame:
+            cut_up = F.split("text", r"\n") if suite == "G" else sentences(F.col("text"))
+            return corpus(spark, sf_dir, suite, only=only).select("corpus", "doc_key", cut_up.alias("parts"))
+
+        rows = parts().select("corpus", "doc_key", F.posexplode("parts").alias("seg_no", "text")).withColumn("n_tokens", n_tokens(F.col("text")))
+        keys = cut(docs.select("corpus", "doc_key"), "docs")
+        _held[key] = TwoLevelIndex(keys, cut(rows, "segments")) if suite == "P" else TwoLevelIndex(keys, rows, parts=parts)
     return _held[key]
 
 

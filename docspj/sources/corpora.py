@@ -175,7 +175,7 @@ def _rendered(rows: DataFrame, pool: DataFrame, table: str, corpus: str, regime:
     opening = F.concat(F.lit(f"This is the {table} profile of "), F.col(root).cast("string"), F.lit("."))
     draw = lambda j: F.pmod(F.xxhash64(F.col("doc_key"), j), F.greatest(F.size("pool"), F.lit(1)))
     noise = F.when((F.size("pool") > 0) & (padding > 0), F.transform(F.sequence(F.lit(1), padding), lambda j: F.element_at("pool", (draw(j) + 1).cast("int")))).otherwise(F.array().cast("array<string>"))
-    body = F.transform(F.array_sort(F.transform(F.concat(facts, noise), lambda s, i: F.struct(F.xxhash64(F.col("doc_key"), s, i).alias("place"), s.alias("s")))), lambda x: x["s"])
+    body = F.transform(F.sort_array(F.transform(F.concat(facts, noise), lambda s, i: F.struct(F.xxhash64(F.col("doc_key"), s, i).alias("place"), s.alias("s")))), lambda x: x["s"])
     text = F.concat_ws(" ", opening, F.array_join(body, " "))
     return rows.crossJoin(F.broadcast(pool)).select(F.lit(corpus).alias("corpus"), "doc_key", F.lit(table).alias("domain"), text.alias("text"))
 
@@ -183,16 +183,21 @@ def _rendered(rows: DataFrame, pool: DataFrame, table: str, corpus: str, regime:
 PROFILE_TABLES = ("customer", "nation", "region", "supplier", "part")
 
 
-def profiles(spark: SparkSession, sf_dir: str, regime: str = "pattern", tables: tuple[str, ...] = PROFILE_TABLES) -> DataFrame:
+def _of(rows: DataFrame, only: DataFrame | None) -> DataFrame:
+    """Rows of the documents in only(doc_key), if given."""
+    return rows if only is None else rows.join(only.select("doc_key"), "doc_key", "left_semi")
+
+
+def profiles(spark: SparkSession, sf_dir: str, regime: str = "pattern", tables: tuple[str, ...] = PROFILE_TABLES, only: DataFrame | None = None) -> DataFrame:
     """Suite P: each profile has its facts, in wordings of the regime, among 0 to 12 other sentences."""
     pool = distractors(spark, sf_dir)
     padding = F.pmod(F.xxhash64("doc_key", F.lit("padding")), F.lit(13)).cast("int")
-    return reduce(DataFrame.unionByName, [_rendered(truth(spark, sf_dir, t), pool, t, "P", regime, padding) for t in tables])
+    return reduce(DataFrame.unionByName, [_rendered(_of(truth(spark, sf_dir, t), only), pool, t, "P", regime, padding) for t in tables])
 
 
-def dossiers(spark: SparkSession, sf_dir: str, regime: str = "pattern") -> DataFrame:
+def dossiers(spark: SparkSession, sf_dir: str, regime: str = "pattern", only: DataFrame | None = None) -> DataFrame:
     """Suite C: long documents, a few facts in thousands of words of other text. Short rows grow to long texts, so they are dealt out before."""
-    rows = truth(spark, sf_dir, "order").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "doc_key")
+    rows = _of(truth(spark, sf_dir, "order"), only).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "doc_key")
     return _rendered(rows, distractors(spark, sf_dir), "order", "C", regime, F.lit(260) + F.pmod(F.xxhash64("doc_key"), F.lit(120)).cast("int"))
 
 
@@ -213,9 +218,9 @@ def raw_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _table(spark, sf_dir, "documents").select(F.lit("raw").alias("corpus"), F.concat(F.lit("raw:"), "doc_id").alias("doc_key"), F.col("source").alias("domain"), "text")
 
 
-def corpus(spark: SparkSession, sf_dir: str, name: str, regime: str = "pattern") -> DataFrame:
-    """A suite by name; where(...) on it is the choice of documents before a query."""
-    made = {"P": lambda: profiles(spark, sf_dir, regime), "G": lambda: pages(spark, sf_dir), "C": lambda: dossiers(spark, sf_dir, regime), "talk": lambda: conversations(spark, sf_dir), "raw": lambda: raw_documents(spark, sf_dir)}
+def corpus(spark: SparkSession, sf_dir: str, name: str, regime: str = "pattern", only: DataFrame | None = None) -> DataFrame:
+    """A suite by name; where(...) on it is the choice of documents before a query. With only(doc_key) no other document's text is made."""
+    made = {"P": lambda: profiles(spark, sf_dir, regime, only=only), "G": lambda: _of(pages(spark, sf_dir), only), "C": lambda: dossiers(spark, sf_dir, regime, only), "talk": lambda: conversations(spark, sf_dir), "raw": lambda: raw_documents(spark, sf_dir)}
     return made[name]()
 
 

@@ -122,3 +122,24 @@ def test_attribute_without_evidence_is_still_found(spark):
     probes = fit_probes(own, attributes, rate=0.05, least=2)
     assert probes.evidence["code"] == 0
     assert [r.doc_key for r in retrieve(own, attributes, probes).where("text_code like '%zz=feed%'").collect()] == [holder]
+
+
+def test_dossiers_are_not_written(spark, few_orders, monkeypatch):
+    """Sentences are read in their document's row: none is written, and contexts are those of written segments."""
+    from docspj.operators.retrieval import full_texts, retrieve_located, sampled_texts
+    from docspj.registry import suites
+    from docspj.sources.corpora import specs
+
+    written = []
+    monkeypatch.setattr(suites, "cut", lambda df, label="cut": written.append((label, df.columns)) or df)
+    monkeypatch.setattr(suites, "_held", {})
+    index = suites.sentence_index(spark, few_orders[0], "C")
+    assert written == [("docs", ["corpus", "doc_key"])]
+    attributes = [specs("C")["order"][n] for n in ("order_key", "n_lines", "any_returned")]
+    apart = TwoLevelIndex(index.docs, index.segments)
+    columns = sorted(retrieve_located(apart, attributes).columns)
+    rows = lambda df: sorted(tuple(r) for r in df.select(*columns).collect())
+    assert rows(retrieve_located(index, attributes)) == rows(retrieve_located(apart, attributes))
+    some = index.docs.orderBy("doc_key").limit(3).select("doc_key")
+    texts = lambda df: sorted((r.doc_key, r.text, r.n_tokens) for r in df.collect())
+    assert texts(sampled_texts(index, some)) == texts(full_texts(index.segments.join(some, "doc_key", "left_semi")))
