@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from docspj.functions.text import embed, norm2, sentences
 from docspj.model import Attribute
 from docspj.operators.index import ExactIndex, PQIndex, TwoLevelIndex, kmeans_centres
-from docspj.operators.retrieval import fit_probes, retrieve, sample_docs
+from docspj.operators.retrieval import fit_probes, hashed, mean_embedding, retrieve, sample_docs
 from docspj.operators.segments import segment_located
 from docspj.registry import methods
 from docspj.registry.suites import answer
@@ -143,3 +143,13 @@ def test_dossiers_are_not_written(spark, few_orders, monkeypatch):
     some = index.docs.orderBy("doc_key").limit(3).select("doc_key")
     texts = lambda df: sorted((r.doc_key, r.text, r.n_tokens) for r in df.collect())
     assert texts(sampled_texts(index, some)) == texts(full_texts(index.segments.join(some, "doc_key", "left_semi")))
+
+
+def test_mean_embedding_is_that_of_a_query(spark):
+    """Of many keys at once, the means of a query's normalised texts, as query_embedding makes them on the driver; an empty text counts for nothing."""
+    texts = {"a": ["red house", "red car 17"], "b": ["blue"], None: ["old red boat", "boat"]}
+    rows = spark.createDataFrame([(k, t) for k, own in texts.items() for t in [*own, ""]], "kind string, text string").withColumn("vec", embed(F.col("text"))).withColumn("n2", norm2(F.col("vec")))
+    got = {(r.kind, r.bucket): r.value for r in mean_embedding(rows, "kind").collect()}
+    mean = lambda own: [sum(x) / len(own) for x in zip(*map(hashed, own), strict=True)]
+    want = {(k, i): x for k, own in texts.items() for i, x in enumerate(mean(own)) if x}
+    assert got.keys() == want.keys() and all(abs(got[x] - want[x]) < 1e-12 for x in want)
