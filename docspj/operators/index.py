@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from docspj.functions.text import DIMENSIONS, distance_to, embed, euclid, l2n, norm2, python_embed, unit
 from docspj.functions.udfs import callable_embedder
-from docspj.operators import blocks
+from docspj.operators import batches, blocks
 from docspj.operators.segments import segment, summarise
 from docspj.session import cut
 
@@ -74,7 +74,11 @@ class TwoLevelIndex:
         """Summaries and segments of docs(corpus, doc_key, text), embedded; a model embeds in batches, each text once."""
         one = summarise(docs, summary)
         texts = F.col("sentences") if summary == "multi" else F.array("summary")
-        below = segment(docs, d=d, **options) if segments is None else segments
+        if model is None and segments is None and options.get("mode", "previous") == "previous" and not set(options) - {"mode", "sim_threshold", "max_tokens"}:
+            below = batches.segmented(docs, d=d, **{k: v for k, v in options.items() if k != "mode"})
+        else:
+            below = segment(docs, d=d, **options) if segments is None else segments
+            below = below if model is not None else batches.embedded(below, "text", d)
         if model is not None:
             place = lambda v: F.map_from_arrays(F.sequence(F.lit(0), F.size(v) - 1), l2n(v.cast("array<double>")))
             square = lambda v: F.aggregate(F.map_values(v), F.lit(0.0), lambda s, x: s + x * x)
@@ -83,8 +87,13 @@ class TwoLevelIndex:
             parts = F.transform(F.array_sort(F.collect_list(F.struct("at", F.map_entries("vec").alias("entries")))), lambda x: F.map_from_entries(x["entries"]))
             top = rows.groupBy("corpus", "doc_key").agg(parts.alias("vecs")).withColumn("n2s", F.transform("vecs", square))
             return TwoLevelIndex(top, below.withColumn("made", column(F.col("text"))).withColumn("vec", place(F.col("made"))).drop("made").withColumn("n2", square(F.col("vec"))), model)
-        top = one.select("corpus", "doc_key", F.transform(texts, lambda t: embed(t, d)).alias("vecs")).withColumn("n2s", F.transform("vecs", norm2))
-        return TwoLevelIndex(top, below.withColumn("vec", embed(F.col("text"), d)).withColumn("n2", norm2(F.col("vec"))))
+        if summary == "multi":
+            top = one.select("corpus", "doc_key", F.transform(texts, lambda t: embed(t, d)).alias("vecs")).withColumn("n2s", F.transform("vecs", norm2))
+        elif summary == "lead":
+            top = batches.led(docs, d)
+        else:
+            top = batches.embedded(one.select("corpus", "doc_key", "summary"), "summary", d).select("corpus", "doc_key", F.array("vec").alias("vecs"), F.array("n2").alias("n2s"))
+        return TwoLevelIndex(top, below)
 
     def vector(self, text: str) -> list[float]:
         """A short text's vector on the driver, of length one."""

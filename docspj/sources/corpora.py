@@ -168,16 +168,23 @@ def distractors(spark: SparkSession, sf_dir: str, most: int = 240) -> DataFrame:
     return chosen.agg(F.array_sort(F.collect_list("s")).alias("pool"))
 
 
-def _rendered(rows: DataFrame, pool: DataFrame, table: str, corpus: str, regime: str, padding: Column) -> DataFrame:
+def _stated(rows: DataFrame, table: str, regime: str) -> DataFrame:
+    """(doc_key, domain, opening, facts): what documents say of their subjects, not yet among other sentences."""
     kind = F.pmod(F.xxhash64("doc_key"), F.lit(4))
     facts = F.array_compact(F.array(*[_said(table, n, regime, kind) for n in _FACTS[table]]))
     root = _ROOT.get(table, "name")
     opening = F.concat(F.lit(f"This is the {table} profile of "), F.col(root).cast("string"), F.lit("."))
+    return rows.select("doc_key", F.lit(table).alias("domain"), opening.alias("opening"), facts.alias("facts"))
+
+
+def _rendered(stated: DataFrame, pool: DataFrame, corpus: str, padding: Column) -> DataFrame:
+    """Documents of stated facts. Short rows grow to long texts, and small files are read by few tasks, so they are dealt out before."""
+    rows = stated.repartition(int(stated.sparkSession.conf.get("spark.sql.shuffle.partitions")), "doc_key")
     draw = lambda j: F.pmod(F.xxhash64(F.col("doc_key"), j), F.greatest(F.size("pool"), F.lit(1)))
     noise = F.when((F.size("pool") > 0) & (padding > 0), F.transform(F.sequence(F.lit(1), padding), lambda j: F.element_at("pool", (draw(j) + 1).cast("int")))).otherwise(F.array().cast("array<string>"))
-    body = F.transform(F.sort_array(F.transform(F.concat(facts, noise), lambda s, i: F.struct(F.xxhash64(F.col("doc_key"), s, i).alias("place"), s.alias("s")))), lambda x: x["s"])
-    text = F.concat_ws(" ", opening, F.array_join(body, " "))
-    return rows.crossJoin(F.broadcast(pool)).select(F.lit(corpus).alias("corpus"), "doc_key", F.lit(table).alias("domain"), text.alias("text"))
+    body = F.transform(F.sort_array(F.transform(F.concat("facts", noise), lambda s, i: F.struct(F.xxhash64(F.col("doc_key"), s, i).alias("place"), s.alias("s")))), lambda x: x["s"])
+    text = F.concat_ws(" ", "opening", F.array_join(body, " "))
+    return rows.crossJoin(F.broadcast(pool)).select(F.lit(corpus).alias("corpus"), "doc_key", "domain", text.alias("text"))
 
 
 PROFILE_TABLES = ("customer", "nation", "region", "supplier", "part")
@@ -192,13 +199,13 @@ def profiles(spark: SparkSession, sf_dir: str, regime: str = "pattern", tables:
     """Suite P: each profile has its facts, in wordings of the regime, among 0 to 12 other sentences."""
     pool = distractors(spark, sf_dir)
     padding = F.pmod(F.xxhash64("doc_key", F.lit("padding")), F.lit(13)).cast("int")
-    return reduce(DataFrame.unionByName, [_rendered(_of(truth(spark, sf_dir, t), only), pool, t, "P", regime, padding) for t in tables])
+    return _rendered(reduce(DataFrame.unionByName, [_stated(_of(truth(spark, sf_dir, t), only), t, regime) for t in tables]), pool, "P", padding)
 
 
 def dossiers(spark: SparkSession, sf_dir: str, regime: str = "pattern", only: DataFrame | None = None) -> DataFrame:
-    """Suite C: long documents, a few facts in thousands of words of other text. Short rows grow to long texts, so they are dealt out before."""
-    rows = _of(truth(spark, sf_dir, "order"), only).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "doc_key")
-    return _rendered(rows, distractors(spark, sf_dir), "order", "C", regime, F.lit(260) + F.pmod(F.xxhash64("doc_key"), F.lit(120)).cast("int"))
+    """Suite C: long documents, a few facts in thousands of words of other text."""
+    stated = _stated(_of(truth(spark, sf_dir, "order"), only), "order", regime)
+    return _rendered(stated, distractors(spark, sf_dir), "C", F.lit(260) + F.pmod(F.xxhash64("doc_key"), F.lit(120)).cast("int"))
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
