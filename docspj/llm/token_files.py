@@ -15,6 +15,9 @@ import re
 import uuid
 import zlib
 from collections.abc import Iterator
+from functools import lru_cache
+from itertools import compress
+from operator import not_
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +30,8 @@ from docspj.llm.common import only, scratch_path, slices
 
 _HEAD = 3
 _TOUCHING = re.compile(r"\s\s")
+#: White space other than blanks and line feeds, which few texts hold.
+_OTHER_SPACE = [c for c in map(chr, range(0x10000)) if c.isspace() and c not in " \n"]
 _LATIN_END, _MARKS = "\u0250", (".", ",")
 #: Byte-level vocabularies write bytes that are no visible Latin-1 letter as letters from U+0100 on, in order.
 _VISIBLE = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
@@ -43,6 +48,26 @@ def cuts_at_blanks(settings: dict) -> bool:
     return plain and whole and added and model.get("type") == "BPE"
 
 
+def touching(text: str) -> bool:
+    """Whether white space touches white space: _TOUCHING, by searches for single strings where a text holds blanks and line feeds alone."""
+    if "  " in text or " \n" in text or "\n " in text or "\n\n" in text:
+        return True
+    return any(c in text for c in _OTHER_SPACE) and _TOUCHING.search(text) is not None
+
+
+@lru_cache(1)
+def loaded(path: str, changed: int) -> tuple:
+    """A tokenizer file, as it was then: the tokenizer, whether pieces may be cut for it, each id packed, each id's length in bytes. A worker serves many tasks and reads it once."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(path)
+    special = tokenizer.get_added_tokens_decoder()
+    names = [tokenizer.id_to_token(i) or "" for i in range(tokenizer.get_vocab_size(True))]
+    packed = [np.array([i], "<u4").tobytes() for i in range(len(names))]
+    return tokenizer, cuts_at_blanks(json.loads(tokenizer.to_str())), packed, np.array([len(n.encode()) if i in special else len(n) for i, n in enumerate(names)])
+
+
 class CachingEncoder:
     """Whole texts to ids with the tokenizers library, which sees a piece of text once while it is remembered.
 
@@ -53,17 +78,11 @@ class CachingEncoder:
     """
 
     def __init__(self, path: str, end_id: int | None, most: int = 600_000):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        self.tokenizer, self.young, self.old, self.most = Tokenizer.from_file(path), {}, {}, most
-        self.cuts = cuts_at_blanks(json.loads(self.tokenizer.to_str()))
+        self.young, self.old, self.most = {}, {}, most
+        self.tokenizer, self.cuts, self.packed, self.lengths = loaded(path, os.stat(path).st_mtime_ns)
         self.merges = self.tokenizer.model.tokenize
-        special = self.tokenizer.get_added_tokens_decoder()
-        names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size(True))]
-        self.packed = [np.array([i], "<u4").tobytes() for i in range(len(names))]
-        self.lengths = np.array([len(n.encode()) if i in special else len(n) for i, n in enumerate(names)])
         self.end = b"" if end_id is None else np.array([end_id], "<u4").tobytes()
+        self.marks = {m: self._word(m) for m in (*_MARKS, "\n")} if self.cuts else {}
         self.width = 2 if max(self.tokenizer.get_vocab_size(True) - 1, end_id or 0) < 1 << 16 else 4
 
     def _ids(self, text: str) -> bytes:
@@ -74,6 +93,13 @@ class CachingEncoder:
         packed = self.packed
         return b"".join([packed[t.id] for t in self.merges(word.encode().decode("latin-1").translate(_BYTE_LETTERS))])
 
+    def _blank_word(self, word: str) -> bytes:
+        """Ids of a Latin word after a blank."""
+        if word.isascii():
+            packed = self.packed
+            return b"".join([packed[t.id] for t in self.merges(_BYTE_LETTERS[32] + word)])
+        return self._word(f" {word}")
+
     def _pieces(self, new: list[str]) -> dict[str, bytes]:
         """Ids of pieces that were not seen yet.
 
@@ -86,14 +112,14 @@ class CachingEncoder:
                 found[p] = b"".join([packed[t.id] for t in merges(blank + p)])
             elif p.isalpha() and max(p) < _LATIN_END:
                 found[p] = self._word(f" {p}")
-            elif p[-1:] in _MARKS and p[:-1].isalpha() and max(p) < _LATIN_END:
+            elif p[-1:] in _MARKS and p[:-1].isalpha() and (p.isascii() or max(p) < _LATIN_END):
                 stem = p[:-1]
-                known = self.young.get(stem) or found.get(stem)
+                known = self.young.get(stem) or found.get(stem) or self.old.get(stem)
                 if known is None:
-                    known = found[stem] = self._word(f" {stem}")
-                found[p] = known + self._word(p[-1])
-            elif p[:1] == "\n" and p[1:].isalpha() and max(p) < _LATIN_END:
-                found[p] = self._word("\n") + self._word(p[1:])
+                    known = found[stem] = self._blank_word(stem)
+                found[p] = known + self.marks[p[-1]]
+            elif p[:1] == "\n" and p[1:].isalpha() and (p.isascii() or max(p) < _LATIN_END):
+                found[p] = self.marks["\n"] + self._word(p[1:])
             elif not p or p[-1].isspace():
                 found[p] = self._ids(p if p[:1] == "\n" else f" {p}")
             else:
@@ -112,14 +138,14 @@ class CachingEncoder:
         """The text's ids, and the end id, as 32-bit unsigned little-endian integers."""
         if not text:
             return self.end
-        if not self.cuts or _TOUCHING.search(text):
+        if not self.cuts or touching(text):
             return self._ids(text) + self.end
         head, *parts = text.replace("\n", " \n").split(" ")
         first = self._ids(head) if head else b""
         if len(self.young) > self.most:
             self.old, self.young = self.young, {}
         young, old, new = self.young, self.old, []
-        for p in set(parts).difference(young):
+        for p in set(compress(parts, map(not_, map(young.get, parts)))):
             if p in old:
                 young[p] = old[p]
             else:

@@ -504,3 +504,15 @@ def test_pipeline(spark, sf_dir):
         before = spark.createDataFrame(rows, after.schema)
         sizes.append(len(rows))
     assert sizes[0] >= 0.99 * docs.count() and sizes[-1] == sizes[-2]
+
+
+def test_a_tokenizer_is_read_once_a_worker():
+    """Encoders of one file share what is read of it, and nothing that they remember; white space is told by searches as by the pattern."""
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    one, other = token_files.CachingEncoder(path, 2), token_files.CachingEncoder(path, 2)
+    text = "One two, one. Two été, été. 12 three\nfour\nfünf,"
+    assert one.tokenizer is other.tokenizer and one.young is not other.young
+    assert one.encode(text) == other.encode(text) == np.array([*one.tokenizer.encode(text, add_special_tokens=False).ids, 2], "<u4").tobytes()
+    spaces = [chr(c) for c in range(0x3100) if chr(c).isspace()]
+    for t in ["a b\nc", "", *(f"x{a}{b}y" for a in spaces for b in ["", *spaces])]:
+        assert token_files.touching(t) == (token_files._TOUCHING.search(t) is not None)
