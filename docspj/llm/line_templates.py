@@ -48,14 +48,16 @@ def line_templates(lines: DataFrame, least_documents: int, depth: int, similarit
 
     Lines of fewer than `least_words` words, and those whose constants are under `similarity` of the words that are no fields, are their own template.
     """
-    many = lines.where(word_number(F.col("line")) >= least_words)
-    words = many.select("leaf", "line", "documents", F.posexplode(F.split("line", " ")).alias("place", "word"))
+    # A line's words carry two hashes of it, not the line itself, which would be shuffled once a word.
+    marked_lines = lines.withColumns({"mark": F.xxhash64(F.lit(1), "line"), "mark2": F.xxhash64(F.lit(2), "line")})
+    many = marked_lines.where(word_number(F.col("line")) >= least_words)
+    words = many.select("leaf", "mark", "mark2", "documents", F.posexplode(F.split("line", " ")).alias("place", "word"))
     common = words.where((F.col("place") >= depth) & (F.col("word") != FIELD)).groupBy("leaf", "place", "word").agg(F.sum("documents").alias("n")).where(F.col("n") >= least_documents).select("leaf", "place", "word", F.lit(True).alias("constant"))
     kept = (F.col("place") < depth) | F.col("constant").isNotNull()
-    marked = words.join(common, ["leaf", "place", "word"], "left").select("leaf", "line", F.struct("place", F.when(kept, F.col("word")).otherwise(FIELD).alias("word")).alias("at"))
-    made = marked.groupBy("leaf", "line").agg(F.array_join(F.transform(F.array_sort(F.collect_list("at")), lambda x: x["word"]), " ").alias("made"))
+    marked = words.drop("documents").join(common, ["leaf", "place", "word"], "left").select("leaf", "mark", "mark2", F.struct("place", F.when(kept, F.col("word")).otherwise(FIELD).alias("word")).alias("at"))
+    made = marked.groupBy("leaf", "mark", "mark2").agg(F.array_join(F.transform(F.array_sort(F.collect_list("at")), lambda x: x["word"]), " ").alias("made"))
     alike = fixed_number(F.col("made")) >= similarity * fixed_number(F.col("line"))
-    own = lines.join(made, ["leaf", "line"], "left").withColumn("alike", F.coalesce(alike, F.lit(False)))
+    own = marked_lines.join(made, ["leaf", "mark", "mark2"], "left").withColumn("alike", F.coalesce(alike, F.lit(False)))
     return own.select("leaf", "line", F.when(F.col("alike"), F.col("made")).otherwise(F.col("line")).alias("template"))
 
 

@@ -516,3 +516,12 @@ def test_a_tokenizer_is_read_once_a_worker():
     spaces = [chr(c) for c in range(0x3100) if chr(c).isspace()]
     for t in ["a b\nc", "", *(f"x{a}{b}y" for a in spaces for b in ["", *spaces])]:
         assert token_files.touching(t) == (token_files._TOUCHING.search(t) is not None)
+
+
+def test_words_of_a_line_do_not_carry_it(spark):
+    """A line's words are put together again by hashes of the line: the line is not shuffled once a word."""
+    lines = spark.createDataFrame([(1, f"one two three four five six seven {w}", 6) for w in ("x", "y")], "leaf long, line string, documents long")
+    made = line_templates.line_templates(lines, 10, 3, 0.6, 8)
+    assert {(r.line[-1], r.template) for r in made.collect()} == {(w, "one two three four five six seven <*>") for w in "xy"}
+    grouped = [x for x in made._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Aggregate" in x and "collect_list" in x]
+    assert grouped and not any("line#" in x.split("]")[0] for x in grouped)
