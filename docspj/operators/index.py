@@ -58,8 +58,9 @@ class Codes:
 class TwoLevelIndex:
     """docs(corpus, doc_key, vecs, n2s) and segments(corpus, doc_key, seg_no, text, n_tokens, vec, n2), both by doc_key.
 
-    model: what embeds lists of texts, where it is not the hashed words. cells, codes: of the segments, if made. parts(only) makes
-    (corpus, doc_key, parts), the segments' texts in order, an array a document, of all documents or of only(doc_key), where they are to be had so.
+    model: what embeds lists of texts, where it is not the hashed words. cells, codes: of the segments, if made. parts(only, shown) makes
+    (corpus, doc_key, parts, n_tokens), the segments' texts in order, an array a document, of all documents or of only(doc_key), where they are to be had so;
+    and the whole document's tokens. With shown, a condition on a text, it may leave out segments for which that doesn't hold, such as many documents share.
     """
 
     docs: DataFrame
@@ -67,7 +68,7 @@ class TwoLevelIndex:
     model: Callable[[list[str]], list[list[float]]] | None = None
     cells: Cells | None = None
     codes: Codes | None = None
-    parts: Callable[[DataFrame | None], DataFrame] | None = None
+    parts: Callable[..., DataFrame] | None = None
 
     @staticmethod
     def build(docs: DataFrame, summary: str = "lead", segments: DataFrame | None = None, d: int = DIMENSIONS, model: Callable[[list[str]], list[list[float]]] | None = None, **options) -> TwoLevelIndex:

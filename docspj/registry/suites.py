@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from datetime import date
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from docspj.engine import Engine, Settings
@@ -14,7 +14,7 @@ from docspj.model import Expr, Leaf, Query
 from docspj.operators.index import TwoLevelIndex
 from docspj.operators.segments import segment_located
 from docspj.session import cut
-from docspj.sources.corpora import corpus, specs
+from docspj.sources.corpora import corpus, distractors, dossier_keys, dossiers, specs
 from docspj.workload import SUITES, by_name
 
 _held: dict[tuple, TwoLevelIndex] = {}
@@ -25,14 +25,18 @@ def sentence_index(spark: SparkSession, sf_dir: str, suite: str) -> TwoLevelInde
     sentences would take several times the tables' own size, and are made where they are read, inside their document's row."""
     key = (spark.sparkContext.applicationId, sf_dir, suite, "sentences")
     if key not in _held:
-        docs = corpus(spark, sf_dir, suite)
+        docs, sizes = corpus(spark, sf_dir, suite), F.aggregate("parts", F.lit(0).cast("bigint"), lambda n, s: n + n_tokens(s))
+        pool = spark.createDataFrame([(distractors(spark, sf_dir).first().pool,)], "pool array<string>") if suite == "C" else None
 
-        def parts(only: DataFrame | None = None) -> DataFrame:
+        def parts(only: DataFrame | None = None, shown: Callable[[Column], Column] | None = None) -> DataFrame:
             cut_up = F.split("text", r"\n") if suite == "G" else sentences(F.col("text"))
-            return corpus(spark, sf_dir, suite, only=only).select("corpus", "doc_key", cut_up.alias("parts"))
+            made = dossiers(spark, sf_dir, only=only, pool=pool, shown=shown) if suite == "C" else corpus(spark, sf_dir, suite, only=only)
+            if "parts" not in made.columns:
+                made = made.select("corpus", "doc_key", cut_up.alias("parts"), F.lit(0).alias("left_out"))
+            return made.select("corpus", "doc_key", "parts", (sizes + F.col("left_out")).alias("n_tokens"))
 
         rows = parts().select("corpus", "doc_key", F.posexplode("parts").alias("seg_no", "text")).withColumn("n_tokens", n_tokens(F.col("text")))
-        keys = cut(docs.select("corpus", "doc_key"), "docs")
+        keys = cut(dossier_keys(spark, sf_dir) if suite == "C" else docs.select("corpus", "doc_key"), "docs")
         _held[key] = TwoLevelIndex(keys, cut(rows, "segments")) if suite == "P" else TwoLevelIndex(keys, rows, parts=parts)
     return _held[key]
 
