@@ -19,7 +19,9 @@ from pyspark.sql import functions as F
 
 BLOCK = 2048
 #: Rows of a block that a product takes at once, and pairs whose distances are summed at once.
-_ROWS, _PAIRS = 512, 1 << 16
+_ROWS, _PAIRS = 2048, 1 << 16
+#: Vectors whose squared length is more are not screened in single precision.
+_LONGEST = 1e12
 #: More rows than these are not broadcast; blocks then meet in a Cartesian product.
 MOST_BROADCAST = 100_000
 #: (rows, columns, whether a pair may be taken) of the parts of two blocks that a search compares.
@@ -69,6 +71,42 @@ def squares(v: np.ndarray, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return found, 1e-8 * (1 + np.nan_to_num(other) + top)
 
 
+class Screen:
+    """A block's vectors in single precision, each with its squared length at hand, so that one product gives squared distances."""
+
+    def __init__(self, v: np.ndarray):
+        self.v, self.lengths = v, (v * v).sum(1)
+        self.none = np.isnan(self.lengths)
+        own = np.where(self.none, 0.0, self.lengths)
+        self.top = float(own.max()) if len(own) else 0.0
+        self.single, self._hashes = self.top <= _LONGEST, None
+        if self.single:
+            held = np.where(self.none[:, None], 0.0, v)
+            one = np.ones((len(v), 1))
+            self.left = np.concatenate([held, own[:, None], one], 1).astype(np.float32)
+            self.right = np.concatenate([-2 * held, one, own[:, None]], 1).astype(np.float32).T
+
+    def hashes(self, rows: pd.DataFrame) -> np.ndarray:
+        """The rows' hashes as a matrix, made once."""
+        if self._hashes is None:
+            self._hashes = np.array(rows["hashes"].tolist())
+        return self._hashes
+
+
+def screened(rows: Screen, columns: Screen, own: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """squares of some rows and columns of two blocks, in single precision; how far they may be off bounds its rounding in any order of summing."""
+    if not (rows.single and columns.single):
+        return squares(rows.v[own], columns.v[at])
+    left = rows.left if len(own) == len(rows.left) else rows.left[own]
+    found = left @ (columns.right if len(at) == columns.right.shape[1] else columns.right[:, at])
+    if rows.none.any():
+        found[rows.none[own]] = np.inf
+    if columns.none.any():
+        found[:, columns.none[at]] = np.inf
+    off = (rows.left.shape[1] + 8) * 2.5e-7 * (np.nan_to_num(columns.lengths[at]) + rows.top) + 1e-8
+    return found, off.astype(np.float32)
+
+
 def distances(v: np.ndarray, p: np.ndarray, rows: np.ndarray, columns: np.ndarray) -> np.ndarray:
     """Of each pair, the root of the squares' sum in the order of the places."""
     found = np.empty(len(rows))
@@ -98,15 +136,16 @@ def everything(rows: pd.DataFrame, v: np.ndarray, asked: pd.DataFrame, p: np.nda
 
 
 def _pairs(batches):
-    """(block, its rows and matrix, probes' block, its rows and matrix) of each meeting; a block is unpacked once in a row."""
+    """(rows and screen of a block, probes' block, its rows and screen) of each meeting; a block is unpacked once in a row."""
+    opened = lambda block: (lambda rows, v: (rows, Screen(v)))(*unpacked(block))
     last, held = None, {}
     for batch in batches:
         for block, no, probes in zip(batch.column("block"), batch.column("probe_no"), batch.column("probes"), strict=True):
             data = block.as_buffer()
             if last is None or not data.equals(last[0]):
-                last = (data, unpacked(block.as_py()))
+                last = (data, opened(block.as_py()))
             if no.as_py() not in held:
-                held[no.as_py()] = unpacked(probes.as_py())
+                held[no.as_py()] = opened(probes.as_py())
             yield last[1], no.as_py(), held[no.as_py()]
 
 
@@ -117,32 +156,42 @@ def topk(vectors: DataFrame, probes: DataFrame, k: int, parts: Parts = everythin
         kept: dict[int, pd.DataFrame] = {}
         bounds: dict[int, np.ndarray] = {}
         ids: dict[int, np.ndarray] = {}
-        for (rows, v), no, (asked, p) in _pairs(batches):
+        for (rows, left), no, (asked, right) in _pairs(batches):
+            v, p = left.v, right.v
             ids[no] = asked["probe"].to_numpy()
             bound = bounds.setdefault(no, np.full(len(p), np.inf))
             for own, columns, may in parts(rows, v, asked, p):
                 if not len(own) or not len(columns):
                     continue
-                found, off = squares(v[own], p[columns])
+                found, off = screened(left, right, own, columns)
                 if may is not None:
                     found[~may] = np.nan
-                # No more than the k least of a part are taken, and what is as near as the last of them.
-                place = min(k, len(own)) - 1
-                least = np.minimum(np.partition(found, place, axis=0)[place], bound[columns])
-                least[np.isnan(least)] = np.inf
-                i, j = np.nonzero(found <= least + off)
+                least = bound[columns]
+                if np.isinf(least).any():
+                    # No more than the k least of a part are taken, and what is as near as the last of them.
+                    place = min(k, len(own)) - 1
+                    least = np.minimum(np.partition(found, place, axis=0)[place] + off, least)
+                    least[np.isnan(least)] = np.inf
+                i, j = np.nonzero(found <= (least + 2 * off).astype(found.dtype))
                 if not len(i):
                     continue
                 at = columns[j]
                 dist = rounded(distances(v, p, own[i], at))
                 new = pd.DataFrame({"at": at, "dist": dist, "key": rows["key"].to_numpy()[own[i]]})
-                both = pd.concat([kept[no], new]) if no in kept else new
-                both = both.sort_values(["at", "dist", "key"]).groupby("at", sort=False).head(k)
-                kept[no] = both
+                rest = None
+                if no in kept:
+                    # Only probes that are met now are ranked again.
+                    met = np.zeros(len(p), bool)
+                    met[at] = True
+                    again = met[kept[no]["at"].to_numpy()]
+                    rest, new = kept[no][~again], pd.concat([kept[no][again], new])
+                both = new.sort_values(["at", "dist", "key"]).groupby("at", sort=False).head(k)
+                kept[no] = both if rest is None else pd.concat([rest, both])
                 full = both.groupby("at")["dist"].agg(["size", "max"])
                 full = full[full["size"] == k]
                 last = full["max"].to_numpy()
-                bound[full.index.to_numpy()] = np.where(np.isnan(last), np.inf, last * last)
+                # A rounded distance may lie below the vector's own by half of its last place.
+                bound[full.index.to_numpy()] = np.where(np.isnan(last), np.inf, (last + 1e-9) ** 2)
         for no, both in kept.items():
             dist = both["dist"].to_numpy()
             yield pa.RecordBatch.from_arrays([pa.array(ids[no][both["at"].to_numpy()], types[0]), pa.array(dist, mask=np.isnan(dist)), pa.array(both["key"], types[1])], ["probe", "dist", "key"])
@@ -158,10 +207,11 @@ def within(vectors: DataFrame, probes: DataFrame, radius: float) -> DataFrame:
     """(probe, key, dist) of all pairs within the radius."""
 
     def of(batches):
-        for (rows, v), _, (asked, p) in _pairs(batches):
+        for (rows, left), _, (asked, right) in _pairs(batches):
+            v, p = left.v, right.v
             for own, columns, _may in everything(rows, v, asked, p):
-                found, off = squares(v[own], p)
-                i, j = np.nonzero(found <= radius * radius + off)
+                found, off = screened(left, right, own, columns)
+                i, j = np.nonzero(found <= (radius * radius + off).astype(found.dtype))
                 dist = distances(v, p, own[i], columns[j])
                 near = dist <= radius
                 if near.any():
@@ -181,22 +231,23 @@ def joined(blocks: DataFrame, radius: float, n: int, key_type: str) -> DataFrame
     both = blocks.crossJoin(other).where("block_no <= probe_no")
 
     def of(batches):
-        for (rows, v), _, (asked, p) in _pairs(batches):
-            left, right = np.array(rows["hashes"].tolist()), np.array(asked["hashes"].tolist())
+        for (rows, near), _, (asked, far) in _pairs(batches):
+            v, p = near.v, far.v
+            left, right = near.hashes(rows), far.hashes(asked)
             if not any(np.isin(left[:, j], right[:, j]).any() for j in range(left.shape[1])):
                 continue
             a, b = rows["key"].to_numpy(), asked["key"].to_numpy()
             same = len(a) == len(b) and (a == b).all()
             for own, columns, _may in everything(rows, v, asked, p):
-                found, off = squares(v[own], p)
-                i, j = np.nonzero(found <= radius * radius + off)
+                found, off = screened(near, far, own, columns)
+                i, j = np.nonzero(found <= (radius * radius + off).astype(found.dtype))
                 i = own[i]
                 fit = (left[i] == right[j]).any(1) & (a[i] < b[j] if same else a[i] != b[j])
                 i, j = i[fit], columns[j[fit]]
                 dist = distances(v, p, i, j)
-                near = dist < radius
-                if near.any():
-                    x, y = a[i[near]], b[j[near]]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(dist[near])], ["a", "b", "dist"])
+                hit = dist < radius
+                if hit.any():
+                    x, y = a[i[hit]], b[j[hit]]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(dist[hit])], ["a", "b", "dist"])
 
     return both.mapInArrow(of, f"a {key_type}, b {key_type}, dist double")

@@ -232,8 +232,8 @@ class IVFIndex:
             cell = rows["cell"].to_numpy()
             for c in np.unique(cell):
                 own, columns = np.flatnonzero(cell == c), np.flatnonzero(wanted[:, c])
-                for low in range(0, len(own), 512):
-                    yield own[low : low + 512], columns, None
+                for low in range(0, len(own), 2048):
+                    yield own[low : low + 2048], columns, None
 
         return _nearest(blocks.topk(self.vectors, _asked(asked, "cells"), k, of_cells), k)
 
