@@ -120,6 +120,34 @@ def distances(v: np.ndarray, p: np.ndarray, rows: np.ndarray, columns: np.ndarra
     return found
 
 
+def nearest(df: DataFrame, column: str, centres: np.ndarray, n: int, name: str) -> DataFrame:
+    """df with the numbers of the n centres nearest to its vectors, in order, ties by number; distances are summed as in a Column. A null vector's come by number."""
+    at, many = df.columns.index(column), np.asarray(centres, float)
+
+    def of(batches):
+        for whole in batches:
+            for low in range(0, whole.num_rows, BLOCK):
+                batch = whole.slice(low, BLOCK)
+                vecs = batch.column(at)
+                none = vecs.is_null().to_numpy(zero_copy_only=False)
+                flat = vecs.drop_null().flatten().to_numpy(zero_copy_only=False).astype(float)
+                found = np.full((len(none), len(many)), np.nan)
+                if len(flat):
+                    v = np.ascontiguousarray(flat.reshape(-1, many.shape[1]).T)
+                    for i, c in enumerate(many):
+                        total = np.zeros(v.shape[1])
+                        for j in range(len(v)):
+                            off = v[j] - c[j]
+                            total += off * off
+                        found[~none, i] = np.sqrt(total)
+                order = np.argsort(found, axis=1, kind="stable")[:, :n].astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(order) + 1, dtype=np.int32) * order.shape[1]), pa.array(order.ravel()))
+                yield pa.RecordBatch.from_arrays([*batch.columns, lists], [*batch.schema.names, name])
+
+    declared = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
+    return df.mapInArrow(of, f"{declared}, `{name}` array<int>")
+
+
 def rounded(x: np.ndarray) -> np.ndarray:
     """x rounded to 9 places, halves up, by its shortest decimal form: as `round` of a Column."""
     scaled = x * 1e9
@@ -160,6 +188,7 @@ def topk(vectors: DataFrame, probes: DataFrame, k: int, parts: Parts = everythin
             v, p = left.v, right.v
             ids[no] = asked["probe"].to_numpy()
             bound = bounds.setdefault(no, np.full(len(p), np.inf))
+            pairs = []
             for own, columns, may in parts(rows, v, asked, p):
                 if not len(own) or not len(columns):
                     continue
@@ -173,25 +202,27 @@ def topk(vectors: DataFrame, probes: DataFrame, k: int, parts: Parts = everythin
                     least = np.minimum(np.partition(found, place, axis=0)[place] + off, least)
                     least[np.isnan(least)] = np.inf
                 i, j = np.nonzero(found <= (least + 2 * off).astype(found.dtype))
-                if not len(i):
-                    continue
-                at = columns[j]
-                dist = rounded(distances(v, p, own[i], at))
-                new = pd.DataFrame({"at": at, "dist": dist, "key": rows["key"].to_numpy()[own[i]]})
-                rest = None
-                if no in kept:
-                    # Only probes that are met now are ranked again.
-                    met = np.zeros(len(p), bool)
-                    met[at] = True
-                    again = met[kept[no]["at"].to_numpy()]
-                    rest, new = kept[no][~again], pd.concat([kept[no][again], new])
-                both = new.sort_values(["at", "dist", "key"]).groupby("at", sort=False).head(k)
-                kept[no] = both if rest is None else pd.concat([rest, both])
-                full = both.groupby("at")["dist"].agg(["size", "max"])
-                full = full[full["size"] == k]
-                last = full["max"].to_numpy()
-                # A rounded distance may lie below the vector's own by half of its last place.
-                bound[full.index.to_numpy()] = np.where(np.isnan(last), np.inf, (last + 1e-9) ** 2)
+                pairs.append((own[i], columns[j]))
+            if not sum(len(i) for i, _ in pairs):
+                continue
+            # The parts of a block are ranked together.
+            i, at = (np.concatenate(x) for x in zip(*pairs, strict=True))
+            dist = rounded(distances(v, p, i, at))
+            new = pd.DataFrame({"at": at, "dist": dist, "key": rows["key"].to_numpy()[i]})
+            rest = None
+            if no in kept:
+                # Only probes that are met now are ranked again.
+                met = np.zeros(len(p), bool)
+                met[at] = True
+                again = met[kept[no]["at"].to_numpy()]
+                rest, new = kept[no][~again], pd.concat([kept[no][again], new])
+            both = new.sort_values(["at", "dist", "key"]).groupby("at", sort=False).head(k)
+            kept[no] = both if rest is None else pd.concat([rest, both])
+            full = both.groupby("at")["dist"].agg(["size", "max"])
+            full = full[full["size"] == k]
+            last = full["max"].to_numpy()
+            # A rounded distance may lie below the vector's own by half of its last place.
+            bound[full.index.to_numpy()] = np.where(np.isnan(last), np.inf, (last + 1e-9) ** 2)
         for no, both in kept.items():
             dist = both["dist"].to_numpy()
             yield pa.RecordBatch.from_arrays([pa.array(ids[no][both["at"].to_numpy()], types[0]), pa.array(dist, mask=np.isnan(dist)), pa.array(both["key"], types[1])], ["probe", "dist", "key"])

@@ -216,12 +216,10 @@ class IVFIndex:
         base = vectors.select(F.col(key).alias("key"), F.col(column).alias("vec"))
         fit = base.orderBy(F.xxhash64("key")).limit(sample).select(array_to_vector(F.col("vec").cast("array<double>")).alias("features"))
         self.centres = [c.tolist() for c in KMeans(k=nlist, seed=seed, maxIter=15).fit(fit).clusterCenters()]
-        cells = F.array(*[F.struct(euclid(F.col("vec"), F.lit(c)).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(self.centres)])
-        self.vectors = base.withColumn("cell", F.array_min(cells)["cell"])
+        self.vectors = blocks.nearest(base, "vec", self.centres, 1, "cells").select("key", "vec", F.col("cells")[0].alias("cell"))
 
     def topk(self, probes: DataFrame, k: int, nprobe: int = 4) -> DataFrame:
-        cells = F.array(*[F.struct(euclid(F.col("pvec"), F.lit(c)).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(self.centres)])
-        asked = probes.withColumn("cells", F.transform(F.slice(F.array_sort(cells), 1, nprobe), lambda c: c["cell"]))
+        asked = blocks.nearest(probes, "pvec", self.centres, nprobe, "cells")
         nlist = len(self.centres)
 
         def of_cells(rows, v, asked, p):

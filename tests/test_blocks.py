@@ -116,3 +116,14 @@ def test_screen_keeps_what_is_at_the_bound(spark):
     assert {(r.probe, r.key) for r in ExactIndex(table).range(asked, math.sqrt(5)).collect()} == want
     near = {(q, i) for q, x in grid[::20] for i in sorted(range(420), key=lambda i: (round(math.dist(x, grid[i][1]), 9), i))[:9]}
     assert {(r.probe, r.key) for r in ExactIndex(table).topk(asked, 9).collect()} == near
+
+
+def test_nearest_centres_as_columns(spark, table):
+    """Cells by blocks are those that Columns give, ties and null vectors too."""
+    from docspj.functions.text import euclid
+
+    centres = [[0.5] * 8, [-0.5] * 8, [0.5] * 8, [1.0, -1.0] * 4]
+    cells = F.array(*[F.struct(euclid(F.col("embedding"), F.lit(c)).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(centres)])
+    want = table.select("vec_id", F.transform(F.slice(F.array_sort(cells), 1, 3), lambda c: c["cell"]).alias("cells"))
+    got = blocks.nearest(table, "embedding", centres, 3, "cells").select("vec_id", "cells")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
