@@ -25,7 +25,7 @@ def sentence_index(spark: SparkSession, sf_dir: str, suite: str) -> TwoLevelInde
     sentences would take several times the tables' own size, and are made where they are read, inside their document's row."""
     key = (spark.sparkContext.applicationId, sf_dir, suite, "sentences")
     if key not in _held:
-        docs, sizes = corpus(spark, sf_dir, suite), F.aggregate("parts", F.lit(0).cast("bigint"), lambda n, s: n + n_tokens(s))
+        sizes = F.aggregate("parts", F.lit(0).cast("bigint"), lambda n, s: n + n_tokens(s))
         pool = spark.createDataFrame([(distractors(spark, sf_dir).first().pool,)], "pool array<string>") if suite == "C" else None
 
         def parts(only: DataFrame | None = None, shown: Callable[[Column], Column] | None = None) -> DataFrame:
@@ -36,7 +36,7 @@ def sentence_index(spark: SparkSession, sf_dir: str, suite: str) -> TwoLevelInde
             return made.select("corpus", "doc_key", "parts", (sizes + F.col("left_out")).alias("n_tokens"))
 
         rows = parts().select("corpus", "doc_key", F.posexplode("parts").alias("seg_no", "text")).withColumn("n_tokens", n_tokens(F.col("text")))
-        keys = cut(dossier_keys(spark, sf_dir) if suite == "C" else docs.select("corpus", "doc_key"), "docs")
+        keys = cut(dossier_keys(spark, sf_dir) if suite == "C" else corpus(spark, sf_dir, suite).select("corpus", "doc_key"), "docs")
         _held[key] = TwoLevelIndex(keys, cut(rows, "segments")) if suite == "P" else TwoLevelIndex(keys, rows, parts=parts)
     return _held[key]
 

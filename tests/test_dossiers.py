@@ -50,3 +50,14 @@ def test_sample_without_shared_sentences(index):
     read = lambda df: sorted(str(tuple(r)) for r in df.select("doc_key", "n_tokens", *[extract(F.col("text"), a) for a in attributes]).collect())
     got = read(sampled_texts(index, some, attributes))
     assert len(got) == 11 and got == read(full_texts(index.segments.join(some, "doc_key", "left_semi")))
+
+
+def test_statements_that_cannot_hold_what_is_asked_are_left_out(index):
+    """Of a document whose values are plain come the statements asked for alone; where a value has an end of a sentence in it, its statement comes too."""
+    pool, index = index
+    asked = [specs("C")["order"][n] for n in ("order_key", "n_lines")]
+    made = {r.doc_key: r.parts for r in index.parts(None, shown(asked)).collect()}
+    facts = {k: [s for s in p if s not in pool] for k, p in made.items()}
+    # Order 2 is of no known customer, order 3 of one with a line feed in the name; order 4 has ends of sentences in its priority.
+    assert len(facts["order:2"]) == 2 and any("Customer" in s for s in facts["order:3"]) and any("More" in s for s in facts["order:4"])
+    assert all("status" not in s and "total price" not in s for p in facts.values() for s in p)
