@@ -61,6 +61,7 @@ class TwoLevelIndex:
     model: what embeds lists of texts, where it is not the hashed words. cells, codes: of the segments, if made. parts(only, shown) makes
     (corpus, doc_key, parts, n_tokens), the segments' texts in order, an array a document, of all documents or of only(doc_key), where they are to be had so;
     and the whole document's tokens. With shown, a condition on a text, it may leave out segments for which that doesn't hold, such as many documents share.
+    texts: the segments without vectors, where these are the hashed words of their texts and are made where they are asked for.
     """
 
     docs: DataFrame
@@ -69,6 +70,15 @@ class TwoLevelIndex:
     cells: Cells | None = None
     codes: Codes | None = None
     parts: Callable[..., DataFrame] | None = None
+    texts: DataFrame | None = None
+
+    @staticmethod
+    def of_texts(docs: DataFrame, sim_threshold: float = 0.25, max_tokens: int = 200) -> TwoLevelIndex:
+        """build, of opening sentences and hashed words, in one pass over the texts; written once, the segments without vectors."""
+        rows = cut(batches.segmented(docs, sim_threshold, max_tokens, opening=True), "segments")
+        texts = rows.where("seg_no is not null").drop("lead", "lead_n2")
+        top = rows.where("lead_n2 is not null").select("corpus", "doc_key", F.array("lead").alias("vecs"), F.array("lead_n2").alias("n2s"))
+        return TwoLevelIndex(top, batches.embedded(texts, "text"), texts=texts)
 
     @staticmethod
     def build(docs: DataFrame, summary: str = "lead", segments: DataFrame | None = None, d: int = DIMENSIONS, model: Callable[[list[str]], list[list[float]]] | None = None, **options) -> TwoLevelIndex:
@@ -115,7 +125,7 @@ class TwoLevelIndex:
         near = F.array_min(F.array(*[F.struct(distance_to(F.col("vec"), F.col("n2"), c).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(centres)]))
         placed = cut(self.segments.withColumn("near", near).withColumns({"cell": F.col("near.cell"), "cell_dist": F.col("near.d")}).drop("near"), "cells")
         radii = {r.cell: r.r for r in placed.groupBy("cell").agg(F.max("cell_dist").alias("r")).collect()}
-        return replace(self, segments=placed.drop("cell_dist"), cells=Cells(centres, [radii.get(i, -math.inf) for i in range(len(centres))]))
+        return replace(self, segments=placed.drop("cell_dist"), texts=None, cells=Cells(centres, [radii.get(i, -math.inf) for i in range(len(centres))]))
 
     def with_codes(self, m: int = 8, ks: int = 16, sample: int = 20_000, seed: int = 1) -> TwoLevelIndex:
         """The segments with `code` and `code_error`, books by k-means on a bounded sample; every segment is coded."""
@@ -128,7 +138,7 @@ class TwoLevelIndex:
         best = F.array(*[F.array_min(F.array(*[F.struct(square(part(j), c).alias("d"), F.lit(i).alias("c")) for i, c in enumerate(book)])) for j, book in enumerate(books)])
         coded = self.segments.withColumn("point", dense(F.col("vec"), F.col("n2"), self.dimensions)).withColumn("best", best)
         coded = coded.withColumns({"code": F.transform("best", lambda b: b["c"]), "code_error": F.sqrt(F.aggregate("best", F.lit(0.0), lambda s, b: s + b["d"])) + 1e-9})
-        return replace(self, segments=cut(coded.drop("point", "best"), "codes"), codes=Codes(books))
+        return replace(self, segments=cut(coded.drop("point", "best"), "codes"), texts=None, codes=Codes(books))
 
     def _sampled(self, rows: int) -> DataFrame:
         few = self.segments.orderBy(F.xxhash64("doc_key", "seg_no"), "doc_key", "seg_no").limit(rows)
@@ -168,7 +178,7 @@ class TwoLevelIndex:
         spark = self.docs.sparkSession
         for level, frame in (("docs", self.docs), ("segments", self.segments)):
             frame.write.mode("overwrite").bucketBy(buckets, "doc_key").sortBy("doc_key").saveAsTable(f"{name}_{level}")
-        return replace(self, docs=spark.table(f"{name}_docs"), segments=spark.table(f"{name}_segments"))
+        return replace(self, docs=spark.table(f"{name}_docs"), segments=spark.table(f"{name}_segments"), texts=None)
 
 
 #: Probes that may be broadcast; more are refused, to be asked in blocks.

@@ -47,6 +47,9 @@ def vector_index(spark: SparkSession, sf_dir: str, suite: str = "P", regime: str
     if key not in _held:
         docs = corpus(spark, sf_dir, suite, regime)
         # Pages are parted by their markup, a line each, as a full stop in a title parts nothing. Hashed vectors of short facts share many words: only close neighbours make one segment.
+        if suite != "G" and summary == "lead":
+            _held[key] = TwoLevelIndex.of_texts(docs, sim_threshold=0.6)
+            return _held[key]
         made = TwoLevelIndex.build(docs, summary, segments=segment_located(docs)) if suite == "G" else TwoLevelIndex.build(docs, summary, sim_threshold=0.6)
         _held[key] = TwoLevelIndex(cut(made.docs, "docs"), cut(made.segments, "segments"))
     return _held[key]

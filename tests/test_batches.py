@@ -4,6 +4,7 @@ from pyspark.sql import functions as F
 
 from docspj.functions.text import distance_to, embed, norm2
 from docspj.operators import batches
+from docspj.operators.index import TwoLevelIndex
 from docspj.operators.segments import segment, summarise
 from docspj.sources.corpora import profiles
 
@@ -34,3 +35,17 @@ def test_near_segments_are_those_of_the_distance(spark, sf_dir):
     got = {(r.doc_key, r.seg_no, n) for r in batches.near(segments, asked).collect() for n, _, _ in asked if r[f"near_{n}"]}
     rows = segments.select("doc_key", "seg_no", *[F.least(F.lit(9.0), *[distance_to(F.col("vec"), F.col("n2"), c) for c in own], F.lit(9.0)).alias(n) for n, own, _ in asked], "n2").where("n2 is not null").collect()
     assert got == {(r.doc_key, r.seg_no, n) for r in rows for n, _, radius in asked if r[n] <= radius} and {n for *_, n in got} == {"a", "b", "all"}
+
+
+def test_one_pass_makes_both_levels(spark, sf_dir):
+    """An index of one pass is that of two, documents without a sentence included, and segments are near by their texts as by their vectors."""
+    odd = spark.createDataFrame([("P", f"odd:{i}", "x", t) for i, t in enumerate(ODD)], "corpus string, doc_key string, domain string, text string")
+    docs = odd.unionByName(profiles(spark, sf_dir))
+    one, two = TwoLevelIndex.of_texts(docs, sim_threshold=0.6), TwoLevelIndex.build(docs, "lead", sim_threshold=0.6)
+    rows = lambda df: sorted(str(tuple(sorted(x.items()) if isinstance(x, dict) else x for x in r)) for r in df.collect())
+    tops = [sorted((r.doc_key, [sorted(v.items()) for v in r.vecs], r.n2s) for r in x.docs.collect()) for x in (one, two)]
+    assert tops[0] == tops[1] and {"odd:0", "odd:2"} <= {k for k, *_ in tops[0]}
+    assert rows(one.segments) == rows(two.segments.select(one.segments.columns))
+    unit = lambda at: [1.0 if i == at else 0.0 for i in range(256)]
+    asked = [("a", [unit(3), unit(70)], 1.1), ("b", [unit(9)], 1.25), ("none", [], 1.0), ("all", [unit(1)], 1.42)]
+    assert rows(batches.near_texts(one.texts, asked)) == rows(batches.near(two.segments, asked)) != []
